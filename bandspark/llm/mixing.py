@@ -12,7 +12,7 @@ The running sum over a source is not one window: sums per hash bucket are cumula
 ``16 ** BUCKET_DIGITS`` rows a source), and only documents of the bucket at the edge are ordered one by one.
 
 Nulls and edges: null text has size 0; a null source is a source of its own, last in order; a null id
-hashes as the empty string; repeated rows are rows of their own; an empty table gives no rows; a source
+hashes as the empty string; repeated rows (same source, id and size) are taken or left together; an empty table gives no rows; a source
 without words has target 0 and its documents are taken 0 words. Other columns are ignored.
 """
 
@@ -52,29 +52,50 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, share:
     return per.select("source", "source_size", target.alias("target"))
 
 
-def mix_sources(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = 1.0, max_epochs: int = MAX_EPOCHS, seed: str = SEED, keep: tuple[str, ...] = ()) -> DataFrame:
-    """Per row of ``docs``: doc_id, source, size, source_size, target, copies, taken (words, repeats counted)."""
-    key = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
-    sizes = materialize(docs.select(F.col("doc_id"), F.col("source"), n_words(F.col("text")).alias("size"), key.alias("_key"), *keep).withColumn("_bucket", F.substring("_key", 1, BUCKET_DIGITS)), "mix-sizes")
+def mix_plan(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = 1.0, max_epochs: int = MAX_EPOCHS, seed: str = SEED) -> DataFrame:
+    """One row per source: source, source_size, target, _whole, and the place in hash order up to which documents are taken once more
+    (all of the buckets before ``_edge``, and in that bucket all up to ``_cut``)."""
+    sizes = materialize(docs.select("source", _hashed(seed).alias("_key"), "doc_id", n_words(F.col("text")).alias("size")), "mix-sizes")
     targets = materialize(source_targets(sizes, weights, share, max_epochs), "mix-targets")
     targets = targets.withColumn("_whole", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("long"))
     targets = targets.withColumn("_rest", F.col("target") - F.col("_whole") * F.col("source_size"))
     cum = Window.partitionBy("source").orderBy("_bucket").rowsBetween(Window.unboundedPreceding, 0)
-    buckets = sizes.groupBy("source", "_bucket").agg(F.sum("size").alias("_sum")).withColumn("_upto", F.sum("_sum").over(cum))
-    t = targets.withColumnRenamed("source", "_s")
-    buckets = buckets.join(t, buckets["source"].eqNullSafe(t["_s"])).drop("_s").withColumnsRenamed({"source": "_s", "_bucket": "_b"})
-    d = sizes.join(buckets, sizes["source"].eqNullSafe(buckets["_s"]) & (sizes["_bucket"] == buckets["_b"])).drop("_s", "_b")
-    before = F.col("_upto") - F.col("_sum")
-    inside = (F.col("_upto") >= F.col("_rest")) & (before < F.col("_rest"))
-    edge = d.where(inside)
-    order = Window.partitionBy("source", "_bucket").orderBy("_key", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)
-    reach = before + F.sum("size").over(order)
+    buckets = sizes.groupBy("source", _bucket().alias("_bucket")).agg(F.sum("size").alias("_sum")).withColumn("_upto", F.sum("_sum").over(cum))
+    buckets = buckets.join(targets.withColumnRenamed("source", "_s"), F.col("source").eqNullSafe(F.col("_s"))).where(F.col("_upto") - F.col("_sum") < F.col("_rest"))
+    # where the remaining words end: the last bucket that starts before them
+    edges = buckets.groupBy("source").agg(F.max(F.struct("_bucket", "_sum", "_upto", "_rest")).alias("_e"))
+    edges = materialize(edges.select(F.col("source").alias("_s"), F.col("_e._bucket").alias("_edge"), (F.col("_e._upto") - F.col("_e._sum")).alias("_before"), F.col("_e._rest").alias("_rest")), "mix-edges")
+    near = sizes.join(edges, F.col("source").eqNullSafe(F.col("_s")) & (_bucket() == F.col("_edge")))
+    reach = F.col("_before") + F.sum("size").over(Window.partitionBy("source").orderBy("_key", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0))
     # words over the remaining target if this document is taken, against words short if it is not
-    edge = edge.withColumn("_extra", (reach - F.col("_rest") <= F.col("_rest") - (reach - F.col("size"))).cast("long"))
-    rest = d.where(~inside).withColumn("_extra", (F.col("_upto") < F.col("_rest")).cast("long"))
-    both = rest.unionByName(edge)
-    copies = F.least(F.col("_whole") + F.col("_extra"), F.lit(max_epochs).cast("long"))
-    return both.select("doc_id", "source", "size", "source_size", "target", copies.alias("copies"), (copies * F.col("size")).alias("taken"), *keep)
+    taken = near.where("size > 0").withColumn("_reach", reach).where(F.col("_reach") - F.col("_rest") <= F.col("_rest") - (F.col("_reach") - F.col("size")))
+    cuts = taken.groupBy("source").agg(F.max(F.struct("_key", "doc_id", "size")).alias("_cut")).withColumnRenamed("source", "_t")
+    edges = edges.join(cuts, F.col("_s").eqNullSafe(F.col("_t")), "left").select("_s", "_edge", "_cut")
+    return materialize(targets.join(edges, F.col("source").eqNullSafe(F.col("_s")), "left").select("source", "source_size", "target", "_whole", "_edge", "_cut"), "mix-plan")
+
+
+def _hashed(seed: str) -> Column:
+    return F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
+
+
+def _bucket() -> Column:
+    return F.substring("_key", 1, BUCKET_DIGITS)
+
+
+def mix_sources(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = 1.0, max_epochs: int = MAX_EPOCHS, seed: str = SEED) -> DataFrame:
+    """The rows of ``docs`` with all their columns in the struct ``doc``, and size, source_size, target, copies, taken (words, repeats counted)."""
+    plan = mix_plan(docs, weights, share, max_epochs, seed).withColumnRenamed("source", "_source")
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("doc"), "source", "doc_id", n_words(F.col("text")).alias("size"), _hashed(seed).alias("_key"))
+    rows = rows.join(plan, F.col("source").eqNullSafe(F.col("_source")))
+    within = (_bucket() < F.col("_edge")) | ((_bucket() == F.col("_edge")) & (F.struct("_key", "doc_id", "size") <= F.col("_cut")))
+    copies = F.least(F.col("_whole") + F.coalesce(within, F.lit(False)).cast("long"), F.lit(max_epochs).cast("long"))
+    return rows.select("doc", "doc_id", "size", "source_size", "target", copies.alias("copies"), (copies * F.col("size")).alias("taken"))
+
+
+def mixed_documents(docs: DataFrame, **options) -> DataFrame:
+    """The mix itself: every document as many times as it is taken, in the columns of ``docs``."""
+    mixed = mix_sources(docs, **options).where("copies > 0")
+    return mixed.select("doc", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))).alias("_copy")).select("doc.*")
 
 
 ORACLE_SQL = f"""

@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-from bandspark.llm import mixing
+from bandspark.llm import exactdup, mixing, quality
 
 
 def queries() -> dict:
-    return {"op9_mix_sources": mixing.query}
+    return {"op8_exact_dedup": exactdup.query, "op9_mix_sources": mixing.query, "op10_quality_rules": quality.query}
 
 
 def oracle_sql() -> dict:
-    return {"op9_mix_sources": mixing.ORACLE_SQL}
+    return {"op8_exact_dedup": exactdup.ORACLE_SQL, "op9_mix_sources": mixing.ORACLE_SQL}
