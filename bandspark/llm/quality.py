@@ -128,7 +128,7 @@ def rules() -> dict[str, Column]:
         "word_length": _vote((mean < 3) | (mean > 10), (mean >= 3.5) & (mean <= 8)),
         "symbols": _vote(F.col("n_symbols") > 0.1 * w, F.col("n_symbols") <= 0.01 * w),
         "repeats": _vote(F.col("n_repeat_words") > 0.3 * w, F.col("n_repeat_words") <= 0.1 * w),
-        "lines": _vote(F.col("n_dup_lines") >= 5, F.col("n_dup_lines") == 0),
+        "lines": _vote((F.col("n_dup_lines") >= 5) & (F.col("n_dup_lines") * 20 > w), F.col("n_dup_lines") == 0),
         "upper": _vote(F.col("n_upper") > 0.4 * F.greatest(F.col("word_chars"), F.lit(1)), F.col("n_upper") <= 0.1 * F.col("word_chars")),
         "digits": _vote(F.col("n_digits") > 0.3 * F.greatest(F.col("word_chars"), F.lit(1)), F.col("n_digits") <= 0.05 * F.col("word_chars")),
         "variety": _vote(F.col("n_distinct") * 20 < w, (F.col("n_distinct") * 5 >= w)),
@@ -140,8 +140,10 @@ def base_failed() -> Column:
 
 
 #: Prior counts of a rule's votes (bad, nothing, good) among bad and among good documents, as shares.
-PRIOR_BAD = (0.35, 0.25, 0.4)
-PRIOR_GOOD = (0.02, 0.13, 0.85)
+PRIOR_BAD = (0.2, 0.1, 0.7)
+PRIOR_GOOD = (0.001, 0.1, 0.899)
+#: A rule votes bad on at most this share of good documents; the M step keeps to it.
+MOST_FALSE = 0.002
 PRIOR_WEIGHT = 50.0
 PRIOR_GOOD_SHARE = 0.9
 ITERATIONS = 100
@@ -153,13 +155,17 @@ def fit(patterns: np.ndarray, counts: np.ndarray, iterations: int = ITERATIONS)
     hot = np.stack([patterns == v for v in (-1, 0, 1)], axis=2).astype(float)  # P, R, 3
     prior = np.array([PRIOR_BAD, PRIOR_GOOD])[:, None, :] * np.ones((2, patterns.shape[1], 1))
     rates, share = prior.copy(), PRIOR_GOOD_SHARE
-    weight = PRIOR_WEIGHT + 0.05 * counts.sum()  # keeps "good" the good class at every size
+    weight = PRIOR_WEIGHT
+    silent = (counts @ hot[:, :, 1] + weight * prior[1, :, 1]) / (counts.sum() + weight)  # abstaining tells nothing: one rate for both classes
     for _ in range(iterations):
         post = posterior(patterns, {"rates": rates, "share": share})
-        share = (counts @ post + PRIOR_WEIGHT * PRIOR_GOOD_SHARE) / (counts.sum() + PRIOR_WEIGHT)
+        share = (counts @ post + (counts.sum() + weight) * PRIOR_GOOD_SHARE) / (2 * counts.sum() + weight)  # the prior counts as much as the data
         for k, p in ((0, 1 - post), (1, post)):
             seen = np.einsum("p,prv->rv", counts * p, hot) + weight * prior[k]
-            rates[k] = seen / seen.sum(axis=1, keepdims=True)
+            against = seen[:, 0] / (seen[:, 0] + seen[:, 2])
+            if k:
+                against = np.minimum(against, MOST_FALSE)
+            rates[k] = np.stack([against * (1 - silent), silent, (1 - against) * (1 - silent)], axis=1)
     return {"rates": rates, "share": share}
 
 
