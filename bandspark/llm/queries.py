@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from bandspark.llm import bpe, exactdup, langid, mixing, pii, quality
+from bandspark.llm import bpe, exactdup, langid, mixing, pii, quality, secretscan
 
 
 def queries() -> dict:
-    return {"op1_language_id": langid.query, "op3_personal_data": pii.query, "op6_bpe_round_trip": bpe.query, "op8_exact_dedup": exactdup.query, "op9_mix_sources": mixing.query, "op10_quality_rules": quality.query}
+    return {"op1_language_id": langid.query, "op3_personal_data": pii.query, "op6_bpe_round_trip": bpe.query, "op7_secret_scan": secretscan.query, "op8_exact_dedup": exactdup.query, "op9_mix_sources": mixing.query, "op10_quality_rules": quality.query}
 
 
 def oracle_sql() -> dict:
