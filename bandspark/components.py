@@ -1,0 +1,35 @@
+"""Connected components by contraction.
+
+Each round every vertex takes the smallest id among itself and its neighbours, edges are redrawn between those, and
+loops and copies go. The smallest vertex of a component never moves, so it is what the component ends as. Vertices with edges
+left shrink from round to round; the maps of all rounds are composed at the end.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from bandspark.session import materialize
+
+
+def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst") -> DataFrame:
+    """(v, comp) for every vertex that has an edge; comp is the smallest vertex id of its component.
+
+    Edges may be given in one or both directions, with copies and loops; edges with a null end are ignored."""
+    e = edges.select(F.col(src).cast("long").alias("a"), F.col(dst).cast("long").alias("b")).where("a is not null and b is not null and a <> b")
+    e = materialize(e.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "cc-edges")
+    maps: list[DataFrame] = []
+    while not e.isEmpty():
+        both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
+        parent = materialize(both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("p")).withColumnRenamed("a", "v"), "cc-map")
+        maps.append(parent)
+        left = e.join(parent.withColumnsRenamed({"v": "a", "p": "pa"}), "a")
+        drawn = left.join(parent.withColumnsRenamed({"v": "b", "p": "pb"}), "b").where("pa <> pb")
+        e = materialize(drawn.select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).distinct(), "cc-edges")
+    if not maps:
+        return edges.sparkSession.createDataFrame([], "v long, comp long")
+    out = maps[0].withColumnRenamed("p", "comp")
+    for m in maps[1:]:
+        out = out.join(m.withColumnsRenamed({"v": "_v", "p": "_p"}), F.col("comp") == F.col("_v"), "left").select("v", F.coalesce("_p", "comp").alias("comp"))
+    return materialize(out, "cc-labels") if len(maps) > 1 else out
