@@ -142,8 +142,8 @@ def shingle_hashes(words: np.ndarray, row_offsets: np.ndarray, k: int) -> tuple[
         index = np.repeat(starts - np.concatenate([[0], np.cumsum(sizes)[:-1]]), sizes) + np.arange(sizes.sum())
         out[into] = h[index]
     for r in np.flatnonzero((counts > 0) & (counts < k)):
-        v = _U(0xA0761D6478BD642F) + _U(int(counts[r]))
-        for w in words[row_offsets[r] : row_offsets[r + 1]]:
-            v = mix(np.array([v * _U(0xE7037ED1A0B428DB) + w], np.uint64))[0]
-        out[offsets[r]] = v
+        v = np.array([0xA0761D6478BD642F + int(counts[r])], np.uint64)
+        for i in range(row_offsets[r], row_offsets[r + 1]):
+            v = mix(v * _U(0xE7037ED1A0B428DB) + words[i : i + 1])
+        out[offsets[r]] = v[0]
     return out, offsets
