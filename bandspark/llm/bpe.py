@@ -16,6 +16,7 @@ from __future__ import annotations
 import hashlib
 import json
 import re
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,6 +30,20 @@ LONG = 1024
 LEAF = 512
 MEMO = 300_000
 PIECE = 1 << 20
+#: A word of Latin letters that are single code points in any normal form, and a short tail of marks: two pre-tokens, neither special.
+_WORD = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,;:!?|*#%&$]{0,8})")
+_plain = {*range(33, 127), *range(161, 173), *range(174, 256)}  # bytes that byte-level vocabularies write as themselves; the others count from 256
+_BYTE_CHARS = {b: 256 + i for i, b in enumerate(b for b in range(256) if b not in _plain)}
+_codecs: dict[str, "Codec"] = {}
+
+
+def codec(path: str) -> "Codec":
+    """The codec of a file, one in each worker process."""
+    if path not in _codecs:
+        _codecs[path] = Codec(path)
+    return _codecs[path]
+
+
 _GAP = re.compile(rb"[\x20\x09-\x0D]")
 
 
@@ -57,6 +72,8 @@ class Codec:
         suffix = spec["model"]["end_of_word_suffix"] or ""
         self.width = {i: len(t) - len(suffix) * (bool(suffix) and t.endswith(suffix)) for t, i in self.last.get_vocab().items()}  # in mapped characters
         self.memo: dict[bytes, bytes] = {}
+        self.stems: dict[str, bytes] = {}
+        self.tails: dict[str, bytes] = {}
 
     # -- unsplit text ----------------------------------------------------------------------------------
 
@@ -114,16 +131,38 @@ class Codec:
 
     # -- texts -----------------------------------------------------------------------------------------
 
+    def _word(self, stem: str) -> bytes:
+        """Ids of one pre-token of Latin letters: the model alone, without normaliser and pre-tokenizer."""
+        low = stem.lower()
+        ids = self.stems.get(low)
+        if ids is None:
+            mapped = low if low.isascii() else low.encode().decode("latin-1").translate(_BYTE_CHARS)
+            ids = self.stems[low] = array("I", [t.id for t in self.last.model.tokenize(mapped)]).tobytes()
+        return ids
+
     def learn(self, chunks: set[bytes]) -> None:
         """Puts the ids of new chunks into the memo."""
         if len(self.memo) + len(chunks) > MEMO:
             self.memo.clear()
-        short = [c for c in chunks if len(c) <= self.long]
-        for c, e in zip(short, self.whole.encode_batch([c.decode("utf-8", "replace") for c in short], add_special_tokens=False), strict=True):
-            self.memo[c] = np.array(e.ids, "<u4").tobytes()
+        if len(self.stems) + len(chunks) > MEMO:
+            self.stems.clear()
+        other = []
         for c in chunks:
-            if len(c) > self.long:
-                self.memo[c] = np.array(self.encode_long(c.decode("utf-8", "replace")), "<u4").tobytes()
+            text = c.decode("utf-8", "replace")
+            word = _WORD.fullmatch(text) if len(c) <= self.long else None
+            if word:
+                ids, tail = self._word(word[1]), word[2]
+                if tail:
+                    if tail not in self.tails:
+                        self.tails[tail] = array("I", self.whole.encode(tail, add_special_tokens=False).ids).tobytes()
+                    ids += self.tails[tail]
+                self.memo[c] = ids
+            elif len(c) <= self.long:
+                other.append((c, text))
+            else:
+                self.memo[c] = array("I", self.encode_long(text)).tobytes()
+        for (c, _), e in zip(other, self.whole.encode_batch([t for _, t in other], add_special_tokens=False), strict=True):
+            self.memo[c] = array("I", e.ids).tobytes()
 
     def encode_texts(self, texts: list[bytes]) -> list[bytes]:
         """Ids of each text as little-endian unsigned 32-bit integers."""
@@ -180,9 +219,9 @@ def encode_documents(docs: DataFrame, path: str | None = None) -> DataFrame:
     path = path or default_path()
 
     def run(batches):
-        codec = Codec(path)
+        coder = codec(path)
         for batch in batches:
-            ids = [i for texts in _texts(batch) for i in codec.encode_texts(texts)]
+            ids = [i for texts in _texts(batch) for i in coder.encode_texts(texts)]
             flat = np.frombuffer(b"".join(ids), "<u4").astype(np.int32)
             offsets = np.zeros(len(ids) + 1, np.int32)
             np.cumsum([len(i) // 4 for i in ids], out=offsets[1:])
@@ -197,9 +236,9 @@ def decode_documents(encoded: DataFrame, path: str | None = None) -> DataFrame:
     path = path or default_path()
 
     def run(batches):
-        codec = Codec(path)
+        coder = codec(path)
         for batch in batches:
-            texts = [codec.decode(np.array(i or [], "<u4").tobytes()).decode("utf-8", "replace") for i in batch.column("ids").to_pylist()]
+            texts = [coder.decode(np.array(i or [], "<u4").tobytes()).decode("utf-8", "replace") for i in batch.column("ids").to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(texts, pa.string())], names=["doc_id", "text"])
 
     rows = encoded.select("doc_id", "ids")
@@ -211,14 +250,14 @@ def round_trip(docs: DataFrame, path: str | None = None) -> DataFrame:
     path = path or default_path()
 
     def run(batches):
-        codec = Codec(path)
+        coder = codec(path)
         for batch in batches:
             n, ids_sha, text_sha = [], [], []
             for texts in _texts(batch):
                 if len(texts) == 1 and len(texts[0]) > 2 * PIECE:
-                    found = [_digests(codec, texts[0])]
+                    found = [_digests(coder, texts[0])]
                 else:
-                    found = [(len(i) // 4, hashlib.sha256(i).hexdigest(), hashlib.sha256(codec.decode(i)).hexdigest()) for i in codec.encode_texts(texts)]
+                    found = [(len(i) // 4, hashlib.sha256(i).hexdigest(), hashlib.sha256(coder.decode(i)).hexdigest()) for i in coder.encode_texts(texts)]
                 for x in found:
                     n.append(x[0])
                     ids_sha.append(x[1])

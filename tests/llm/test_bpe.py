@@ -17,7 +17,7 @@ def ids_of(codec, text):
     return np.frombuffer(codec.encode_texts([text.encode()])[0], "<u4").tolist()
 
 
-ODD = ["", " ", "Hello  World's don't 12", "a<|endoftext|>b <|startoftext|><|endoftext|>", "É é İIİ ΑΣ Σ", "foo\xa0bar z​q\x85\x1c", " ́a ́", "日本語！！abc", "x\x00y", "á̂ 각"]
+ODD = ["", "Été, ÀÉÎ!! straße; µm ªº ÿŸ x_y don.t n.b. |a| ***", " ", "Hello  World's don't 12", "a<|endoftext|>b <|startoftext|><|endoftext|>", "É é İIİ ΑΣ Σ", "foo\xa0bar z​q\x85\x1c", " ́a ́", "日本語！！abc", "x\x00y", "á̂ 각"]
 
 
 def test_chunks_equal_the_library(library):
@@ -55,7 +55,7 @@ def test_pieces_give_the_same_digests(library, monkeypatch):
 
 
 def test_documents_round_trip(spark, library):
-    rows = [(i, t, "x") for i, t in enumerate(ODD)] + [(99, None, None), (None, "null id", "y"), (3, "again", "z"), (3, "again", "z")]
+    rows = [(i, t, "x") for i, t in enumerate(ODD)] + [(99, None, None), (None, "null id", "y"), (103, "again", "z"), (103, "again", "z")]
     docs = spark.createDataFrame(rows, "doc_id long, text string, ids string")
     for r in bpe.round_trip(docs).join(docs, "doc_id").collect():
         pass
@@ -65,6 +65,6 @@ def test_documents_round_trip(spark, library):
         e = library.encode(t or "", add_special_tokens=False)
         want.append((i is None, i or 0, len(e.ids), hashlib.sha256(np.array(e.ids, "<u4").tobytes()).hexdigest(), hashlib.sha256(library.decode(e.ids, skip_special_tokens=False).encode()).hexdigest()))
     assert got == sorted(want)
-    back = {r.doc_id: r.text for r in bpe.decode_documents(bpe.encode_documents(docs.where("doc_id = 2"))).collect()}
-    assert back == {2: library.decode(library.encode(ODD[2], add_special_tokens=False).ids, skip_special_tokens=False)}
+    back = {r.doc_id: r.text for r in bpe.decode_documents(bpe.encode_documents(docs.where("doc_id = 4"))).collect()}
+    assert back == {4: library.decode(library.encode(ODD[4], add_special_tokens=False).ids, skip_special_tokens=False)}
     assert bpe.round_trip(docs.where("false")).count() == 0
