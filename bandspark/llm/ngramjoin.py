@@ -37,6 +37,8 @@ K, PERCENT = 4, 85
 #: A shingle in more documents than this is common; the bound of their list; rounds of pivots, pivots a round.
 COMMON, MOST_COMMON = 8, 1_000_000
 ROUNDS, PIVOTS = 3, 3
+#: Bits of the filter of ids whose sets are compared.
+ID_BITS = 1 << 26
 #: Shingles a task counts at once.
 FLUSH = 2_000_000
 
@@ -156,7 +158,10 @@ def set_prints(docs: DataFrame, k: int, percent: int, buckets: int, keys: np.nda
 
 
 def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int) -> DataFrame:
-    """(g, h) with g < h: groups that share a shingle which is not common, with sizes that allow a link."""
+    """(g, h) with g < h: groups that share a shingle which is not common, at places that allow a link.
+
+    If a pair's first shared shingle is this one, it shares at most what either has from here on; a pair whose first shared
+    shingle is another is found, or ruled out, there."""
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -164,15 +169,17 @@ def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int) -> DataFrame:
             tokens = lists.flatten().to_numpy(zero_copy_only=False).view(np.uint64)
             counts = np.diff(lists.offsets.to_numpy())
             g, n = np.repeat(batch.column("g").to_numpy(), counts), np.repeat(batch.column("n").to_numpy(), counts)
+            left = n - (np.arange(len(tokens)) - np.repeat(np.cumsum(counts) - counts, counts))  # shingles from this one on, in the global order
             order = np.argsort(tokens)
-            tokens, g, n = tokens[order], g[order], n[order]
-            rows = [(key, tokens[a:b].tobytes(), g[a:b].tobytes(), n[a:b].astype(np.int32).tobytes()) for key, a, b in _ranges(_bucket(tokens, buckets))]
-            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), *[pa.array([r[i] for r in rows], pa.binary()) for i in (1, 2, 3)]], names=["bucket", "tokens", "gs", "ns"])
+            tokens, g, n, left = tokens[order], g[order], n[order], left[order]
+            rows = [(key, tokens[a:b].tobytes(), g[a:b].tobytes(), n[a:b].astype(np.int32).tobytes(), left[a:b].astype(np.int32).tobytes()) for key, a, b in _ranges(_bucket(tokens, buckets))]
+            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), *[pa.array([r[i] for r in rows], pa.binary()) for i in (1, 2, 3, 4)]], names=["bucket", "tokens", "gs", "ns", "lefts"])
 
     def meet(table: pa.Table) -> pa.Table:
-        tokens, g, n = (np.concatenate([np.frombuffer(x, kind) for x in table.column(name).to_pylist()]) for name, kind in (("tokens", np.uint64), ("gs", np.int64), ("ns", np.int32)))
+        kinds = (("tokens", np.uint64), ("gs", np.int64), ("ns", np.int32), ("lefts", np.int32))
+        tokens, g, n, left = (np.concatenate([np.frombuffer(x, kind) for x in table.column(name).to_pylist()]) for name, kind in kinds)
         order = np.argsort(tokens, kind="stable")
-        tokens, g, n = tokens[order], g[order], n[order].astype(np.int64)
+        tokens, g, n, left = tokens[order], g[order], n[order].astype(np.int64), left[order].astype(np.int64)
         found = [np.zeros((0, 2), np.int64)]
         step = 1
         at = np.arange(len(tokens))
@@ -180,7 +187,8 @@ def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int) -> DataFrame:
             at = at[at + step < len(tokens)]
             at = at[tokens[at] == tokens[at + step]]
             x, y = g[at], g[at + step]
-            ok = (100 * np.minimum(n[at], n[at + step]) >= percent * np.maximum(n[at], n[at + step])) & (x != y)
+            most = np.minimum(left[at], left[at + step])
+            ok = (100 * most >= percent * (n[at] + n[at + step] - most)) & (x != y)
             found.append(np.stack([np.minimum(x, y)[ok], np.maximum(x, y)[ok]], axis=1))
             if step % 8 == 0:
                 found = [np.unique(np.concatenate(found), axis=0)]
@@ -188,25 +196,38 @@ def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int) -> DataFrame:
         pairs = np.unique(np.concatenate(found), axis=0)
         return pa.table({"g": pa.array(pairs[:, 0].copy()), "h": pa.array(pairs[:, 1].copy())})
 
-    packed = groups.select("g", "n", "cold").where("size(cold) > 0").mapInArrow(pack, "bucket int, tokens binary, gs binary, ns binary")
+    packed = groups.select("g", "n", "cold").where("size(cold) > 0").mapInArrow(pack, "bucket int, tokens binary, gs binary, ns binary, lefts binary")
     return packed.groupBy("bucket").applyInArrow(meet, "g long, h long").distinct()
 
 
+def id_filter(ids: DataFrame, column: str = "v") -> np.ndarray:
+    """A bitmap of ID_BITS bits over hashed ids: at most ID_BITS / 8 bytes whatever the number of ids; it says yes to all of them, and to few others."""
+    spot = F.pmod(F.xxhash64(column), F.lit(ID_BITS))
+    parts = ids.groupBy(F.bitmap_bucket_number(spot).alias("k")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(spot)).alias("bits")).collect()
+    out = np.zeros((ID_BITS >> 15, 4096), np.uint8)
+    for r in parts:
+        out[r["k"] - 1] = np.frombuffer(r["bits"], np.uint8)
+    return out.ravel()
+
+
 def whole_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
-    """(v, set) of the documents in ``wanted`` (v, sig_a): sorted arrays of shingle hashes."""
+    """(v, set): sorted arrays of shingle hashes of the documents in ``wanted`` (v), and of a few others."""
+    shared = docs.sparkSession.sparkContext.broadcast(id_filter(wanted))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        salt_a = _U(0x8CB92BA72F3D8DD7)
+        bits = shared.value
         for batch in batches:
+            spot = batch.column("spot").to_numpy()
+            batch = batch.filter(pa.array((bits[spot >> 3] >> (spot & 7).astype(np.uint8) & 1).astype(bool)))
+            if not batch.num_rows:
+                continue
             sets = list(document_sets(batch.column("text"), k))
             cut = np.zeros(len(sets) + 1, np.int32)
             np.cumsum([len(s) for s in sets], out=cut[1:])
-            sig = np.array([int(mix(s ^ salt_a).sum()) if len(s) else 0 for s in sets], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column("v"), batch.column("want"), pa.array(sig), pa.ListArray.from_arrays(pa.array(cut), pa.array(np.concatenate([*sets, np.zeros(0, _U)]).view(np.int64)))], names=["v", "want", "sig", "set"])
+            yield pa.RecordBatch.from_arrays([batch.column("v"), pa.ListArray.from_arrays(pa.array(cut), pa.array(np.concatenate(sets).view(np.int64)))], names=["v", "set"])
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("v"), "text").join(wanted.select("v", F.col("sig_a").alias("want")), "v")
-    found = rows.select("v", "want", "text").mapInArrow(run, "v long, want long, sig long, set array<long>").where("want = sig")
-    return found.select("v", "set")
+    ids = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("v"), "text")
+    return ids.withColumn("spot", F.pmod(F.xxhash64("v"), F.lit(ID_BITS)) ).withColumn("spot", F.bitmap_bit_position("spot") + 32768 * (F.bitmap_bucket_number("spot") - 1)).mapInArrow(run, "v long, set array<long>")
 
 
 def verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -249,9 +270,10 @@ def similarity_classes(docs: DataFrame, k: int = K, percent: int = PERCENT, comm
     members = materialize(leads.select("v", "n", "pkey").join(groups.select("n", "pkey", "g", "m"), ["n", "pkey"]).select("g", "v", "m"), "join-members")
     size_class = F.floor(F.log(F.col("n").cast("double")) / float(np.log(100 / percent)) + 1e-9).cast("int")
     # sets by common shingle and size class, each in its own class and the next: sizes that allow a link meet
-    hot = leads.where("size(hot) > 0").select("v", "n", size_class.alias("s"), F.explode("hot").alias("token"))
+    hot = leads.where("size(hot) > 0").select("v", "n", size_class.alias("s"), F.size("cold").alias("before"), F.posexplode("hot").alias("at", "token"))
+    hot = hot.select("v", "n", "s", "token", (F.col("n") - F.col("before") - F.col("at")).alias("rest"))  # shingles from this one on, in the global order
     crowded = hot.groupBy("token").agg(F.count("*").alias("m")).where("m > 1")
-    hot = hot.join(crowded, "token", "left_semi").select("v", "n", "token", F.explode(F.array(F.col("s"), F.col("s") + 1)).alias("s"))
+    hot = hot.join(crowded, "token", "left_semi").select("v", "n", "rest", "token", F.explode(F.array(F.col("s"), F.col("s") + 1)).alias("s"))
     hot = materialize(hot, "join-hot")
     # candidates by other shingles, and inside small groups
     groups_of = members.select("g", "v")
@@ -260,9 +282,8 @@ def similarity_classes(docs: DataFrame, k: int = K, percent: int = PERCENT, comm
     small = members.where(f"m > 1 and m <= {common}").select("g", "v")
     inside = small.withColumnRenamed("v", "a").join(small.withColumnRenamed("v", "b"), "g").where("a < b").select("a", "b")
     pairs = materialize(pairs.unionByName(inside).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "join-pairs")
-    active = pairs.select(F.col("a").alias("v")).unionByName(pairs.select(F.col("b").alias("v"))).unionByName(hot.select("v")).distinct()
-    wanted = materialize(leads.select("v", "sig_a").join(active, "v", "left_semi"), "join-active")
-    sets = materialize(whole_sets(docs, wanted, k), "join-sets")
+    active = pairs.select(F.col("a").alias("v")).unionByName(pairs.select(F.col("b").alias("v"))).unionByName(hot.select("v"))
+    sets = materialize(whole_sets(docs, active, k), "join-sets")
     seen, classes = pairs, None
     links = materialize(verify(pairs, sets, percent), "join-links")
     if not links.isEmpty():
@@ -271,14 +292,19 @@ def similarity_classes(docs: DataFrame, k: int = K, percent: int = PERCENT, comm
         if hot.isEmpty():
             break
         now = _with_class(hot, classes)
-        stat = now.groupBy("token", "s").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), *[F.min_by(F.struct("v", "n", "c"), F.xxhash64("v", F.lit(100 * r + j))).alias(f"p{j}") for j in range(pivots)]).where("lo <> hi")
+        first = [F.min_by(F.struct("v", "n", "c", "rest"), F.struct(-F.col("rest"), F.xxhash64("v", F.lit(r))))]  # the one with the fewest shingles of its own
+        first += [F.min_by(F.struct("v", "n", "c", "rest"), F.xxhash64("v", F.lit(100 * r + j))) for j in range(1, pivots)]
+        stat = now.groupBy("token", "s").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.array_distinct(F.array(*first)).alias("ps")).where("lo <> hi")
+        stat = materialize(stat, "join-pivots")
+        most = "least(rest, rest2)"
+        fits = f"c <> d and 100 * {most} >= {percent} * (n + m - {most})"  # what can be shared from here on allows a link
         if r < rounds:
-            stat = stat.select("token", "s", F.explode(F.array_distinct(F.array(*[f"p{j}" for j in range(pivots)]))).alias("p"))
-            met = now.join(stat, ["token", "s"]).where("c <> p.c").select("v", "n", F.col("p.v").alias("w"), F.col("p.n").alias("m"))
+            other = stat.select("token", "s", F.explode("ps").alias("p")).select("token", "s", F.col("p.v").alias("w"), F.col("p.n").alias("m"), F.col("p.c").alias("d"), F.col("p.rest").alias("rest2"))
+            met = now.join(other, ["token", "s"]).where(fits)
         else:  # all that is left across classes
-            left = now.join(stat.select("token", "s"), ["token", "s"], "left_semi")
-            met = left.join(left.select("token", "s", F.col("v").alias("w"), F.col("n").alias("m"), F.col("c").alias("d")), ["token", "s"]).where(f"v < w and c <> d and 100 * least(n, m) >= {percent} * greatest(n, m)")
-        met = met.where(f"100 * least(n, m) >= {percent} * greatest(n, m)").select(F.least("v", "w").alias("a"), F.greatest("v", "w").alias("b")).distinct()
+            left = materialize(now.join(stat.select("token", "s"), ["token", "s"], "left_semi"), "join-left")
+            met = left.join(left.select("token", "s", F.col("v").alias("w"), F.col("n").alias("m"), F.col("c").alias("d"), F.col("rest").alias("rest2")), ["token", "s"]).where(f"v < w and {fits}")
+        met = met.select(F.least("v", "w").alias("a"), F.greatest("v", "w").alias("b")).distinct()
         new = materialize(met.join(seen, ["a", "b"], "left_anti"), "join-pairs")
         if new.isEmpty():
             if r < rounds:
