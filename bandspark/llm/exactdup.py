@@ -118,7 +118,7 @@ def fingerprints(docs: DataFrame, with_text: bool = False, parallel_above: int =
     step = COMPARE_CHARS // 4
     chunks = huge.select("_row", "text", F.explode(F.sequence(F.lit(0), F.floor((F.length("text") - 1) / step).cast("int"))).alias("_no")).select("_row", "_no", F.expr(f"substring(text, _no * {step} + 1, {step})").alias("piece"))
     hashed = chunks.repartition("_row", "_no").mapInArrow(_chunk_batches, "_row long, _no int, _len long, _a long, _b long")
-    joined = F.udf(_combine_group, "long")(F.collect_list(F.struct("_no", "_len", "_a", "_b")))  # a chunk's hashes only: 1/1000 of its bytes
+    joined = F.udf(_combine_group, "long", useArrow=False)(F.collect_list(F.struct("_no", "_len", "_a", "_b")))  # a chunk's hashes only: 1/1000 of its bytes
     whole = hashed.groupBy("_row").agg(F.sum("_len").alias("n_bytes"), joined.alias("fp"))
     huge = huge.join(whole, "_row").select("doc_id", "text", "n_bytes", "fp", F.sha2("text", 256).alias("text_sha256"))
     out = small.unionByName(huge)

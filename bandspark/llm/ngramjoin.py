@@ -256,6 +256,16 @@ def _merge(classes: DataFrame | None, links: DataFrame) -> DataFrame:
     return materialize(old.unionByName(fresh), "join-classes")
 
 
+def _links_by_id(some: DataFrame, leads: DataFrame, sig: list[str]) -> DataFrame:
+    """(a, b): rows that share an id, with different sets, are reachable from each other."""
+    ids = materialize(some.groupBy("doc_id").count().where("count > 1").select("doc_id"), "join-ids")
+    if ids.isEmpty():
+        return some.sparkSession.createDataFrame([], "a long, b long")
+    led = some.join(ids, "doc_id", "left_semi").select("doc_id", *sig).distinct().join(leads.select(*sig, "v"), sig)
+    first = led.groupBy("doc_id").agg(F.min("v").alias("a"))
+    return led.join(first, "doc_id").select("a", F.col("v").alias("b")).where("a <> b").distinct()
+
+
 def similarity_classes(docs: DataFrame, k: int = K, percent: int = PERCENT, common: int = COMMON, most_common: int = MOST_COMMON, rounds: int = ROUNDS, pivots: int = PIVOTS) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id (smallest id reachable by links)."""
     spark = docs.sparkSession
@@ -285,7 +295,7 @@ def similarity_classes(docs: DataFrame, k: int = K, percent: int = PERCENT, comm
     active = pairs.select(F.col("a").alias("v")).unionByName(pairs.select(F.col("b").alias("v"))).unionByName(hot.select("v"))
     sets = materialize(whole_sets(docs, active, k), "join-sets")
     seen, classes = pairs, None
-    links = materialize(verify(pairs, sets, percent), "join-links")
+    links = materialize(verify(pairs, sets, percent).unionByName(_links_by_id(some, leads, sig)), "join-links")
     if not links.isEmpty():
         classes = _merge(None, links)
     for r in range(rounds + 1):
