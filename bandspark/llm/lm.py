@@ -186,10 +186,13 @@ def gather_vocabulary(counted: DataFrame, head: int = HEAD) -> Vocabulary:
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(64)), pa.array(mass), pa.array(types)], names=["k", "mass", "types"])
 
     def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            words = np.frombuffer(b"".join(batch.column("a").to_pylist()), np.int64)
-            counts = np.frombuffer(b"".join(batch.column("b").to_pylist()), np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(words), pa.array(counts)], names=["word", "n"])
+        words, counts = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        for batch in batches:  # a task's most frequent words are among its ranges' most frequent words
+            words = np.concatenate([words, *[np.frombuffer(x, np.int64) for x in batch.column("a").to_pylist()]])
+            counts = np.concatenate([counts, *[np.frombuffer(x, np.int64) for x in batch.column("b").to_pylist()]])
+            top = np.lexsort((words, -counts))[:head]
+            words, counts = words[top], counts[top]
+        yield pa.RecordBatch.from_arrays([pa.array(words), pa.array(counts)], names=["word", "n"])
 
     sums = counted.where("block = -1").select("a", "b").mapInArrow(totals, "k long, mass long, types long").groupBy("k").agg(F.sum("mass").alias("mass"), F.sum("types").alias("types")).orderBy("k").toArrow()
     top = counted.where("block = -2").select("a", "b").mapInArrow(unpack, "word long, n long").orderBy(F.desc("n"), "word").limit(head).toArrow()
