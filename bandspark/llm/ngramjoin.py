@@ -29,8 +29,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from bandspark.components import connected_components
-from bandspark.llm.textkit import blocks, mix, shingle_hashes, string_buffer, word_hashes, word_spans
+from bandspark.operators.components import connected_components
+from bandspark.llm.textkit import blocks, mix, shingle_hashes, small_batches, string_buffer, word_hashes, word_spans
 from bandspark.session import materialize
 
 K, PERCENT = 4, 85
@@ -40,7 +40,7 @@ ROUNDS, PIVOTS = 3, 3
 #: Bits of the filter of ids whose sets are compared.
 ID_BITS = 1 << 26
 #: Shingles a task counts at once.
-FLUSH = 2_000_000
+FLUSH = 1_000_000
 
 _U = np.uint64
 _LOW = _U(0xFFFFFFFF)
@@ -84,7 +84,7 @@ def common_shingles(docs: DataFrame, k: int, buckets: int, common: int = COMMON,
             rows = [(key, low[a:b].tobytes(), small[a:b].tobytes() if counts[a:b].max() > 1 else b"") for key, a, b in _ranges(at)]
             return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary()), pa.array([r[2] for r in rows], pa.binary())], names=["bucket", "low", "counts"])
 
-        for batch in batches:
+        for batch in small_batches(batches):
             for s in document_sets(batch.column(0), k):
                 held.append(s)
                 size += len(s)
@@ -126,7 +126,7 @@ def set_prints(docs: DataFrame, k: int, percent: int, buckets: int, keys: np.nda
         seen = np.zeros(1 << 24, bool)  # a quick no
         seen[keys & 0xFFFFFF] = True
         salt_a, salt_b = _U(0x8CB92BA72F3D8DD7), _U(0x2127599BF4325C37)
-        for batch in batches:
+        for batch in small_batches(batches):
             numbers, colds, hots = [], [], []
             for s in document_sets(batch.column("text"), k):
                 n = len(s)
@@ -216,7 +216,7 @@ def whole_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bits = shared.value
-        for batch in batches:
+        for batch in small_batches(batches):
             spot = batch.column("spot").to_numpy()
             batch = batch.filter(pa.array((bits[spot >> 3] >> (spot & 7).astype(np.uint8) & 1).astype(bool)))
             if not batch.num_rows:

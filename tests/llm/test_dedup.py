@@ -5,7 +5,7 @@ import duckdb
 import pytest
 from tests.llm.test_pipeline import classes, shingles
 
-from bandspark.components import connected_components
+from bandspark.operators.components import connected_components
 from bandspark.llm import exactdup, linededup, mixing, ngramjoin
 
 SF = "/root/testdata/sf0.01"
