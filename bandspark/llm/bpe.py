@@ -23,7 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from bandspark.llm.textkit import blocks, string_buffer
+from bandspark.llm.textkit import blocks, small_batches, string_buffer
 
 #: Bytes of a chunk from which it counts as long, characters of a leaf, chunks kept in a task's memo, bytes read at once of a document.
 LONG = 1024
@@ -251,7 +251,7 @@ def round_trip(docs: DataFrame, path: str | None = None) -> DataFrame:
 
     def run(batches):
         coder = codec(path)
-        for batch in batches:
+        for batch in small_batches(batches):
             n, ids_sha, text_sha = [], [], []
             for texts in _texts(batch):
                 if len(texts) == 1 and len(texts[0]) > 2 * PIECE:

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from bandspark.llm.textkit import string_buffer
+from bandspark.llm.textkit import small_batches, string_buffer
 from bandspark.session import materialize
 
 PRIME = (1 << 31) - 1
@@ -75,7 +75,7 @@ def fingerprint(data: np.ndarray) -> tuple[int, int]:
 
 def _hash_batches(batches: Iterator[pa.RecordBatch], column: str) -> Iterator[pa.RecordBatch]:
     """Adds n_bytes, fp (both fingerprints in one long) and, where asked for, the digest."""
-    for batch in batches:
+    for batch in small_batches(batches, column):
         data, offsets = string_buffer(batch.column(column))
         n = batch.num_rows
         fps, digests = np.empty(n, np.int64), []

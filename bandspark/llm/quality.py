@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from bandspark.llm.textkit import blocks, mix, string_buffer, word_hashes, word_spans, WHITE
+from bandspark.llm.textkit import WHITE, blocks, mix, small_batches, string_buffer, word_hashes, word_spans
 from bandspark.session import materialize
 
 SYMBOLS = np.zeros(256, bool)
@@ -101,7 +101,7 @@ def statistics(data: np.ndarray, offsets: np.ndarray) -> dict[str, np.ndarray]:
 
 def _stat_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Takes the text from the last column and puts its statistics there."""
-    for batch in batches:
+    for batch in small_batches(batches, -1):
         data, offsets = string_buffer(batch.columns[-1])
         parts = [statistics(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]) for a, b in blocks(offsets)]
         cols = [pa.array(np.concatenate([p[k] for p in parts]).astype(np.int64) if parts else [], pa.int64()) for k in STATS]

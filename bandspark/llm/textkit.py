@@ -78,7 +78,7 @@ def blocks(offsets: np.ndarray, size: int = BLOCK_BYTES) -> Iterator[tuple[int,
 def small_batches(batches: Iterator[pa.RecordBatch], column: str | int = "text", size: int = 4 * BLOCK_BYTES) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of about ``size`` bytes of text, so that what is made of one batch stays small; unused memory goes back in between."""
     for batch in batches:
-        _, offsets = string_buffer(batch.column(column))
+        _, offsets = string_buffer(batch.columns[column] if isinstance(column, int) else batch.column(column))
         for a, b in blocks(offsets, size):
             yield batch.slice(a, b - a)
         pa.default_memory_pool().release_unused()
