@@ -3,15 +3,253 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from bandspark.functions import relational
+from bandspark.operators import distribution, metrics, ordering, peripheral, primitives, ranking, traverse
+from bandspark.operators.solver import cg_block_jacobi, shifted_laplacian
+from bandspark.plans import oracles
+from bandspark.plans.costmodel import CostModel
+from bandspark.sources import workloads
+from bandspark.streaming import edges as streams
+
+#: Graphs of few levels, for which the distributed sweep is also registered.
+SWEPT = ("w1", "w8", "w12", "w13")
+
+
+def components_of(spark, sf_dir, w) -> DataFrame:
+    return ordering.with_components(workloads.graph(spark, sf_dir, w)).select("v", "comp")
+
+
+def roots_of(spark, sf_dir, w) -> DataFrame:
+    g = workloads.graph(spark, sf_dir, w)
+    classic = ordering.frontier_order(g, "classic").roots.select("comp", F.col("root").alias("classic"), "depth", "searches")
+    return classic.join(ordering.frontier_order(g, "algebraic").roots.select("comp", F.col("root").alias("algebraic")), "comp")
+
+
+def levels_of(spark, sf_dir, w) -> DataFrame:
+    return ordering.frontier_order(workloads.graph(spark, sf_dir, w)).levels
+
+
+def order_of(spark, sf_dir, w, **options) -> DataFrame:
+    return ordering.frontier_order(workloads.graph(spark, sf_dir, w), **options).labels
+
+
+def metrics_of(spark, sf_dir, w) -> DataFrame:
+    """One row: the structure table's line for a graph."""
+    g = workloads.graph(spark, sf_dir, w)
+    o = ordering.frontier_order(g)
+    both = metrics.compare(metrics.quality(g.edges, ordering.natural_order(g)), metrics.quality(g.edges, o.labels))
+    heads = o.roots.agg(F.count("*").alias("comps"), F.max("depth").cast("long").alias("pseudo_diameter"), F.max("width").alias("width"))
+    nnz = g.edges.agg(F.count("*").alias("nnz"))
+    row = both.crossJoin(heads).crossJoin(nnz)  # one row each
+    return row.select(F.lit(w).alias("graph"), "n", "nnz", "comps", "bw_before", "bw_after", F.col("profile_before").cast("long").alias("profile_before"), F.col("profile_after").cast("long").alias("profile_after"), "pseudo_diameter", "width")
+
+
+def structure_table(spark, sf_dir, names=("w1", "w4", "w8", "w10", "w11", "w12", "w13", "w14")) -> DataFrame:
+    rows = [metrics_of(spark, sf_dir, w) for w in names]
+    out = rows[0]
+    for r in rows[1:]:
+        out = out.unionByName(r)
+    return out
+
+
+def frontier(spark, sf_dir):
+    """W1, the neighbours of its smallest vertex with the label 0 each, and degrees as a dense vector."""
+    g = workloads.graph(spark, sf_dir, "w1")
+    x = g.edges.where("src = 0").select(F.col("dst").alias("v"), F.lit(0).cast("long").alias("x"))
+    return g, x, g.vertices.select("v", F.col("deg").alias("y"))
+
+
+_E = "WITH e AS (SELECT l_partkey AS src, 1000000000 + l_suppkey AS dst FROM lineitem UNION SELECT 1000000000 + l_suppkey, l_partkey FROM lineitem), deg AS (SELECT src AS v, count(*) AS y FROM e GROUP BY 1), x AS (SELECT dst AS v, 0::BIGINT AS x FROM e WHERE src = 0) "
+
+
+def p_indices(spark, d):
+    return primitives.indices(frontier(spark, d)[1])
+
+
+def p_select(spark, d):
+    _, x, y = frontier(spark, d)
+    return primitives.select_where(x, y, F.col("y") % 2 == 0)
+
+
+def p_scatter(spark, d):
+    _, x, y = frontier(spark, d)
+    return primitives.scatter(y, x)
+
+
+def p_gather(spark, d):
+    _, x, y = frontier(spark, d)
+    return primitives.gather(x, y)
+
+
+def p_spmspv(spark, d):
+    g, x, _ = frontier(spark, d)
+    return primitives.spmspv(g.edges, x.withColumn("x", F.col("v")))
+
+
+def p_spmspv_2d(spark, d):
+    g, x, _ = frontier(spark, d)
+    return distribution.spmspv_2d(distribution.distribute_2d(g.edges, 4, 4), x.withColumn("x", F.col("v")))
+
+
+def p_spmspv_adjacency(spark, d):
+    g, x, _ = frontier(spark, d)
+    return distribution.spmspv_adjacency(distribution.adjacency(g.edges), x.withColumn("x", F.col("v")))
+
+
+def p_reduce(spark, d):
+    _, x, y = frontier(spark, d)
+    return primitives.reduce_over(x, y)
+
+
+def p_argmin(spark, d):
+    _, x, y = frontier(spark, d)
+    return primitives.argmin_over(x, y)
+
+
+def p_rank(strategy):
+    def run(spark, d):
+        g, _, _ = frontier(spark, d)
+        return ranking.sort_rank(g.vertices.select("v", "deg"), ["deg", "v"], strategy).select("v", "rank")
+
+    return run
+
+
+_PRODUCT = _E + "SELECT e.dst AS v, min(x.v) AS x FROM e JOIN x ON x.v = e.src GROUP BY 1"
+_RANK = _E + "SELECT v, row_number() OVER (ORDER BY y, v) - 1 AS rank FROM deg"
+PRIMITIVES = {
+    "primitive_indices": (p_indices, _E + "SELECT v FROM x"),
+    "primitive_select": (p_select, _E + "SELECT v, x FROM x JOIN deg USING (v) WHERE y % 2 = 0"),
+    "primitive_scatter": (p_scatter, _E + "SELECT v, coalesce(x, y) AS y FROM deg LEFT JOIN x USING (v)"),
+    "primitive_gather": (p_gather, _E + "SELECT v, y AS x FROM x JOIN deg USING (v)"),
+    "primitive_spmspv": (p_spmspv, _PRODUCT),
+    "primitive_spmspv_2d": (p_spmspv_2d, _PRODUCT),
+    "primitive_spmspv_adjacency": (p_spmspv_adjacency, _PRODUCT),
+    "primitive_reduce": (p_reduce, _E + "SELECT min(y) AS value FROM x JOIN deg USING (v)"),
+    "primitive_argmin": (p_argmin, _E + "SELECT v, y AS value FROM x JOIN deg USING (v) ORDER BY y, v LIMIT 1"),
+    **{f"sort_{s}_w1": (p_rank(s), _RANK) for s in ranking.STRATEGIES},
+}
+
+
+def natural_w4(spark, d):
+    return ordering.natural_order(workloads.graph(spark, d, "w4"))
+
+
+def gather_w1(spark, d):
+    return ordering.gather_order(workloads.graph(spark, d, "w1"))
+
+
+def spy_w4(spark, d):
+    g = workloads.graph(spark, d, "w4")
+    return metrics.spy(g.edges, ordering.frontier_order(g).labels, 16, g.vertices.count())
+
+
+def row_bandwidths_w1(spark, d):
+    g = workloads.graph(spark, d, "w1")
+    return metrics.row_bandwidths(g.edges, ordering.frontier_order(g).labels)
+
+
+def envelope_w12(spark, d):
+    g = workloads.graph(spark, d, "w12")
+    return metrics.envelope_pairs(g.edges, ordering.frontier_order(g).labels)
+
+
+def permute_w1(spark, d):
+    g = workloads.graph(spark, d, "w1")
+    return metrics.permute(g.edges, ordering.frontier_order(g).labels)
+
+
+def levels_sweep_w1(spark, d):
+    g = workloads.graph(spark, d, "w1")
+    placed = ordering.with_components(g)
+    roots = peripheral.pseudo_peripheral(g, placed.select("comp", F.col("comp").alias("v")).distinct())
+    return traverse.level_structure(g.edges, roots.select("comp", F.col("root").alias("v")))
+
+
+def levels_async_w1(spark, d):
+    g = workloads.graph(spark, d, "w1")
+    return traverse.levels_async(g.edges, spark.createDataFrame([(0,)], "v long"))[0]
+
+
+def relabel_scrambled_band(spark, d):
+    """Planted band: event chains of three steps, scrambled, then ordered; the measure is what comes back."""
+    g, _ = distribution.random_relabel(workloads.graph(spark, d, "w6"), 7)
+    o = ordering.frontier_order(g)
+    return metrics.quality(g.edges, o.labels).select("n", "bandwidth", F.col("profile").cast("long").alias("profile"))
+
+
+def balance_2d_w1(spark, d):
+    return distribution.balance(distribution.distribute_2d(workloads.graph(spark, d, "w1").edges, 4, 4))
+
+
+def cg_w12(spark, d):
+    """Iterations and entries across blocks, natural against reversed frontier order."""
+    g = workloads.graph(spark, d, "w12")
+    rows = []
+    for name, labels in (("natural", ordering.natural_order(g)), ("frontier", ordering.frontier_order(g).labels)):
+        m = shifted_laplacian(g.edges, labels)
+        rhs = labels.select(F.col("label").alias("i"), F.lit(1.0).alias("b"))
+        r = cg_block_jacobi(m, rhs, 8)
+        rows.append((name, r["iterations"], r["off_block"], r["residual"]))
+    return spark.createDataFrame(rows, "ordering string, iterations int, off_block long, residual double")
+
+
+def cost_table(spark, d):
+    """The cost model's estimates over processes for W1."""
+    shape = workloads.graph(spark, d, "w1").shape().first()
+    rows = [(p, *[round(CostModel().ordering(shape["n"], shape["nnz_offdiag"] // 2, p, 2)[k], 12) for k in ("operations", "messages", "words", "seconds")]) for p in (1, 4, 16, 64, 256, 1024)]
+    return spark.createDataFrame(rows, "p int, operations double, messages double, words double, seconds double")
+
+
+_SPY = "SELECT floor(x.label * 16 / c.n)::BIGINT AS bi, floor(y.label * 16 / c.n)::BIGINT AS bj, count(*) AS nnz FROM e JOIN o x ON x.v = e.src JOIN o y ON y.v = e.dst, (SELECT count(*) AS n FROM o) c GROUP BY 1, 2"
+OTHERS = {
+    "natural_w4": (natural_w4, oracles._with(oracles._graph("w4"), "SELECT v, row_number() OVER (ORDER BY v) - 1 AS label FROM deg")),
+    "gather_w1": (gather_w1, oracles.order("w1")),
+    "spy_w4": (spy_w4, oracles.order("w4", tail=_SPY)),
+    "row_bandwidths_w1": (row_bandwidths_w1, oracles.row_bandwidths("w1")),
+    "envelope_w12": (envelope_w12, oracles.row_bandwidths("w12").replace("SELECT i, beta FROM b1", "SELECT i, unnest(range(i - beta, i)) AS j FROM b1 WHERE beta > 0")),
+    "permute_w1": (permute_w1, oracles.order("w1", tail="SELECT x.label AS i, y.label AS j FROM e JOIN o x ON x.v = e.src JOIN o y ON y.v = e.dst")),
+    "levels_sweep_w1": (levels_sweep_w1, oracles.levels("w1")),
+    "levels_async_w1": (levels_async_w1, oracles._with(oracles._graph("w1") + oracles._search("first"), "SELECT v, l AS level FROM lv")),
+    "scrambled_band_w6": (relabel_scrambled_band, "SELECT count(*) AS n, 3 AS bandwidth, 3 * count(*) - 6 AS profile FROM events"),
+    "balance_2d_w1": (balance_2d_w1, None),
+    "cg_w12": (cg_w12, None),
+    "cost_table_w1": (cost_table, None),
+    "structure_table": (structure_table, None),
+    "order_algebraic_w4": (lambda s, d: order_of(s, d, "w4", root="algebraic"), oracles.order("w4", "algebraic")),
+    "order_first_w4": (lambda s, d: order_of(s, d, "w4", root="first"), oracles.order("w4", "first")),
+    "order_forward_w1": (lambda s, d: order_of(s, d, "w1", reverse=False), oracles.order("w1", reverse=False)),
+    "order_unsorted_parent_w1": (lambda s, d: order_of(s, d, "w1", sort="parent"), oracles.order("w1", sort="parent")),
+    "order_unsorted_level_w1": (lambda s, d: order_of(s, d, "w1", sort="level"), oracles.order("w1", sort="level")),
+    **{f"order_sweep_{s}_w1": (lambda spark, d, s=s: order_of(spark, d, "w1", plan="sweep", strategy=s), oracles.order("w1")) for s in ("general", "single")},
+    **{f"order_sweep_{w}": (lambda spark, d, w=w: order_of(spark, d, w, plan="sweep"), oracles.order(w)) for w in SWEPT},
+}
+PER_GRAPH = {
+    "components": (components_of, oracles.components),
+    "root": (roots_of, oracles.roots),
+    "levels": (levels_of, oracles.levels),
+    "order": (order_of, oracles.order),
+    "metrics": (metrics_of, oracles.metrics),
+}
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/part.parquet").select("p_partkey")
+    """The structure line of the part mesh: natural order against the reverse frontier ordering."""
+    return metrics_of(spark, sf_dir, "w4")
+
+
+def _each(f, w):
+    return lambda spark, sf_dir: f(spark, sf_dir, w)
 
 
 def queries() -> dict:
-    return {}
+    out = {f"{kind}_{w}": _each(f, w) for kind, (f, _) in PER_GRAPH.items() for w in workloads.NAMES}
+    out |= {k: f for part in (PRIMITIVES, OTHERS) for k, (f, _) in part.items()}
+    return out | relational.queries() | streams.queries()
 
 
 def oracle_sql() -> dict:
-    return {}
+    out = {f"{kind}_{w}": sql(w) for kind, (_, sql) in PER_GRAPH.items() for w in workloads.NAMES}
+    out |= {k: sql for part in (PRIMITIVES, OTHERS) for k, (_, sql) in part.items() if sql}
+    return out | relational.oracle_sql() | streams.oracle_sql()

@@ -1,12 +1,15 @@
 """Connected components by contraction.
 
-Each round every vertex takes the smallest id among itself and its neighbours, edges are redrawn between those, and
-loops and copies go. The smallest vertex of a component never moves, so it is what the component ends as. Vertices with edges
-left shrink from round to round; the maps of all rounds are composed at the end.
+Each round every vertex moves to the one of lowest priority among itself and its neighbours, where priorities are hashes
+seeded by the round; edges are redrawn between those, and loops and copies go. As priorities are random, the vertices that still have edges
+shrink by a constant factor a round on any graph, long chains included. The maps of all rounds are composed, and each
+component takes the smallest id of its vertices.
 """
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -21,15 +24,41 @@ def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst") -
     e = materialize(e.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "cc-edges")
     maps: list[DataFrame] = []
     while not e.isEmpty():
+        seed = F.lit(len(maps))
         both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        parent = materialize(both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("p")).withColumnRenamed("a", "v"), "cc-map")
+        low = both.groupBy("a").agg(F.min(F.struct(F.xxhash64("b", seed).alias("h"), F.col("b").alias("v"))).alias("m"))
+        own = F.struct(F.xxhash64("a", seed).alias("h"), F.col("a").alias("v"))
+        parent = materialize(low.select(F.col("a").alias("v"), F.least("m", own).getField("v").alias("p")), "cc-map")
         maps.append(parent)
         left = e.join(parent.withColumnsRenamed({"v": "a", "p": "pa"}), "a")
         drawn = left.join(parent.withColumnsRenamed({"v": "b", "p": "pb"}), "b").where("pa <> pb")
         e = materialize(drawn.select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).distinct(), "cc-edges")
     if not maps:
         return edges.sparkSession.createDataFrame([], "v long, comp long")
-    out = maps[0].withColumnRenamed("p", "comp")
+    out = maps[0].withColumnRenamed("p", "root")
     for m in maps[1:]:
-        out = out.join(m.withColumnsRenamed({"v": "_v", "p": "_p"}), F.col("comp") == F.col("_v"), "left").select("v", F.coalesce("_p", "comp").alias("comp"))
-    return materialize(out, "cc-labels") if len(maps) > 1 else out
+        out = out.join(m.withColumnsRenamed({"v": "_v", "p": "_p"}), F.col("root") == F.col("_v"), "left").select("v", F.coalesce("_p", "root").alias("root"))
+    out = materialize(out, "cc-roots")
+    least = materialize(out.groupBy("root").agg(F.min("v").alias("comp")), "cc-least")
+    return materialize(out.join(least, "root").select("v", "comp"), "cc-labels")
+
+
+def components_in_task(edges: DataFrame) -> DataFrame:
+    """The same for a graph that one task may hold."""
+
+    def run(e: pa.Table) -> pa.Table:
+        a, b = e.column("src").to_numpy(), e.column("dst").to_numpy()
+        ids = np.unique(np.concatenate([a, b]))
+        s, t = np.searchsorted(ids, a), np.searchsorted(ids, b)
+        label = np.arange(len(ids))
+        while True:
+            new = label.copy()
+            np.minimum.at(new, s, label[t])
+            np.minimum.at(new, t, label[s])
+            np.minimum.at(new, label, new.copy())  # a vertex's old label learns what it has met
+            new = new[new]
+            if (new == label).all():
+                return pa.table({"v": pa.array(ids), "comp": pa.array(ids[label])})
+            label = new
+
+    return edges.select("src", "dst").withColumn("k", F.lit(0)).groupBy("k").applyInArrow(run, "v long, comp long")

@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from bandspark.model import SymGraph
-from bandspark.operators.components import connected_components
+from bandspark.operators.components import components_in_task, connected_components
 from bandspark.operators.peripheral import pseudo_peripheral
 from bandspark.operators.ranking import sort_rank
 from bandspark.operators.serial import order_components
@@ -23,9 +23,9 @@ from bandspark.session import materialize
 TASK_EDGES = 8_000_000
 
 
-def with_components(g: SymGraph) -> DataFrame:
-    """(v, deg, comp); an isolated vertex is its own component."""
-    comps = connected_components(g.edges)
+def with_components(g: SymGraph, task_edges: int = TASK_EDGES) -> DataFrame:
+    """(v, deg, comp); an isolated vertex is its own component. A graph of at most ``task_edges`` goes to one task."""
+    comps = components_in_task(g.edges) if g.edges.count() <= task_edges else connected_components(g.edges)
     return materialize(g.vertices.join(comps, "v", "left").select("v", "deg", F.coalesce("comp", "v").alias("comp")), "vertices")
 
 
@@ -94,7 +94,7 @@ def _sweep(edges: DataFrame, placed: DataFrame, levels: DataFrame, table: DataFr
 
 def frontier_order(g: SymGraph, root: str = "classic", plan: str = "auto", reverse: bool = True, strategy: str = "bucket", sort: str = "degree", shrink: str = "min_degree", task_edges: int = TASK_EDGES) -> "Ordering":
     """Labels of all vertices. root: classic, algebraic or first; plan: auto, task or sweep; strategy: of the ranks in a sweep."""
-    placed = with_components(g)
+    placed = with_components(g, 0 if plan == "sweep" else task_edges)
     table = component_table(placed)
     small = table if plan == "task" else table.where("false") if plan == "sweep" else table.where(F.col("edges") <= task_edges)
     large = table.join(small.select("comp"), "comp", "left_anti")
