@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from bandspark.llm.textkit import small_batches, string_buffer
+from bandspark.llm.textkit import key_filter, small_batches, string_buffer, with_maybe
 from bandspark.session import materialize
 
 PRIME = (1 << 31) - 1
@@ -131,7 +131,9 @@ def duplicate_groups(docs: DataFrame, parallel_above: int = PARALLEL_ABOVE) -> D
     key = ["n_bytes", "fp"]
     groups = materialize(prints.groupBy(*key).agg(F.max("doc_id").alias("_lead"), F.count("*").alias("_n")).where("_n > 1"), "exact-groups")
     # compare the texts of groups of two or more with the text of the group's leader, chunk by chunk
-    texts = fingerprints(docs, with_text=True, parallel_above=parallel_above).join(groups, key)
+    hashed = F.xxhash64(*key)
+    texts = with_maybe(fingerprints(docs, with_text=True, parallel_above=parallel_above), hashed, materialize(key_filter(groups, hashed), "exact-filter"))
+    texts = texts.where("_maybe").join(groups, key)
     pieces = F.sequence(F.lit(0), F.floor(F.greatest(F.length("text") - 1, F.lit(0)) / COMPARE_CHARS).cast("int"))
     chunks = texts.select("doc_id", *key, "text_sha256", "_lead", "text", F.explode(pieces).alias("_no")).select(
         "doc_id", *key, "text_sha256", "_lead", "_no", F.expr(f"substring(text, _no * {COMPARE_CHARS} + 1, {COMPARE_CHARS})").alias("_piece")
@@ -154,17 +156,19 @@ def duplicate_groups(docs: DataFrame, parallel_above: int = PARALLEL_ABOVE) -> D
 
 
 def drop_duplicates(docs: DataFrame) -> DataFrame:
-    """The documents that stay, with all their columns. Only the list of dropped rows is joined to the texts."""
+    """The documents that stay, with all their columns. Only rows that may be on the list of dropped ones are joined with it."""
     cols = docs.columns
     rows = duplicate_groups(docs).groupBy(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_sha"))
     dropped = rows.agg(F.max("kept").alias("_some"), F.min("kept").alias("_all")).where("not _all").drop("_all")
     dropped = materialize(dropped, "exact-dropped")
-    marked = docs.withColumn("_sha256", F.sha2(F.coalesce("text", F.lit("")), 256))
+    marked = with_maybe(docs, F.xxhash64("doc_id"), materialize(key_filter(dropped, F.xxhash64("_id")), "exact-filter"))
+    clear = marked.where("not _maybe").select(*cols)
+    marked = marked.where("_maybe").withColumn("_sha256", F.sha2(F.coalesce("text", F.lit("")), 256))
     same = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_sha256") == F.col("_sha"))
     whole = marked.join(dropped, same, "left_anti")
     repeated = marked.join(dropped.where("_some"), same, "left_semi")  # rows with the same id and text: one of them
     repeated = repeated.withColumn("_n", F.row_number().over(Window.partitionBy("doc_id", "_sha256").orderBy(F.lit(0)))).where("_n = 1")
-    return whole.select(*cols).unionByName(repeated.select(*cols))
+    return clear.unionByName(whole.select(*cols)).unionByName(repeated.select(*cols))
 
 
 ORACLE_SQL = """

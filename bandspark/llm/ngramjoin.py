@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bandspark.operators.components import connected_components
-from bandspark.llm.textkit import blocks, mix, shingle_hashes, small_batches, string_buffer, word_hashes, word_spans
+from bandspark.llm.textkit import blocks, key_filter, mix, shingle_hashes, small_batches, string_buffer, word_hashes, word_spans, with_maybe
 from bandspark.session import materialize
 
 K, PERCENT = 4, 85
@@ -336,7 +336,9 @@ def one_of_each(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataFram
     cols = docs.columns
     others = similarity_classes(docs, k, percent).where("doc_id <> component_id").select(F.col("doc_id").alias("_id")).distinct()
     gone = materialize(others, "join-gone")
-    return docs.join(gone, F.col("doc_id") == F.col("_id"), "left_anti").select(*cols)
+    marked = with_maybe(docs, F.xxhash64(F.col("doc_id").cast("long")), materialize(key_filter(gone, F.xxhash64("_id")), "join-filter"))
+    kept = marked.where("_maybe").join(gone, F.col("doc_id") == F.col("_id"), "left_anti")
+    return marked.where("not _maybe").select(*cols).unionByName(kept.select(*cols))
 
 
 def query(spark, sf_dir: str) -> DataFrame:

@@ -10,6 +10,8 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
 #: Bytes handled by one kernel call; whole documents, so a longer document makes a longer call.
 BLOCK_BYTES = 1 << 20
@@ -27,6 +29,26 @@ _TABLE_LOWER = _TABLE[LOWER]
 _power = {"up": np.ones(1, np.uint64), "down": np.ones(1, np.uint64)}
 
 
+#: Bits of a filter of keys: 8 MB whatever the number of keys.
+FILTER_BITS = 1 << 26
+
+
+def key_filter(keys: DataFrame, key: Column) -> DataFrame:
+    """(_k, _bits): a bitmap over hashed keys, at most FILTER_BITS / 32768 rows of 4 KB. It says yes to all of the keys, and to few others."""
+    spot = F.pmod(key, F.lit(FILTER_BITS))
+    return keys.groupBy(F.bitmap_bucket_number(spot).alias("_k")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(spot)).alias("_bits"))
+
+
+def with_maybe(rows: DataFrame, key: Column, bits: DataFrame) -> DataFrame:
+    """Adds ``_maybe``: whether the filter says yes. Rows it denies need no join, so their texts need not be dealt out."""
+    spot = F.pmod(key, F.lit(FILTER_BITS))
+    at = F.bitmap_bit_position(spot)
+    byte = F.conv(F.hex(F.substring("_bits", F.floor(at / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    yes = F.floor(byte / F.pow(F.lit(2), at % 8)).cast("int") % 2 == 1
+    met = rows.withColumn("_k", F.bitmap_bucket_number(spot)).join(F.broadcast(bits), "_k", "left")  # bounded as said
+    return met.withColumn("_maybe", F.coalesce(yes, F.lit(False))).drop("_k", "_bits")
+
+
 def mix(h: np.ndarray) -> np.ndarray:
     """Finaliser that spreads 64-bit values."""
     h = h ^ (h >> _U(30))
