@@ -31,13 +31,13 @@ def with_components(g: SymGraph, task_edges: int = TASK_EDGES) -> DataFrame:
 
 def component_table(placed: DataFrame) -> DataFrame:
     """comp, n, directed edges, base (vertices of components before). One row a component; bases are ranked in ranges of comp."""
-    sizes = materialize(placed.groupBy("comp").agg(F.count("*").alias("n"), F.sum("deg").alias("edges")), "components")
+    sizes = placed.groupBy("comp").agg(F.count("*").alias("n"), F.sum("deg").alias("edges"))
     parts = materialize(sizes.repartitionByRange("comp").withColumn("_p", F.spark_partition_id()), "components")
     inside = F.sum("n").over(Window.partitionBy("_p").orderBy("comp").rowsBetween(Window.unboundedPreceding, -1))
     totals = parts.groupBy("_p").agg(F.sum("n").alias("t"))
     before = totals.select("_p", F.coalesce(F.sum("t").over(Window.orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("b"))
     out = parts.withColumn("i", F.coalesce(inside, F.lit(0))).join(before, "_p")
-    return materialize(out.select("comp", "n", "edges", (F.col("i") + F.col("b")).cast("long").alias("base")), "components")
+    return out.select("comp", "n", "edges", (F.col("i") + F.col("b")).cast("long").alias("base"))
 
 
 _HEAD = "kind int, comp long, v long, place long, level int, depth int, searches int, width long"
@@ -100,9 +100,16 @@ def frontier_order(g: SymGraph, root: str = "classic", plan: str = "auto", rever
     large = table.join(small.select("comp"), "comp", "left_anti")
     edges = g.edges.join(placed.select(F.col("v").alias("src"), "comp"), "src")
     parts, heads, levels = [], [], []
+    if plan == "auto" and large.isEmpty():
+        plan = "task"
+    if plan == "task":
+        small = table
+    elif plan == "sweep":
+        table = large = materialize(table, "components")
     if plan != "sweep":
-        own = placed.join(small.select("comp"), "comp", "left_semi").select("comp", "v")
-        done = _in_tasks(edges.join(small.select("comp"), "comp", "left_semi"), own, root, shrink, sort, None)
+        whole = plan == "task"
+        own = (placed if whole else placed.join(small.select("comp"), "comp", "left_semi")).select("comp", "v")
+        done = _in_tasks(edges if whole else edges.join(small.select("comp"), "comp", "left_semi"), own, root, shrink, sort, None)
         parts.append(done.where("kind = 0").join(small.select("comp", "base"), "comp").select("comp", "v", (F.col("place") + F.col("base")).alias("label")))
         heads.append(done.where("kind = 1").select("comp", F.col("v").alias("root"), "depth", "searches", "width"))
         levels.append(done.where("kind = 0").select("comp", "v", "level"))
