@@ -9,9 +9,10 @@ Two documents link when 100 * |A and B| >= PERCENT * |A or B| for their sets of
 2. A document's prefix is its first n - ceil(PERCENT n / 100) + 1 shingles in that order: linked documents share
    one. Documents with equal sets collapse to one; sets with equal size and prefix collapse to one group.
 3. Groups that share a shingle which is not common, and whose sizes allow a link, are candidates; group pairs are expanded
-   to members and verified on whole sets. A group of more than COMMON sets has a common prefix.
-4. Sets that share a common shingle are not paired all with all. In each bucket (shingle, size class) with more than
-   one class, members of other classes are verified against a few seeded pivots, links are contracted to
+   to members and verified on whole sets, as are the pairs inside a group of at most COMMON sets.
+4. Sets that share a common shingle are not paired all with all, nor are those of a larger group: if its prefix has only common shingles, its
+   sets meet at the first of them; otherwise (past MOST_COMMON, shingles in more than COMMON documents are not on the list) the
+   group is a bucket of its own. In each bucket (shingle or group, size class) with more than one class, members of other classes are verified against a few seeded pivots, links are contracted to
    classes, and after ROUNDS such rounds what is left of pairs across classes is verified in full. A pair inside
    one class needs no look: it cannot change the classes.
 
@@ -183,7 +184,7 @@ def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int) -> DataFrame:
         found = [np.zeros((0, 2), np.int64)]
         step = 1
         at = np.arange(len(tokens))
-        while len(at):  # each with the one ``step`` further in its run: at most COMMON - 1 steps
+        while len(at):  # each with the one ``step`` further in its run: at most COMMON - 1 steps, unless the list of common shingles is full
             at = at[at + step < len(tokens)]
             at = at[tokens[at] == tokens[at + step]]
             x, y = g[at], g[at + step]
@@ -277,14 +278,16 @@ def similarity_classes(docs: DataFrame, k: int = K, percent: int = PERCENT, comm
     leads = some.groupBy(*sig).agg(F.min("doc_id").alias("v"), F.first("pkey").alias("pkey"), F.first("cold").alias("cold"), F.first("hot").alias("hot"))
     leads = materialize(leads, "join-leads")
     groups = leads.groupBy("n", "pkey").agg(F.min("v").alias("g"), F.first("cold").alias("cold"), F.count("*").alias("m"))
-    members = materialize(leads.select("v", "n", "pkey").join(groups.select("n", "pkey", "g", "m"), ["n", "pkey"]).select("g", "v", "m"), "join-members")
+    members = materialize(leads.select("v", "n", "pkey").join(groups.select("n", "pkey", "g", "m", (F.size("cold") > 0).alias("unlisted")), ["n", "pkey"]).select("g", "v", "n", "m", "unlisted"), "join-members")
     size_class = F.floor(F.log(F.col("n").cast("double")) / float(np.log(100 / percent)) + 1e-9).cast("int")
     # sets by common shingle and size class, each in its own class and the next: sizes that allow a link meet
     hot = leads.where("size(hot) > 0").select("v", "n", size_class.alias("s"), F.size("cold").alias("before"), F.posexplode("hot").alias("at", "token"))
     hot = hot.select("v", "n", "s", "token", (F.col("n") - F.col("before") - F.col("at")).alias("rest"))  # shingles from this one on, in the global order
     crowded = hot.groupBy("token").agg(F.count("*").alias("m")).where("m > 1")
     hot = hot.join(crowded, "token", "left_semi").select("v", "n", "rest", "token", F.explode(F.array(F.col("s"), F.col("s") + 1)).alias("s"))
-    hot = materialize(hot, "join-hot")
+    # large groups whose first shared shingle is not common: nothing else pairs their members
+    large = members.where(f"m > {common} and unlisted").select("v", "n", F.col("n").alias("rest"), F.col("g").alias("token"), size_class.alias("s"))
+    hot = materialize(hot.unionByName(large), "join-hot")
     # candidates by other shingles, and inside small groups
     groups_of = members.select("g", "v")
     pairs = _pairs_of_cold(groups, buckets, percent)

@@ -2,6 +2,7 @@ import pathlib
 import random
 
 import duckdb
+import pyarrow as pa
 import pytest
 from tests.llm.test_pipeline import classes, shingles
 
@@ -91,6 +92,17 @@ def test_join_finds_every_link_in_crowded_buckets(spark, seed):
         assert all(r.n_shingles == len(shingles(docs[r.doc_id], 4)) for r in got)
 
 
+def test_join_links_inside_a_large_group_of_listless_shingles(spark):
+    words = [f"w{i}" for i in range(200)]
+    texts = [" ".join([*words, f"end{i}"]) for i in range(60)]
+    prefixes = [s[: len(s) - -(-85 * len(s) // 100) + 1].tobytes() for s in ngramjoin.document_sets(pa.array(texts), 4)]
+    same = [t for t, p in zip(texts, prefixes) if p == max(prefixes, key=prefixes.count)][:20]
+    assert len(same) == 20  # they differ only after the prefix
+    df = spark.createDataFrame(list(enumerate(same)), "doc_id long, text string")
+    for options in ({"most_common": 0}, {"most_common": 0, "rounds": 0}):
+        assert {r.component_id for r in ngramjoin.similarity_classes(df, **options).collect()} == {0}
+
+
 def test_components(spark):
     rng = random.Random(5)
     edges = [(rng.randrange(300), rng.randrange(300)) for _ in range(200)] + [(i, i + 1) for i in range(400, 460)] + [(9, 9), (None, 3)]
