@@ -204,10 +204,11 @@ def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int) -> DataFrame:
 def id_filter(ids: DataFrame, column: str = "v") -> np.ndarray:
     """A bitmap of ID_BITS bits over hashed ids: at most ID_BITS / 8 bytes whatever the number of ids; it says yes to all of them, and to few others."""
     spot = F.pmod(F.xxhash64(column), F.lit(ID_BITS))
-    parts = ids.groupBy(F.bitmap_bucket_number(spot).alias("k")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(spot)).alias("bits")).collect()
+    row, bit = F.shiftright(spot, 15), spot.bitwiseAND(F.lit(32767))  # Spark's own bucket numbers have one bucket more, for spot 0
+    parts = ids.groupBy(row.alias("k")).agg(F.bitmap_construct_agg(bit).alias("bits")).collect()
     out = np.zeros((ID_BITS >> 15, 4096), np.uint8)
     for r in parts:
-        out[r["k"] - 1] = np.frombuffer(r["bits"], np.uint8)
+        out[r["k"]] = np.frombuffer(r["bits"], np.uint8)
     return out.ravel()
 
 
@@ -228,7 +229,7 @@ def whole_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column("v"), pa.ListArray.from_arrays(pa.array(cut), pa.array(np.concatenate(sets).view(np.int64)))], names=["v", "set"])
 
     ids = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("v"), "text")
-    return ids.withColumn("spot", F.pmod(F.xxhash64("v"), F.lit(ID_BITS)) ).withColumn("spot", F.bitmap_bit_position("spot") + 32768 * (F.bitmap_bucket_number("spot") - 1)).mapInArrow(run, "v long, set array<long>")
+    return ids.withColumn("spot", F.pmod(F.xxhash64("v"), F.lit(ID_BITS))).mapInArrow(run, "v long, set array<long>")
 
 
 def verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:

@@ -103,6 +103,17 @@ def test_join_links_inside_a_large_group_of_listless_shingles(spark):
         assert {r.component_id for r in ngramjoin.similarity_classes(df, **options).collect()} == {0}
 
 
+def test_join_keeps_ids_of_the_first_and_last_spot(spark):
+    ids = [194350146, 292653225, 714, 1239, 2526]  # two whose hash is spot 0, and three of the last 32,767 spots
+    docs = spark.createDataFrame([(i, "a b c d e") for i in ids], "doc_id long, text string")
+    spots = {r.s for r in docs.selectExpr(f"pmod(xxhash64(doc_id), {ngramjoin.ID_BITS}) AS s").collect()}
+    assert min(spots) == 0 and len(spots) == 4 and sorted(spots)[1] > ngramjoin.ID_BITS - 32768
+    for some in (ids, ids[:2], ids[2:], [ids[0], ids[-1]]):
+        wanted = docs.where(docs.doc_id.isin(some)).selectExpr("doc_id AS v")
+        assert set(some) <= {r.v for r in ngramjoin.whole_sets(docs, wanted, 4).collect()}
+        assert int(ngramjoin.np.unpackbits(ngramjoin.id_filter(wanted)).sum()) == len(some) - (set(ids[:2]) <= set(some))
+
+
 def test_components(spark):
     rng = random.Random(5)
     edges = [(rng.randrange(300), rng.randrange(300)) for _ in range(200)] + [(i, i + 1) for i in range(400, 460)] + [(9, 9), (None, 3)]
