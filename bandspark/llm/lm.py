@@ -3,11 +3,11 @@
 1. Documents are read once, in blocks of about BLOCK_TOKENS tokens. A block keeps its documents as indexes into its list of
    distinct words, and sends that list (64-bit hashes, with counts over its training documents) in pieces by hash range.
 2. Pieces meet per hash range: counts over all training documents, sent back to the blocks. No vocabulary is
-   ever in one place: the driver gets one row of sums a hash range group, and the HEAD most frequent words.
+   ever in one place: the driver gets one row of sums a hash range group, and the most frequent words (HEAD, or the root of all types).
 3. Frequent words are tokens of their own, in classes of equal size; the others belong to tail classes by powers of two of
    their count, with P(word | class) = count / count of the class; unseen words share a class with words seen once.
-4. The recurrent model starts as the unigram model and learns in ROUNDS rounds: in each, one block of SHARE trains from the same
-   parameters (truncated backpropagation), and the parameters are averaged by their numbers of tokens, in two steps so that no
+4. The recurrent model starts as the unigram model and learns in ROUNDS rounds: in each, one block of ROUNDS trains from the same
+   parameters, so that every training document is learnt from once (truncated backpropagation), and the parameters are averaged by their numbers of tokens, in two steps so that no
    task meets them all. What is gathered grows with the corpus.
 5. Every block is scored with the state carried across windows, so a score is that of the whole document.
 
@@ -20,6 +20,7 @@ ignored; an empty table gives no rows.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -35,7 +36,7 @@ from bandspark.session import materialize
 FOLDS, HELD_OUT = 7, 2
 BLOCK_TOKENS = 1_000_000
 HEAD, PER_CLASS, TAILS, HIDDEN = 1024, 32, 24, 24
-ROUNDS, SHARE = 2, 16
+ROUNDS = 2
 #: The end of a text, as a hash no word has (words' hashes are of at least one byte).
 END = np.uint64(0xE0F5A11B00C0FFEE)
 #: Stands for a null id inside blocks.
@@ -116,7 +117,7 @@ def read_blocks(docs: DataFrame, buckets: int, block_tokens: int = BLOCK_TOKENS)
 
 
 #: Rows of the second pass: counts of a block's piece (block 0 and up), and of the hash range (block -1: sums per count class, -2: frequent words).
-def count_pieces(read: DataFrame, head: int = HEAD) -> DataFrame:
+def count_pieces(read: DataFrame, buckets: int, head: int = HEAD) -> DataFrame:
     def run(table: pa.Table) -> pa.Table:
         bucket = table.column("bucket")[0].as_py()
         pieces = [np.frombuffer(x, np.uint64) for x in table.column("a").to_pylist()]
@@ -130,7 +131,7 @@ def count_pieces(read: DataFrame, head: int = HEAD) -> DataFrame:
         seen = counts > 0
         cls = _count_class(counts[seen])
         rows.append((-1, bucket, np.bincount(cls, weights=counts[seen], minlength=64).astype(np.int64).tobytes(), np.bincount(cls, minlength=64).astype(np.int64).tobytes()))
-        top = np.lexsort((words, -counts))[:head]
+        top = np.lexsort((words, -counts))[: 2 * head_size(buckets * int(seen.sum()), head)]  # as many as all ranges give together, and more
         top = top[counts[top] > 0]
         rows.append((-2, bucket, words[top].tobytes(), counts[top].tobytes()))
         return pa.table({"block": pa.array([r[0] for r in rows], pa.int64()), "bucket": pa.array([r[1] for r in rows], pa.int32()), "a": pa.array([r[2] for r in rows], pa.binary()), "b": pa.array([r[3] for r in rows], pa.binary())})
@@ -138,6 +139,11 @@ def count_pieces(read: DataFrame, head: int = HEAD) -> DataFrame:
     return read.where("bucket >= 0").select("block", "bucket", "a", "b").groupBy("bucket").applyInArrow(run, "block long, bucket int, a binary, b binary")
 
 
+def head_size(types: int, head: int = HEAD) -> int:
+    """Frequent words of a vocabulary: at least ``head``, then the root of its types."""
+    return max(head, math.isqrt(types))
+
+
 def _count_class(counts: np.ndarray) -> np.ndarray:
     """0 for counts 0 and 1, then by powers of two."""
     return np.where(counts > 1, np.floor(np.log2(np.maximum(counts, 1))).astype(np.int64), 0)
@@ -175,7 +181,7 @@ class Vocabulary:
 
 
 def gather_vocabulary(counted: DataFrame, head: int = HEAD) -> Vocabulary:
-    """Sums per count class come as one row (their arrays are added by position), frequent words as at most ``head``."""
+    """Sums per count class come as one row (their arrays are added by position), frequent words as at most ``head_size``."""
 
     def totals(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         mass, types = np.zeros(64, np.int64), np.zeros(64, np.int64)
@@ -190,14 +196,15 @@ def gather_vocabulary(counted: DataFrame, head: int = HEAD) -> Vocabulary:
         for batch in batches:  # a task's most frequent words are among its ranges' most frequent words
             words = np.concatenate([words, *[np.frombuffer(x, np.int64) for x in batch.column("a").to_pylist()]])
             counts = np.concatenate([counts, *[np.frombuffer(x, np.int64) for x in batch.column("b").to_pylist()]])
-            top = np.lexsort((words, -counts))[:head]
+            top = np.lexsort((words, -counts))[:size]
             words, counts = words[top], counts[top]
         yield pa.RecordBatch.from_arrays([pa.array(words), pa.array(counts)], names=["word", "n"])
 
     sums = counted.where("block = -1").select("a", "b").mapInArrow(totals, "k long, mass long, types long").groupBy("k").agg(F.sum("mass").alias("mass"), F.sum("types").alias("types")).orderBy("k").toArrow()
-    top = counted.where("block = -2").select("a", "b").mapInArrow(unpack, "word long, n long").orderBy(F.desc("n"), "word").limit(head).toArrow()
     mass, types = np.zeros(64, np.int64), np.zeros(64, np.int64)
     mass[sums.column("k").to_numpy()], types[sums.column("k").to_numpy()] = sums.column("mass").to_numpy(), sums.column("types").to_numpy()
+    size = head_size(int(types.sum()), head)
+    top = counted.where("block = -2").select("a", "b").mapInArrow(unpack, "word long, n long").orderBy(F.desc("n"), "word").limit(size).toArrow()
     return Vocabulary(top.column("word").to_numpy().view(np.uint64), top.column("n").to_numpy(), mass, types)
 
 
@@ -228,22 +235,21 @@ def _average(rows: DataFrame, fan: int = 64) -> np.ndarray | None:
     return np.frombuffer(found[0]["p"], np.float64) if found and found[0]["w"] > 0 else None
 
 
-def score_documents(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, rounds: int = ROUNDS, share: int = SHARE) -> DataFrame:
+def score_documents(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, rounds: int = ROUNDS, head: int = HEAD) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
     spark = docs.sparkSession
     buckets = 2 * int(spark.conf.get("spark.sql.shuffle.partitions"))
     read = materialize(read_blocks(docs, buckets, block_tokens), "lm-read")
-    counted = materialize(count_pieces(read), "lm-counts")
-    vocabulary = gather_vocabulary(counted)
+    counted = materialize(count_pieces(read, buckets, head), "lm-counts")
+    vocabulary = gather_vocabulary(counted, head)
     payload = read.where("bucket = -1").select("block", "a", "b", "c", "d")
     pieces = read.where("bucket >= 0").select("block", "bucket", F.col("a").alias("h")).join(counted.where("block >= 0").select("block", "bucket", F.col("a").alias("n")), ["block", "bucket"])
     pieces = materialize(pieces, "lm-pieces")
     model = Gru(vocabulary.head, TAILS, PER_CLASS, HIDDEN, vocabulary.counts) if vocabulary.n else None
-    blocks_there = payload.count()
+    fan = max(64, math.isqrt(payload.count()))
     for r in range(rounds if model else 0):
-        mod = max(1, min(share, blocks_there // 2))
         flat = model.pack()
-        turn = F.pmod(F.xxhash64("block", F.lit(3)), F.lit(mod)) == r % mod
+        turn = F.pmod(F.xxhash64("block", F.lit(3)), F.lit(rounds)) == r
 
         def learn(a: pa.Table, b: pa.Table) -> pa.Table:
             if not a.num_rows:
@@ -258,7 +264,7 @@ def score_documents(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, rounds: i
             return pa.table({"key": pa.array([a.column("block")[0].as_py()], pa.int64()), "w": pa.array([float(len(tokens))]), "p": pa.array([own.pack().astype(np.float64).tobytes()], pa.binary())})
 
         trained = payload.where(turn).groupBy("block").cogroup(pieces.where(turn).groupBy("block")).applyInArrow(learn, "key long, w double, p binary")
-        found = _average(trained)
+        found = _average(trained, fan)
         if found is not None:
             model.unpack(found.astype(np.float32))
     flat = model.pack() if model else None

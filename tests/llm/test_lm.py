@@ -49,6 +49,23 @@ def test_edges(spark):
     assert (alone.train_tokens, alone.n_known, alone.score) == (0, 0, alone.base_score)
 
 
+def test_every_training_document_is_learnt_from_once(spark, monkeypatch):
+    rows = [(i, f"the cat {i % 9} sat on mat {i}") for i in range(200)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(40)
+    met, average = [], lm._average
+    monkeypatch.setattr(lm, "_average", lambda trained, *a: met.extend(trained.select("key", "w").collect()) or average(trained, *a))
+    got = lm.score_documents(docs, block_tokens=40).collect()
+    assert len(met) == len({r.key for r in met}) > 30
+    assert sum(r.w for r in met) == got[0].train_tokens
+
+
+def test_frequent_words_grow_with_the_vocabulary(spark):
+    docs = spark.createDataFrame([(i, f"a{i % 20} b{i % 40} c{i}") for i in range(400)], "doc_id long, text string")
+    counted = lm.count_pieces(lm.read_blocks(docs, 8), 8, 4)
+    found = lm.gather_vocabulary(counted, 4)
+    assert found.head == math.isqrt(found.v) > 4 and lm.head_size(10**6) == lm.HEAD
+
+
 def small(seed=0):
     return Gru(7, 3, 3, 4, np.arange(1, 11).astype(float), seed)
 
