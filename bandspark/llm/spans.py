@@ -43,7 +43,7 @@ def add_spans(df: DataFrame, text: str, kinds: dict[str, tuple[str, Column]]) ->
     df = df.withColumns({f"_g_{k}": F.when(F.size(f"_m_{k}") > 0, F.split(F.col(text), p, -1)).otherwise(nothing) for k, (p, _) in kinds.items()})
     step = {f"_e_{k}": F.when(F.size(f"_m_{k}") > 0, _ends(F.col(f"_m_{k}"), F.col(f"_g_{k}"))).otherwise(F.array().cast("array<bigint>")) for k in kinds}
     df = df.withColumns(step)
-    out = {f"_{k}": _spans(F.col(f"_m_{k}"), F.col(f"_g_{k}"), F.col(f"_e_{k}")) for k in kinds}
+    out = {f"_{k}": _spans(F.col(text), F.col(f"_m_{k}"), F.col(f"_g_{k}"), F.col(f"_e_{k}")) for k in kinds}
     return df.withColumns(out).drop(*[f"_{x}_{k}" for k in kinds for x in "mge"])
 
 
@@ -51,15 +51,20 @@ def _ends(m: Column, g: Column) -> Column:
     return running_sums(F.transform(m, lambda x, i: (F.length(F.get(g, i)) + F.length(x)).cast("bigint")))
 
 
-def _spans(m: Column, g: Column, e: Column) -> Column:
+def _near(text: Column, gap: Column, cut: Column, start: Column, n: Column) -> Column:
+    """``cut`` of the gap to the next match if that is long enough, else of the whole text: other matches are context as well."""
+    return F.when(F.length(gap) >= CONTEXT, cut).otherwise(text.substr((start + 1).cast("int"), n.cast("int")))
+
+
+def _spans(text: Column, m: Column, g: Column, e: Column) -> Column:
     return F.transform(
         m,
         lambda x, i: F.struct(
             (F.get(e, i) - F.length(x)).alias("start"),
             F.get(e, i).alias("end"),
             x.alias("value"),
-            F.right(F.get(g, i), F.lit(CONTEXT)).alias("before"),
-            F.left(F.get(g, i + 1), F.lit(CONTEXT)).alias("after"),
+            _near(text, F.get(g, i), F.right(F.get(g, i), F.lit(CONTEXT)), F.greatest(F.get(e, i) - F.length(x) - CONTEXT, F.lit(0)), F.least(F.get(e, i) - F.length(x), F.lit(CONTEXT))).alias("before"),
+            _near(text, F.get(g, i + 1), F.left(F.get(g, i + 1), F.lit(CONTEXT)), F.get(e, i), F.lit(CONTEXT)).alias("after"),
         ),
     )
 

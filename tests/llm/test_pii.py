@@ -77,3 +77,14 @@ def test_empty_table_and_repeats(spark):
     assert pii.find_personal_data(docs.where("false")).count() == 0
     assert sorted(len(r.found) for r in pii.find_personal_data(docs).collect()) == [1, 1, 1]
     assert sorted(r.text for r in pii.redact(docs).collect()) == ["[email]", "[email]", "[ip]"]
+
+
+def test_context_reaches_over_neighbouring_matches(spark):
+    from pyspark.sql import functions as F
+
+    from bandspark.llm.spans import CONTEXT, add_spans
+
+    text = "é call 55 / 66, " + "7 " * 30 + "x" * 50 + " 8"
+    row = add_spans(spark.createDataFrame([(text,)], "_text string"), "_text", {"n": ("[0-9]+", F.lit(True))}).first()
+    want = [(m.start(), m[0], text[max(0, m.start() - CONTEXT) : m.start()], text[m.end() : m.end() + CONTEXT]) for m in re.finditer("[0-9]+", text)]
+    assert [(s.start, s.value, s.before, s.after) for s in row["_n"]] == want
