@@ -1,13 +1,15 @@
 """Language identification by compression.
 
-For every language that the training rows name, a raw-content zstandard dictionary is made from the first
-characters of a bounded sample of its texts. A text is lowered, its non-letters become spaces, and it is compressed
+For every language that the training rows name, a raw-content zstandard dictionary is made from a bounded sample of pieces
+of its texts. A text is lowered, its non-letters become spaces, and it is compressed
 with each dictionary in chunks (so a long text costs memory for one chunk, and its evidence adds up over all of
 it); the language with the smallest total wins. ``score`` is the winner's share when each byte more
 halves a language's weight; a narrow margin gives a low score, and ``accepted`` is false below ``MIN_SCORE``.
 
-Training rows: non-null lang and text, and crc32 of the id as text not divisible by 5. Bounds: SAMPLE_DOCS texts a language in
-expectation (a hash of the id decides, cut to SAMPLE_DOCS at the driver), SAMPLE_CHARS characters each.
+Training rows: non-null lang and text, and crc32 of the id as text not divisible by 5. Every training text is cut into pieces of
+PIECE_CHARS code points, all of them candidates: a hash of id, text and piece number deals them to SAMPLE_PIECES
+buckets a language, and of each bucket the piece of least hash is taken. So a language gives at most SAMPLE_PIECES pieces, equal pieces of equal rows
+count once, and no language can be lost; the driver gets that many rows a language.
 
 Nulls and edges: a null text, or one without a letter, is ``und`` with score 0; a null id counts as the empty
 string for the fold; repeated rows are rows of their own; ties go to the language with more training rows, then by name;
@@ -23,8 +25,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-SAMPLE_DOCS = 256
-SAMPLE_CHARS = 1024
+#: The bound of the labelled sample: pieces a language, code points a piece.
+SAMPLE_PIECES = 256
+PIECE_CHARS = 1024
 CHUNK = 2048
 #: Compression levels: thorough for short texts, where few bytes decide.
 SHORT_BYTES, SHORT_LEVEL, LEVEL = 512, 12, 6
@@ -44,21 +47,27 @@ def held_out() -> Column:
     return F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))) % FOLDS == 0
 
 
-def learn_dictionaries(docs: DataFrame, sample_docs: int = SAMPLE_DOCS, seed: int = 17) -> list[tuple[str, bytes]]:
+def learn_dictionaries(docs: DataFrame, sample: int = SAMPLE_PIECES, seed: int = 17) -> list[tuple[str, bytes]]:
     """(language, dictionary), most frequent language first."""
     train = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out())
-    counts = {r["lang"]: r["count"] for r in train.groupBy("lang").count().collect()}  # one row a language
+    own = F.xxhash64(F.col("doc_id").cast("string"), "text", F.lit(seed))
+    last = F.floor(F.greatest(F.length("text") - 1, F.lit(0)) / PIECE_CHARS).cast("int")
+    pieces = train.select("lang", own.alias("_own"), "text", F.explode(F.sequence(F.lit(0), last)).alias("_no"))
+    pieces = pieces.select("lang", F.xxhash64("_own", "_no").alias("_h"), "_no", "text").withColumn("_bucket", F.pmod("_h", F.lit(sample)))
+    least = pieces.groupBy("lang", "_bucket").agg(F.min("_h").alias("_h"), F.sum((F.col("_no") == 0).cast("long")).alias("_rows")).collect()  # at most ``sample`` rows a language
+    counts: dict[str, int] = {}
+    for r in least:
+        counts[r["lang"]] = counts.get(r["lang"], 0) + r["_rows"]
     if not counts:
         return []
-    spark = docs.sparkSession
-    rates = spark.createDataFrame([(k, min(1.0, 1.2 * sample_docs / n)) for k, n in counts.items()], "lang string, _rate double")
-    draw = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(seed)), F.lit(1 << 30))
-    chosen = train.select("lang", draw.alias("_draw"), F.substring("text", 1, SAMPLE_CHARS).alias("_text")).join(F.broadcast(rates), "lang")  # one row a language
+    chosen = docs.sparkSession.createDataFrame([(r["lang"], r["_h"]) for r in least], "lang string, _h long")
+    piece = F.expr(f"substring(text, _no * {PIECE_CHARS} + 1, {PIECE_CHARS})")
+    taken = pieces.join(F.broadcast(chosen), ["lang", "_h"]).groupBy("lang", "_h").agg(F.min(piece).alias("_text"))  # bounded as the rows above
     found: dict[str, list] = {k: [] for k in counts}
-    for r in chosen.where(F.col("_draw") < F.col("_rate") * (1 << 30)).collect():  # about sample_docs rows a language
-        found[r["lang"]].append((r["_draw"], r["_text"]))
+    for r in taken.collect():
+        found[r["lang"]].append((r["_h"], r["_text"]))
     order = sorted(counts, key=lambda k: (-counts[k], k))
-    return [(k, b" ".join(normalise(t) for _, t in sorted(found[k])[:sample_docs])) for k in order if found[k]]
+    return [(k, b" ".join(normalise(t) for _, t in sorted(found[k]))) for k in order]
 
 
 class Classifier:
