@@ -2,14 +2,16 @@
 
 Every rule looks at a few exact statistics of a document and votes good (+1), bad (-1) or abstains (0).
 ``fit`` estimates, by expectation-maximisation over the counts of vote patterns, the share of good documents
-and each rule's rates of voting good, bad and nothing among good and among bad documents (with a Dirichlet
-prior that says a rule is better than chance). A document's posterior probability of being good replaces
+and each rule's rates of voting good, bad and nothing among good and among bad documents. A Dirichlet prior of PRIOR_WEIGHT documents says that a rule
+is better than chance; nothing else is held fixed. The rules are chosen so that every kind of junk meets two of them or more: a
+rule's accuracy shows in its agreement with others. A document's posterior probability of being good replaces
 "passes all rules". The counts are taken over all documents; what reaches the driver is one row per vote
 pattern, at most 3 ** (number of rules).
 
 Statistics per text: n_words, word_chars (code points in words), n_symbols (characters of ``#*$%&|<>``),
 n_dup_lines (lines with a word that equal an earlier line), n_repeat_words (words in 3-word windows found twice
-or more in the text, first included), n_upper (A-Z), n_digits (0-9), n_distinct (different words).
+or more in the text, first included), n_upper (A-Z), n_digits (0-9), n_distinct (different words), n_plain (letters A-Z and a-z, digits, and code points
+beyond ASCII), n_letter_words (words with a letter or such a code point).
 
 Nulls and edges: null text is empty; a text without words fails the base rule; ids may be null or repeated; other
 columns are ignored; an empty table gives no rows (and no fit is made).
@@ -37,7 +39,9 @@ UPPER = np.zeros(256, bool)
 UPPER[65:91] = True
 DIGIT = np.zeros(256, bool)
 DIGIT[48:58] = True
-STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_upper", "n_digits", "n_distinct")
+LETTER = np.zeros(256, bool)  # first bytes of code points beyond ASCII count as letters
+LETTER[65:91] = LETTER[97:123] = LETTER[0xC0:] = True
+STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_upper", "n_digits", "n_distinct", "n_plain", "n_letter_words")
 
 
 def _per_row(flags: np.ndarray, offsets: np.ndarray) -> np.ndarray:
@@ -73,6 +77,10 @@ def statistics(data: np.ndarray, offsets: np.ndarray) -> dict[str, np.ndarray]:
     owner = np.repeat(np.arange(n, dtype=np.uint64), counts)
     salt = mix(owner + np.uint64(0x5851F42D4C957F2D))
     out = {"n_words": counts, "word_chars": _per_row(LEAD[data] & ~WHITE[data], offsets), "n_symbols": _per_row(SYMBOLS[data], offsets), "n_upper": _per_row(UPPER[data], offsets), "n_digits": _per_row(DIGIT[data], offsets)}
+    letters = np.zeros(len(data) + 1, np.int64)
+    np.cumsum(LETTER[data], out=letters[1:])
+    out["n_plain"] = letters[offsets[1:]] - letters[offsets[:-1]] + out["n_digits"]
+    out["n_letter_words"] = _per_row(letters[ends] > letters[starts], rows)
     out["n_distinct"] = np.bincount(owner[~_later_copies(words ^ salt)].astype(np.int64), minlength=n) if len(words) else np.zeros(n, np.int64)
     # 3-word windows inside one row, found twice or more in that row
     covered = np.zeros(len(words) + 1, np.int64)
@@ -120,18 +128,20 @@ def _vote(bad: Column, good: Column) -> Column:
 
 
 def rules() -> dict[str, Column]:
-    """name: vote, from the statistics' columns. Thresholds are those of public web-text filters."""
-    w = F.greatest(F.col("n_words"), F.lit(1))
-    mean = F.col("word_chars") / w
+    """name: vote, from the statistics' columns. Thresholds are those of public web-text filters; variety is the root type-token ratio."""
+    w, c = F.greatest(F.col("n_words"), F.lit(1)), F.greatest(F.col("word_chars"), F.lit(1))
+    mean, variety = F.col("word_chars") / w, F.col("n_distinct") / F.sqrt(w)
     return {
         "length": _vote(F.col("n_words") < 50, F.col("n_words") >= 80),
         "word_length": _vote((mean < 3) | (mean > 10), (mean >= 3.5) & (mean <= 8)),
         "symbols": _vote(F.col("n_symbols") > 0.1 * w, F.col("n_symbols") <= 0.01 * w),
         "repeats": _vote(F.col("n_repeat_words") > 0.3 * w, F.col("n_repeat_words") <= 0.1 * w),
         "lines": _vote((F.col("n_dup_lines") >= 5) & (F.col("n_dup_lines") * 20 > w), F.col("n_dup_lines") == 0),
-        "upper": _vote(F.col("n_upper") > 0.4 * F.greatest(F.col("word_chars"), F.lit(1)), F.col("n_upper") <= 0.1 * F.col("word_chars")),
-        "digits": _vote(F.col("n_digits") > 0.3 * F.greatest(F.col("word_chars"), F.lit(1)), F.col("n_digits") <= 0.05 * F.col("word_chars")),
-        "variety": _vote(F.col("n_distinct") * 20 < w, (F.col("n_distinct") * 5 >= w)),
+        "upper": _vote(F.col("n_upper") > 0.4 * c, F.col("n_upper") <= 0.1 * c),
+        "digits": _vote(F.col("n_digits") > 0.3 * c, F.col("n_digits") <= 0.05 * c),
+        "variety": _vote(variety < 3, variety >= 5),
+        "plain": _vote(F.col("n_plain") < 0.85 * c, F.col("n_plain") >= 0.9 * c),
+        "words": _vote(F.col("n_letter_words") < 0.8 * w, F.col("n_letter_words") >= 0.9 * w),
     }
 
 
@@ -139,33 +149,29 @@ def base_failed() -> Column:
     return (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
 
 
-#: Prior counts of a rule's votes (bad, nothing, good) among bad and among good documents, as shares.
-PRIOR_BAD = (0.2, 0.1, 0.7)
-PRIOR_GOOD = (0.001, 0.1, 0.899)
-#: A rule votes bad on at most this share of good documents; the M step keeps to it.
-MOST_FALSE = 0.002
-PRIOR_WEIGHT = 50.0
+#: A rule's votes (bad, nothing, good) among bad and among good documents before any data, as shares; the fit starts from them.
+PRIOR_BAD = (0.3, 0.1, 0.6)
+PRIOR_GOOD = (0.02, 0.1, 0.88)
 PRIOR_GOOD_SHARE = 0.9
-ITERATIONS = 100
+#: Documents that the prior counts as, whatever the number of documents: it fades as they grow.
+PRIOR_WEIGHT = 20.0
+ITERATIONS, TOLERANCE = 2000, 1e-9
 
 
 def fit(patterns: np.ndarray, counts: np.ndarray, iterations: int = ITERATIONS) -> dict:
-    """patterns: (P, R) votes in -1, 0, 1; counts: documents of each. Rates by maximum a posteriori EM."""
+    """patterns: (P, R) votes in -1, 0, 1; counts: documents of each. The good documents' share and all rates (class, rule, vote), by expectation-maximisation."""
     counts = counts.astype(float)
     hot = np.stack([patterns == v for v in (-1, 0, 1)], axis=2).astype(float)  # P, R, 3
     prior = np.array([PRIOR_BAD, PRIOR_GOOD])[:, None, :] * np.ones((2, patterns.shape[1], 1))
     rates, share = prior.copy(), PRIOR_GOOD_SHARE
-    weight = PRIOR_WEIGHT
-    silent = (counts @ hot[:, :, 1] + weight * prior[1, :, 1]) / (counts.sum() + weight)  # abstaining tells nothing: one rate for both classes
     for _ in range(iterations):
         post = posterior(patterns, {"rates": rates, "share": share})
-        share = (counts @ post + (counts.sum() + weight) * PRIOR_GOOD_SHARE) / (2 * counts.sum() + weight)  # the prior counts as much as the data
+        before, share = share, (counts @ post + PRIOR_WEIGHT * PRIOR_GOOD_SHARE) / (counts.sum() + PRIOR_WEIGHT)
         for k, p in ((0, 1 - post), (1, post)):
-            seen = np.einsum("p,prv->rv", counts * p, hot) + weight * prior[k]
-            against = seen[:, 0] / (seen[:, 0] + seen[:, 2])
-            if k:
-                against = np.minimum(against, MOST_FALSE)
-            rates[k] = np.stack([against * (1 - silent), silent, (1 - against) * (1 - silent)], axis=1)
+            seen = np.einsum("p,prv->rv", counts * p, hot) + PRIOR_WEIGHT * prior[k]
+            rates[k] = seen / seen.sum(axis=1, keepdims=True)
+        if abs(share - before) < TOLERANCE:
+            break
     return {"rates": rates, "share": share}
 
 
