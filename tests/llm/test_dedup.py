@@ -158,3 +158,17 @@ def test_mix_properties(spark):
     out = mixing.mixed_documents(docs)
     assert out.columns == docs.columns and out.count() == sum(r.copies for r in got)
     assert mixing.mix_sources(docs.where("false")).count() == 0
+
+
+@pytest.mark.parametrize("edge_rows", [7, 100_000])
+def test_mix_meets_its_targets_with_equal_and_null_ids(spark, edge_rows):
+    equal = [(None, "a b c d e", "x", 1.0)] * 100 + [(None, "a b c d e", "y", 1.0)] * 40 + [(7, f"w{i} " * (i % 9), "z", 1.0) for i in range(120)] + [(7, "q r", None, 1.0)] * 33 + [(None, None, "x", 1.0)] * 3
+    docs = spark.createDataFrame(equal, "doc_id long, text string, source string, size double").repartition(7)
+    rows = mixing.mix_sources(docs, edge_rows=edge_rows).select("doc.source", "size", "source_size", "target", "taken").collect()
+    assert len(rows) == len(equal)
+    for source in ("x", "y", "z", None):
+        own = [r for r in rows if r.source == source]
+        assert abs(sum(r.taken for r in own) - own[0].target) <= max(r.size for r in own) and all(r.taken <= 3 * r.size for r in own)
+    again = mixing.mix_sources(docs, edge_rows=3).select("doc.source", "size", "source_size", "target", "taken").collect()
+    assert sorted(map(str, rows)) == sorted(map(str, again))
+    assert mixing.mixed_documents(docs, edge_rows=edge_rows).columns == docs.columns
