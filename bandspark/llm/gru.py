@@ -53,158 +53,207 @@ class Gru:
         return np.where(ids < self.head, ids // self.per, self.head_classes + ids - self.head)
 
     # -- one window -----------------------------------------------------------------------------------
-    def states(self, inputs: np.ndarray, h: np.ndarray, keep: bool = False):
-        """States after each of the (T, B) inputs, from h (B, H); an input ``start`` clears the state first."""
+    def states(self, inputs: np.ndarray, fresh: np.ndarray, h: np.ndarray, keep: bool = False):
+        """States after each of the (T, B) inputs, from h (B, H); where ``fresh`` the state is cleared first."""
         t_max, b = inputs.shape
         k, u = self.hidden, self.p["u"]
         gates = self.p["g"][inputs]
+        gates[:, :, : 2 * k] *= F(0.5)  # 1 / (1 + exp(-x)) = (1 + tanh(x / 2)) / 2
+        half = u.copy()
+        half[:, : 2 * k] *= F(0.5)
         out = np.empty((t_max, b, k), F)
-        saved = []
-        fresh = inputs == self.start
+        kept = [np.empty((t_max, b, n), F) for n in (k, 2 * k, k, k)] if keep else None  # state before, gates, candidate, its recurrent part
+        cleared = fresh.any(axis=1)
         for t in range(t_max):
-            if fresh[t].any():
+            if cleared[t]:
                 h = np.where(fresh[t][:, None], F(0), h)
-            a, hu = gates[t], h @ u
-            zr = 1 / (1 + np.exp(-(a[:, : 2 * k] + hu[:, : 2 * k])))
-            z, r = zr[:, :k], zr[:, k:]
-            n = np.tanh(a[:, 2 * k :] + r * hu[:, 2 * k :])
-            new = n + z * (h - n)
+            hu = h @ half
+            zr = kept[1][t] if keep else np.empty((b, 2 * k), F)
+            np.add(gates[t, :, : 2 * k], hu[:, : 2 * k], out=zr)
+            np.tanh(zr, out=zr)
+            zr *= F(0.5)
+            zr += F(0.5)
+            n = kept[2][t] if keep else np.empty((b, k), F)
+            np.multiply(zr[:, k:], hu[:, 2 * k :], out=n)
+            n += gates[t, :, 2 * k :]
+            np.tanh(n, out=n)
             if keep:
-                saved.append((h, z, r, n, hu[:, 2 * k :]))
-            h = out[t] = new
-        return out, h, saved
+                kept[0][t], kept[3][t] = h, hu[:, 2 * k :]
+            new = out[t]
+            np.subtract(h, n, out=new)
+            new *= zr[:, :k]
+            new += n
+            h = new
+        return out, h, kept
 
     def log_probs(self, states: np.ndarray, targets: np.ndarray, grads: dict | None = None):
         """Natural log P of each target (N) from its state (N, H); with ``grads``, also the gradient to the states."""
-        rows = np.arange(len(targets))
         cls = self.class_of(targets)
-        logits = states @ self.p["wc"] + self.p["bc"]
-        logits -= logits.max(axis=1, keepdims=True)
-        e = np.exp(logits)
-        total = e.sum(axis=1)
+        order = np.argsort(cls, kind="stable")  # all further work is in the order of classes, so that a class is a slice
+        states, targets, cls = states[order], targets[order], cls[order]
+        cut = np.searchsorted(cls, np.arange(self.head_classes + 1))
+        rows = np.arange(len(targets))
+        logits, e, total = self._softmax(states, self.p["wc"], self.p["bc"])
         out = logits[rows, cls] - np.log(total)
         back = None
         if grads is not None:
-            d = e / total[:, None]
-            d[rows, cls] -= 1
-            grads["wc"], grads["bc"] = states.T @ d, d.sum(axis=0)
-            back = d @ self.p["wc"].T
+            e /= total[:, None]
+            e[rows, cls] -= 1
+            grads["wc"], grads["bc"] = states.T @ e, np.ones(len(e), e.dtype) @ e
+            back = e @ self.p["wc"].T
             grads["ww"], grads["bw"] = np.zeros_like(self.p["ww"]), np.zeros_like(self.p["bw"])
-        order = np.argsort(cls, kind="stable")
-        cut = np.searchsorted(cls[order], np.arange(self.head_classes + 1))
-        for c in range(self.head_classes):
-            at = order[cut[c] : cut[c + 1]]
-            if not len(at):
-                continue
-            s, w = states[at], targets[at] % self.per
-            logits = s @ self.p["ww"][c] + self.p["bw"][c]
-            logits -= logits.max(axis=1, keepdims=True)
-            e = np.exp(logits)
-            total = e.sum(axis=1)
-            own = np.arange(len(at))
-            out[at] += logits[own, w] - np.log(total)
+        word = targets[: cut[-1]] % self.per
+        for c in np.flatnonzero(cut[1:] > cut[:-1]).tolist():
+            a, b = int(cut[c]), int(cut[c + 1])
+            w, own = word[a:b], rows[: b - a]
+            logits, e, total = self._softmax(states[a:b], self.p["ww"][c], self.p["bw"][c])
+            out[a:b] += logits[own, w] - np.log(total)
             if grads is not None:
-                d = e / total[:, None]
-                d[own, w] -= 1
-                grads["ww"][c], grads["bw"][c] = s.T @ d, d.sum(axis=0)
-                back[at] += d @ self.p["ww"][c].T
-        return out, back
+                e /= total[:, None]
+                e[own, w] -= 1
+                np.matmul(states[a:b].T, e, out=grads["ww"][c])
+                np.matmul(np.ones(b - a, e.dtype), e, out=grads["bw"][c])
+                back[a:b] += e @ self.p["ww"][c].T
+        found = np.empty_like(out)
+        found[order] = out
+        if back is not None:
+            plain = np.empty_like(back)
+            plain[order] = back
+            back = plain
+        return found, back
+
+    @staticmethod
+    def _softmax(states: np.ndarray, w: np.ndarray, bias: np.ndarray):
+        """Logits (kept where their exponentials are finite), exponentials and their row sums."""
+        logits = states @ w
+        logits += bias
+        np.clip(logits, -60, 60, out=logits)
+        e = np.exp(logits)
+        return logits, e, e @ np.ones(e.shape[1], e.dtype)
 
-    def gradients(self, inputs: np.ndarray, targets: np.ndarray, mask: np.ndarray, h: np.ndarray):
+    def gradients(self, inputs: np.ndarray, targets: np.ndarray, mask: np.ndarray, fresh: np.ndarray, h: np.ndarray):
         """Mean loss, gradients by truncated backpropagation through the window, and the state after it."""
         t_max, b = inputs.shape
-        k, u = self.hidden, self.p["u"]
-        states, last, saved = self.states(inputs, h, keep=True)
+        k, ut = self.hidden, np.ascontiguousarray(self.p["u"].T)
+        states, last, kept = self.states(inputs, fresh, h, keep=True)
         live = np.flatnonzero(mask.ravel())
         grads: dict[str, np.ndarray] = {}
         logp, back = self.log_probs(states.reshape(-1, k)[live], targets.ravel()[live], grads)
-        dh_out = np.zeros((t_max * b, k), F)
+        dh_out = np.zeros((t_max * b, k), states.dtype)
         dh_out[live] = back
         dh_out = dh_out.reshape(t_max, b, k)
-        du, da_all = np.zeros_like(u), np.empty((t_max, b, 3 * k), F)
-        dh = np.zeros((b, k), F)
+        before, zr, n, hn = kept
+        z, r = zr[:, :, :k], zr[:, :, k:]
+        # all factors that do not depend on the gradient, for the whole window at once
+        to_n, to_z, to_r = (1 - z) * (1 - n * n), (before - n) * z * (1 - z), hn * r * (1 - r)
+        da = np.empty((t_max, b, 3 * k), states.dtype)
+        dhu = np.empty((t_max, b, 3 * k), states.dtype)
+        dh = np.zeros((b, k), states.dtype)
+        cleared = fresh.any(axis=1)
         for t in range(t_max - 1, -1, -1):
-            h0, z, r, n, hn = saved[t]
-            dh = dh + dh_out[t]
-            dn = dh * (1 - z) * (1 - n * n)
-            dz = dh * (h0 - n) * z * (1 - z)
-            dr = dn * hn * r * (1 - r)
-            da = da_all[t]
-            da[:, :k], da[:, k : 2 * k], da[:, 2 * k :] = dz, dr, dn
-            dhu = np.concatenate([dz, dr, dn * r], axis=1)
-            du += h0.T @ dhu
-            dh = dh * z + dhu @ u.T
-            dh[inputs[t] == self.start] = 0
-        grads["u"] = du
-        flat, da = inputs.ravel(), da_all.reshape(-1, 3 * k)
+            dh += dh_out[t]
+            dn = np.multiply(dh, to_n[t], out=da[t, :, 2 * k :])
+            np.multiply(dh, to_z[t], out=da[t, :, :k])
+            np.multiply(dn, to_r[t], out=da[t, :, k : 2 * k])
+            dhu[t, :, : 2 * k] = da[t, :, : 2 * k]
+            np.multiply(dn, r[t], out=dhu[t, :, 2 * k :])
+            dh *= z[t]
+            dh += dhu[t] @ ut
+            if cleared[t]:
+                dh[fresh[t]] = 0
+        grads["u"] = before.reshape(-1, k).T @ dhu.reshape(-1, 3 * k)
+        flat, da = inputs.ravel(), da.reshape(-1, 3 * k)
         order = np.argsort(flat, kind="stable")
         ids, first = np.unique(flat[order], return_index=True)
         grads["g"] = np.zeros_like(self.p["g"])
         grads["g"][ids] = np.add.reduceat(da[order], first, axis=0)
-        n = max(1, len(live))
-        return -float(logp.sum()) / n, {key: g / n for key, g in grads.items()}, last
+        count = max(1, len(live))
+        return -float(logp.sum()) / count, {key: g / count for key, g in grads.items()}, last
 
     # -- whole documents ------------------------------------------------------------------------------
-    def lanes(self, lengths: np.ndarray, n: int) -> list[list[int]]:
-        """Documents dealt to at most n lanes, the longest first to the shortest lane; longest lane first."""
-        heap = [(0, i) for i in range(max(1, min(n, len(lengths))))]
-        out: list[list[int]] = [[] for _ in heap]
-        for d in np.argsort(-lengths, kind="stable"):
-            size, i = heapq.heappop(heap)
-            out[i].append(int(d))
-            heapq.heappush(heap, (size + int(lengths[d]), i))
-        return sorted(out, key=lambda docs: -int(lengths[docs].sum()) if docs else 0)
-
-    def arrange(self, ids: np.ndarray, offsets: np.ndarray, lanes: int):
-        """(inputs, targets, document) as (steps, lanes), the number of lanes alive at each step. Document -1 is padding."""
-        lengths = np.diff(offsets)
-        dealt = self.lanes(lengths, lanes)
-        sizes = np.array([int(lengths[x].sum()) if x else 0 for x in dealt])
-        steps = int(sizes.max()) if len(sizes) else 0
-        targets, docs = np.zeros((len(dealt), steps), np.int32), np.full((len(dealt), steps), -1, np.int32)
-        inputs = np.full((len(dealt), steps), self.start, np.int32)
-        for i, own in enumerate(dealt):
-            at = 0
-            for d in own:
-                a, b = int(offsets[d]), int(offsets[d + 1])
-                targets[i, at : at + b - a] = ids[a:b]
-                docs[i, at : at + b - a] = d
-                inputs[i, at + 1 : at + b - a] = ids[a : b - 1]
-                at += b - a
-        alive = np.searchsorted(-sizes, -np.arange(steps), side="left")
-        return inputs.T, targets.T, docs.T, alive
-
     def score(self, ids: np.ndarray, offsets: np.ndarray, lanes: int = 256, window: int = 64) -> np.ndarray:
         """log10 P of every document, its state carried over all windows."""
         out = np.zeros(len(offsets) - 1)
-        inputs, targets, docs, alive = self.arrange(ids, offsets, lanes)
-        h = np.zeros((inputs.shape[1], self.hidden), F)
-        for t in range(0, len(inputs), window):
-            b = int(alive[t])
-            states, h, _ = self.states(np.ascontiguousarray(inputs[t : t + window, :b]), h[:b])
-            d = docs[t : t + window, :b].ravel()
-            live = np.flatnonzero(d >= 0)
-            logp, _ = self.log_probs(states.reshape(-1, self.hidden)[live], targets[t : t + window, :b].ravel()[live])
-            out += np.bincount(d[live], weights=logp, minlength=len(out))
+        dealt = Lanes(offsets, lanes)
+        h = np.zeros((dealt.n, self.hidden), F)
+        for at, mask, fresh in dealt.windows(window):
+            states, h, _ = self.states(self._inputs(ids, at, dealt.begins[at]), fresh, h[: at.shape[1]])
+            live = np.flatnonzero(mask.ravel())
+            at = at.ravel()[live]
+            logp, _ = self.log_probs(states.reshape(-1, self.hidden)[live], ids[at])
+            out += np.bincount(np.searchsorted(offsets, at, side="right") - 1, weights=logp, minlength=len(out))
         return out / np.log(10)
 
-    def train(self, ids: np.ndarray, offsets: np.ndarray, lanes: int = 64, window: int = 16, rate: float = 0.01) -> "Gru":
-        """One pass over the documents by Adam, a step for each window of truncated backpropagation."""
-        inputs, targets, docs, alive = self.arrange(ids, offsets, lanes)
-        h = np.zeros((inputs.shape[1], self.hidden), F)
+    def _inputs(self, ids: np.ndarray, at: np.ndarray, begins: np.ndarray) -> np.ndarray:
+        return np.where(begins, np.int32(self.start), ids[at - 1])
+
+    def train(self, ids: np.ndarray, offsets: np.ndarray, lanes: int = 128, window: int = 16, rate: float = 0.014, segment: int = 512) -> "Gru":
+        """One pass over the documents by Adam, a step for each window of truncated backpropagation. A long document is cut into segments, which go
+        to lanes of their own; each starts from a cleared state, with the token before it as its first input."""
+        dealt = Lanes(offsets, lanes, segment)
+        h = np.zeros((dealt.n, self.hidden), F)
         m = {k: np.zeros_like(v) for k, v in self.p.items()}
         v2 = {k: np.zeros_like(v) for k, v in self.p.items()}
-        steps = max(1, -(-len(inputs) // window))
-        for i in range(steps if len(inputs) else 0):
-            t = i * window
-            b = int(alive[t])
-            _, grads, h = self.gradients(np.ascontiguousarray(inputs[t : t + window, :b]), targets[t : t + window, :b], docs[t : t + window, :b] >= 0, h[:b])
-            size = np.sqrt(sum(float((g * g).sum()) for g in grads.values()))
+        steps = max(1, -(-dealt.longest // window))
+        for i, (at, mask, fresh) in enumerate(dealt.windows(window)):
+            _, grads, h = self.gradients(self._inputs(ids, at, dealt.begins[at]), ids[at], mask, fresh, h[: at.shape[1]])
+            size = np.sqrt(sum(float(np.vdot(g, g)) for g in grads.values()))
             clip = min(1.0, 5.0 / (size + 1e-9))
             now = rate * (1 - 0.9 * i / steps) * np.sqrt(1 - 0.999 ** (i + 1)) / (1 - 0.9 ** (i + 1))
             for k, g in grads.items():
-                g = g * F(clip)
-                m[k] += F(0.1) * (g - m[k])
-                v2[k] += F(0.001) * (g * g - v2[k])
-                self.p[k] -= F(now) * m[k] / (np.sqrt(v2[k]) + F(1e-8))
+                g *= F(clip)
+                m[k] *= F(0.9)
+                m[k] += F(0.1) * g
+                g *= g
+                v2[k] *= F(0.999)
+                g *= F(0.001)
+                v2[k] += g
+                np.sqrt(v2[k], out=g)
+                g += F(1e-8)
+                np.divide(m[k], g, out=g)
+                g *= F(now)
+                self.p[k] -= g
         return self
+
+
+class Lanes:
+    """Documents (or segments of them) dealt to at most ``lanes`` lanes of about equal length, read window by window.
+
+    What is held is the lanes' pieces, not an array as wide as all lanes and as long as the longest."""
+
+    def __init__(self, offsets: np.ndarray, lanes: int, segment: int | None = None):
+        starts, ends = offsets[:-1].astype(np.int64), offsets[1:].astype(np.int64)
+        if segment:
+            parts = np.maximum(1, -(-(ends - starts) // segment))
+            base = np.repeat(starts, parts)
+            no = np.arange(len(base)) - np.repeat(np.cumsum(parts) - parts, parts)
+            ends = np.minimum(base + (no + 1) * segment, np.repeat(ends, parts))
+            starts = base + no * segment
+        lengths = ends - starts
+        self.begins = np.zeros(int(offsets[-1]) + 1, bool)
+        self.begins[offsets[:-1]] = True
+        heap = [(0, i) for i in range(max(1, min(lanes, len(lengths))))]
+        dealt: list[list[int]] = [[] for _ in heap]
+        for d in np.argsort(-lengths, kind="stable").tolist():
+            size, i = heapq.heappop(heap)
+            dealt[i].append(d)
+            heapq.heappush(heap, (size + int(lengths[d]), i))
+        sizes = {i: s for s, i in heap}
+        order = sorted(range(len(dealt)), key=lambda i: -sizes[i])
+        self.n, self.sizes = len(order), np.array([sizes[i] for i in order])
+        self.longest = int(self.sizes[0])
+        pieces = np.array([d for i in order for d in dealt[i]], np.int64)
+        #: one lane after another: where each piece begins there, and what to add for its place in the tokens
+        self.cut = np.concatenate([[0], np.cumsum(lengths[pieces])]) if len(pieces) else np.zeros(1, np.int64)
+        self.shift = starts[pieces] - self.cut[:-1] if len(pieces) else np.zeros(0, np.int64)
+        self.base = np.concatenate([[0], np.cumsum(self.sizes)])[:-1]
+
+    def windows(self, window: int):
+        """(places of tokens, which of them count, which begin a piece), each (steps, lanes alive)."""
+        for t in range(0, self.longest, window):
+            b = int(np.searchsorted(-self.sizes, -t, side="left"))
+            at = self.base[:b] + np.arange(t, min(t + window, self.longest))[:, None]
+            mask = np.arange(t, min(t + window, self.longest))[:, None] < self.sizes[:b]
+            at = np.where(mask, at, self.base[:b] + t)  # padding repeats the first place
+            piece = np.searchsorted(self.cut, at.ravel(), side="right").reshape(at.shape) - 1
+            yield at + self.shift[piece], mask, mask & (at == self.cut[piece])

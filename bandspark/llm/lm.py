@@ -260,7 +260,7 @@ def score_documents(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, rounds: i
             tokens = ids[index[np.repeat(keep, lengths)]]
             offsets = np.concatenate([[0], np.cumsum(lengths[keep])])
             own = Gru(vocabulary.head, TAILS, PER_CLASS, HIDDEN, vocabulary.counts).unpack(flat)
-            own.train(tokens, offsets, rate=0.01 / (1 + r))
+            own.train(tokens, offsets, rate=0.014 / (1 + r))
             return pa.table({"key": pa.array([a.column("block")[0].as_py()], pa.int64()), "w": pa.array([float(len(tokens))]), "p": pa.array([own.pack().astype(np.float64).tobytes()], pa.binary())})
 
         trained = payload.where(turn).groupBy("block").cogroup(pieces.where(turn).groupBy("block")).applyInArrow(learn, "key long, w double, p binary")

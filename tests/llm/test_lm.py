@@ -81,17 +81,18 @@ def test_gradients_are_those_of_the_loss():
     g = small()
     rng = np.random.default_rng(2)
     inputs, targets, mask = rng.integers(0, 10, (5, 3)), rng.integers(0, 10, (5, 3)), rng.random((5, 3)) < 0.9
-    inputs[0] = g.start
+    fresh = rng.random((5, 3)) < 0.3
+    fresh[0] = True
     h = np.zeros((3, 4), np.float32)
     g.p = {k: v.astype(np.float64) for k, v in g.p.items()}
-    loss, grads, _ = g.gradients(inputs, targets, mask, h)
+    loss, grads, _ = g.gradients(inputs, targets, mask, fresh, h)
     for k, v in g.p.items():
         for at in rng.integers(0, v.size, 6):
             old, eps = v.flat[at], 1e-3
             v.flat[at] = old + eps
-            up = g.gradients(inputs, targets, mask, h)[0]
+            up = g.gradients(inputs, targets, mask, fresh, h)[0]
             v.flat[at] = old - eps
-            down = g.gradients(inputs, targets, mask, h)[0]
+            down = g.gradients(inputs, targets, mask, fresh, h)[0]
             v.flat[at] = old
             assert grads[k].flat[at] == pytest.approx((up - down) / (2 * eps), abs=2e-3), k
 
@@ -102,3 +103,36 @@ def test_windows_and_lanes_do_not_change_scores():
     ids, offsets = rng.integers(0, 10, 200).astype(np.int32), np.array([0, 1, 90, 90, 130, 200])
     a = g.score(ids, offsets, lanes=1, window=200)
     assert np.allclose(a, g.score(ids, offsets, lanes=3, window=7), atol=1e-4)
+
+
+def test_lanes_cover_every_token_once():
+    from bandspark.llm.gru import Lanes
+
+    offsets = np.array([0, 3, 3, 40, 41, 100])
+    for lanes, segment in ((1, None), (4, None), (4, 8), (50, 5)):
+        dealt, seen = Lanes(offsets, lanes, segment), []
+        fresh = []
+        for at, mask, begins in dealt.windows(6):
+            seen += at[mask].tolist()
+            fresh += at[begins].tolist()
+        assert sorted(seen) == list(range(100))
+        assert set(fresh) == {0, 3, 40, 41} if segment is None else {0, 3, 40, 41} < set(fresh)
+
+
+def test_a_very_long_text_takes_little_memory():
+    import subprocess
+    import sys
+
+    code = """
+import numpy as np, resource
+from bandspark.llm.gru import Gru
+g = Gru(1024, 24, 32, 24, np.arange(1, 1049).astype(float))
+n = 1_000_000
+ids, offsets = np.random.default_rng(1).integers(0, 1048, n + 3000).astype(np.int32), np.concatenate([[0], n + np.arange(0, 3001, 10)])
+before = resource.getrusage(resource.RUSAGE_SELF).ru_maxrss
+out = g.score(ids, offsets, window=256)
+assert np.isfinite(out).all() and len(out) == 301
+print((resource.getrusage(resource.RUSAGE_SELF).ru_maxrss - before) // 1024)
+"""
+    done = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, check=True, cwd=pathlib.Path(__file__).resolve().parents[2])
+    assert int(done.stdout) < 200
