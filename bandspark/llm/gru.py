@@ -12,6 +12,8 @@ import heapq
 import numpy as np
 
 F = np.float32
+#: Steps that one pass should have, and lanes it has at least.
+STEPS, LEAST_LANES = 250, 16
 
 
 class Gru:
@@ -58,25 +60,31 @@ class Gru:
         t_max, b = inputs.shape
         k, u = self.hidden, self.p["u"]
         gates = self.p["g"][inputs]
-        gates[:, :, : 2 * k] *= F(0.5)  # 1 / (1 + exp(-x)) = (1 + tanh(x / 2)) / 2
-        half = u.copy()
-        half[:, : 2 * k] *= F(0.5)
+        # 1 / (1 + exp(-x)) for the gates, 2 / (1 + exp(-2 x)) - 1 for the candidate's tanh(x)
+        gates *= np.repeat(np.array([-1, -2], F), [2 * k, k])
+        u = u * np.repeat(np.array([-1, 1], F), [2 * k, k])
         out = np.empty((t_max, b, k), F)
         kept = [np.empty((t_max, b, n), F) for n in (k, 2 * k, k, k)] if keep else None  # state before, gates, candidate, its recurrent part
         cleared = fresh.any(axis=1)
+        own = np.empty((b, 2 * k), F), np.empty((b, k), F)
         for t in range(t_max):
             if cleared[t]:
                 h = np.where(fresh[t][:, None], F(0), h)
-            hu = h @ half
-            zr = kept[1][t] if keep else np.empty((b, 2 * k), F)
+            hu = h @ u
+            zr, n = (kept[1][t], kept[2][t]) if keep else own
             np.add(gates[t, :, : 2 * k], hu[:, : 2 * k], out=zr)
-            np.tanh(zr, out=zr)
-            zr *= F(0.5)
-            zr += F(0.5)
-            n = kept[2][t] if keep else np.empty((b, k), F)
+            np.minimum(zr, F(80), out=zr)
+            np.exp(zr, out=zr)
+            zr += F(1)
+            np.reciprocal(zr, out=zr)
             np.multiply(zr[:, k:], hu[:, 2 * k :], out=n)
+            n *= F(-2)
             n += gates[t, :, 2 * k :]
-            np.tanh(n, out=n)
+            np.minimum(n, F(80), out=n)
+            np.exp(n, out=n)
+            n += F(1)
+            np.divide(F(2), n, out=n)
+            n -= F(1)
             if keep:
                 kept[0][t], kept[3][t] = h, hu[:, 2 * k :]
             new = out[t]
@@ -187,9 +195,11 @@ class Gru:
     def _inputs(self, ids: np.ndarray, at: np.ndarray, begins: np.ndarray) -> np.ndarray:
         return np.where(begins, np.int32(self.start), ids[at - 1])
 
-    def train(self, ids: np.ndarray, offsets: np.ndarray, lanes: int = 128, window: int = 16, rate: float = 0.014, segment: int = 512) -> "Gru":
-        """One pass over the documents by Adam, a step for each window of truncated backpropagation. A long document is cut into segments, which go
-        to lanes of their own; each starts from a cleared state, with the token before it as its first input."""
+    def train(self, ids: np.ndarray, offsets: np.ndarray, lanes: int = 256, window: int = 16, rate: float = 0.03, segment: int = 512) -> "Gru":
+        """One pass over the documents by Adam, a step for each window of truncated backpropagation, on fewer lanes where those would be less than STEPS. A long document is cut
+        into segments, which go to lanes of their own; each starts from a cleared state, with the token before it as its first input."""
+        lanes = max(LEAST_LANES, min(lanes, len(ids) // (window * STEPS)))
+        rate *= np.sqrt(lanes / 256)
         dealt = Lanes(offsets, lanes, segment)
         h = np.zeros((dealt.n, self.hidden), F)
         m = {k: np.zeros_like(v) for k, v in self.p.items()}

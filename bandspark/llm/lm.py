@@ -160,12 +160,14 @@ class Vocabulary:
         order = np.argsort(words)
         self.words, self.ids = words[order], np.arange(len(words))[order]
         self.head = len(words)
-        self.mass, self.types = np.concatenate([mass[: TAILS - 1], [mass[TAILS - 1 :].sum()]]), np.concatenate([types[: TAILS - 1], [types[TAILS - 1 :].sum()]])
+        #: classes up to the last that has a word
+        self.tails = min(TAILS, int(np.flatnonzero(mass).max(initial=0)) + 1)
+        self.mass, self.types = (np.concatenate([x[: self.tails - 1], [x[self.tails - 1 :].sum()]]) for x in (mass, types))
         self.counts = np.concatenate([counts, self.mass])
 
     def ids_of(self, words: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Model ids of distinct words, and log10 of each one's share of its class (0 for a frequent word)."""
-        tail = np.minimum(_count_class(counts), TAILS - 1)
+        tail = np.minimum(_count_class(counts), self.tails - 1)
         ids = self.head + tail
         rare = tail == 0
         share = np.where(rare, -np.log10(self.types[0] + self.v + 1.0), np.log10(np.maximum(counts, 1) / np.maximum(self.mass[tail], 1)))
@@ -245,7 +247,7 @@ def score_documents(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, rounds: i
     payload = read.where("bucket = -1").select("block", "a", "b", "c", "d")
     pieces = read.where("bucket >= 0").select("block", "bucket", F.col("a").alias("h")).join(counted.where("block >= 0").select("block", "bucket", F.col("a").alias("n")), ["block", "bucket"])
     pieces = materialize(pieces, "lm-pieces")
-    model = Gru(vocabulary.head, TAILS, PER_CLASS, HIDDEN, vocabulary.counts) if vocabulary.n else None
+    model = Gru(vocabulary.head, vocabulary.tails, PER_CLASS, HIDDEN, vocabulary.counts) if vocabulary.n else None
     fan = max(64, math.isqrt(payload.count()))
     for r in range(rounds if model else 0):
         flat = model.pack()
@@ -259,8 +261,8 @@ def score_documents(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, rounds: i
             keep = train.astype(bool)
             tokens = ids[index[np.repeat(keep, lengths)]]
             offsets = np.concatenate([[0], np.cumsum(lengths[keep])])
-            own = Gru(vocabulary.head, TAILS, PER_CLASS, HIDDEN, vocabulary.counts).unpack(flat)
-            own.train(tokens, offsets, rate=0.014 / (1 + r))
+            own = Gru(vocabulary.head, vocabulary.tails, PER_CLASS, HIDDEN, vocabulary.counts).unpack(flat)
+            own.train(tokens, offsets, rate=0.03 / (1 + r))
             return pa.table({"key": pa.array([a.column("block")[0].as_py()], pa.int64()), "w": pa.array([float(len(tokens))]), "p": pa.array([own.pack().astype(np.float64).tobytes()], pa.binary())})
 
         trained = payload.where(turn).groupBy("block").cogroup(pieces.where(turn).groupBy("block")).applyInArrow(learn, "key long, w double, p binary")
@@ -280,7 +282,7 @@ def score_documents(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, rounds: i
         scores = base
         if flat is not None:
             ids, part = vocabulary.ids_of(words, total)
-            net = Gru(vocabulary.head, TAILS, PER_CLASS, HIDDEN, vocabulary.counts).unpack(flat)
+            net = Gru(vocabulary.head, vocabulary.tails, PER_CLASS, HIDDEN, vocabulary.counts).unpack(flat)
             scores = net.score(ids[index], offsets) + np.bincount(owner, weights=part[index], minlength=len(doc))
         none = doc == NO_ID
         return pa.table({"doc_id": pa.array(doc, mask=none), "held_out": pa.array(train == 0), "n_tokens": pa.array(lengths), "n_known": pa.array(known), "train_tokens": pa.array(np.full(len(doc), vocabulary.n)), "base_score": pa.array(base), "score": pa.array(scores)})
