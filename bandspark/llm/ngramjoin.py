@@ -11,10 +11,11 @@ Two documents link when 100 * |A and B| >= PERCENT * |A or B| for their sets of
 3. Groups that share a shingle which is not common, and whose sizes allow a link, are candidates; group pairs are expanded
    to members and verified on whole sets, as are the pairs inside a group of at most COMMON sets.
 4. Sets that share a common shingle are not paired all with all, nor are those of a larger group: if its prefix has only common shingles, its
-   sets meet at the first of them; otherwise (past MOST_COMMON, shingles in more than COMMON documents are not on the list) the
-   group is a bucket of its own. In each bucket (shingle or group, size class) with more than one class, members of other classes are verified against a few seeded pivots, links are contracted to
+   sets meet at the first of them; otherwise the group is a bucket of its own. So is a shingle that more than COMMON groups share though the list
+   has no room for it: what is past MOST_COMMON costs more buckets, and no link. In each bucket (shingle or group, size class) with more than one
+   class, members of other classes are verified against a few seeded pivots, links are contracted to
    classes, and after ROUNDS such rounds what is left of pairs across classes is verified in full. A pair inside
-   one class needs no look: it cannot change the classes.
+   one class needs no look: it cannot change the classes. Large buckets are dealt to several tasks by a salt.
 
 Nulls and edges: a document without words or text has the empty set and links with nothing; with 1 to k - 1 words its whole
 sequence is its one shingle; rows with a null id are never linked and have a null class; repeated rows
@@ -42,6 +43,8 @@ ROUNDS, PIVOTS = 3, 3
 ID_BITS = 1 << 26
 #: Shingles a task counts at once.
 FLUSH = 1_000_000
+#: Tasks that a bucket's rows are dealt to, and rows of it that one task meets with all others in the last round.
+SALTS, SPLIT = 16, 1000
 
 _U = np.uint64
 _LOW = _U(0xFFFFFFFF)
@@ -158,8 +161,9 @@ def set_prints(docs: DataFrame, k: int, percent: int, buckets: int, keys: np.nda
     return rows.mapInArrow(run, "doc_id long, n long, sig_a long, sig_b long, pkey long, cold array<long>, hot array<long>")
 
 
-def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int) -> DataFrame:
-    """(g, h) with g < h: groups that share a shingle which is not common, at places that allow a link.
+def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int, common: int) -> DataFrame:
+    """(g, h) with g < h: groups that share a shingle which is not common, at places that allow a link; and, of shingles that more than
+    ``common`` groups share, rows of token, g and rest (h is null).
 
     If a pair's first shared shingle is this one, it shares at most what either has from here on; a pair whose first shared
     shingle is another is found, or ruled out, there."""
@@ -183,8 +187,10 @@ def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int) -> DataFrame:
         tokens, g, n, left = tokens[order], g[order], n[order].astype(np.int64), left[order].astype(np.int64)
         found = [np.zeros((0, 2), np.int64)]
         step = 1
-        at = np.arange(len(tokens))
-        while len(at):  # each with the one ``step`` further in its run: at most COMMON - 1 steps, unless the list of common shingles is full
+        _, run, sizes = np.unique(tokens, return_inverse=True, return_counts=True)
+        crowded = np.flatnonzero(sizes[run] > common)
+        at = np.flatnonzero(sizes[run] <= common)
+        while len(at):  # each with the one ``step`` further in its run: at most ``common`` - 1 steps
             at = at[at + step < len(tokens)]
             at = at[tokens[at] == tokens[at + step]]
             x, y = g[at], g[at + step]
@@ -195,10 +201,14 @@ def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int) -> DataFrame:
                 found = [np.unique(np.concatenate(found), axis=0)]
             step += 1
         pairs = np.unique(np.concatenate(found), axis=0)
-        return pa.table({"g": pa.array(pairs[:, 0].copy()), "h": pa.array(pairs[:, 1].copy())})
+        none = np.zeros(len(pairs) + len(crowded), bool)
+        none[len(pairs) :] = True
+        joined = lambda a, b: np.concatenate([a, b])
+        cols = joined(pairs[:, 0], g[crowded]), joined(pairs[:, 1], g[crowded]), joined(pairs[:, 0], tokens[crowded].view(np.int64)), joined(pairs[:, 0], left[crowded])
+        return pa.table({"g": pa.array(cols[0]), "h": pa.array(cols[1], mask=none), "token": pa.array(cols[2], mask=~none), "rest": pa.array(cols[3], mask=~none)})
 
     packed = groups.select("g", "n", "cold").where("size(cold) > 0").mapInArrow(pack, "bucket int, tokens binary, gs binary, ns binary, lefts binary")
-    return packed.groupBy("bucket").applyInArrow(meet, "g long, h long").distinct()
+    return packed.groupBy("bucket").applyInArrow(meet, "g long, h long, token long, rest long")
 
 
 def id_filter(ids: DataFrame, column: str = "v") -> np.ndarray:
@@ -288,10 +298,12 @@ def similarity_classes(docs: DataFrame, k: int = K, percent: int = PERCENT, comm
     hot = hot.join(crowded, "token", "left_semi").select("v", "n", "rest", "token", F.explode(F.array(F.col("s"), F.col("s") + 1)).alias("s"))
     # large groups whose first shared shingle is not common: nothing else pairs their members
     large = members.where(f"m > {common} and unlisted").select("v", "n", F.col("n").alias("rest"), F.col("g").alias("token"), size_class.alias("s"))
-    hot = materialize(hot.unionByName(large), "join-hot")
-    # candidates by other shingles, and inside small groups
     groups_of = members.select("g", "v")
-    pairs = _pairs_of_cold(groups, buckets, percent)
+    met = materialize(_pairs_of_cold(groups, buckets, percent, common), "join-met")
+    beyond = met.where("h is null").join(members.select("g", "v", "n", size_class.alias("s")), "g").select("v", "n", "rest", "token", F.explode(F.array(F.col("s"), F.col("s") + 1)).alias("s"))
+    hot = materialize(hot.unionByName(large).unionByName(beyond).withColumn("salt", F.pmod(F.xxhash64("v"), F.lit(SALTS)).cast("int")), "join-hot")
+    # candidates by other shingles, and inside small groups
+    pairs = met.where("h is not null").select("g", "h").distinct()
     pairs = pairs.join(groups_of.withColumnRenamed("v", "a"), "g").join(groups_of.withColumnsRenamed({"g": "h", "v": "b"}), "h").select("a", "b")
     small = members.where(f"m > 1 and m <= {common}").select("g", "v")
     inside = small.withColumnRenamed("v", "a").join(small.withColumnRenamed("v", "b"), "g").where("a < b").select("a", "b")
@@ -308,16 +320,18 @@ def similarity_classes(docs: DataFrame, k: int = K, percent: int = PERCENT, comm
         now = _with_class(hot, classes)
         first = [F.min_by(F.struct("v", "n", "c", "rest"), F.struct(-F.col("rest"), F.xxhash64("v", F.lit(r))))]  # the one with the fewest shingles of its own
         first += [F.min_by(F.struct("v", "n", "c", "rest"), F.xxhash64("v", F.lit(100 * r + j))) for j in range(1, pivots)]
-        stat = now.groupBy("token", "s").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.array_distinct(F.array(*first)).alias("ps")).where("lo <> hi")
-        stat = materialize(stat, "join-pivots")
+        stat = now.groupBy("token", "s").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.floor(F.count("*") / SPLIT).cast("int").alias("parts"), F.array_distinct(F.array(*first)).alias("ps")).where("lo <> hi")
+        stat = materialize(stat, "join-pivots").withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
         most = "least(rest, rest2)"
         fits = f"c <> d and 100 * {most} >= {percent} * (n + m - {most})"  # what can be shared from here on allows a link
+        bucket = ["token", "s", "salt"]
         if r < rounds:
-            other = stat.select("token", "s", F.explode("ps").alias("p")).select("token", "s", F.col("p.v").alias("w"), F.col("p.n").alias("m"), F.col("p.c").alias("d"), F.col("p.rest").alias("rest2"))
-            met = now.join(other, ["token", "s"]).where(fits)
-        else:  # all that is left across classes
-            left = materialize(now.join(stat.select("token", "s"), ["token", "s"], "left_semi"), "join-left")
-            met = left.join(left.select("token", "s", F.col("v").alias("w"), F.col("n").alias("m"), F.col("c").alias("d"), F.col("rest").alias("rest2")), ["token", "s"]).where(f"v < w and {fits}")
+            other = stat.select(*bucket, F.explode("ps").alias("p")).select(*bucket, F.col("p.v").alias("w"), F.col("p.n").alias("m"), F.col("p.c").alias("d"), F.col("p.rest").alias("rest2"))
+            met = now.join(other, bucket).where(fits)
+        else:  # all that is left across classes; a large bucket's rows are dealt to parts, each of which meets all of them
+            left = materialize(now.join(stat.select(*bucket, "parts"), bucket), "join-left")
+            other = left.select("token", "s", F.explode(F.sequence(F.lit(0), F.col("parts"))).alias("part"), F.col("v").alias("w"), F.col("n").alias("m"), F.col("c").alias("d"), F.col("rest").alias("rest2"))
+            met = left.withColumn("part", F.pmod(F.xxhash64("v", F.lit(1)), F.col("parts") + 1).cast("int")).join(other, ["token", "s", "part"]).where(f"v < w and {fits}")
         met = met.select(F.least("v", "w").alias("a"), F.greatest("v", "w").alias("b")).distinct()
         new = materialize(met.join(seen, ["a", "b"], "left_anti"), "join-pairs")
         if new.isEmpty():

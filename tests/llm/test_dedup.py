@@ -71,8 +71,8 @@ def test_join_edges(spark):
     assert ngramjoin.similarity_classes(docs.where("false")).count() == 0
 
 
-@pytest.mark.parametrize("seed", [1, 2])
-def test_join_finds_every_link_in_crowded_buckets(spark, seed):
+@pytest.mark.parametrize(("seed", "options"), [(1, {}), (1, {"common": 2, "rounds": 0}), (2, {"most_common": 0}), (2, {"common": 2, "most_common": 5, "rounds": 1, "pivots": 2})])
+def test_join_finds_every_link_in_crowded_buckets(spark, seed, options, monkeypatch):
     rng = random.Random(seed)
     word = lambda: f"w{rng.randrange(10**6)}"
     base, passage = [word() for _ in range(120)], [word() for _ in range(60)]
@@ -86,10 +86,18 @@ def test_join_finds_every_link_in_crowded_buckets(spark, seed):
         docs[i] = " ".join([word() for _ in range(rng.randint(2, 14))] + passage)
     df = spark.createDataFrame(list(docs.items()), "doc_id long, text string").repartition(4)
     want = classes(docs, 4, 85)
-    for options in ({}, {"common": 3, "most_common": 50, "rounds": 1, "pivots": 2}, {"common": 2, "rounds": 0}):
-        got = ngramjoin.similarity_classes(df, **options).collect()
-        assert {r.doc_id: r.component_id for r in got} == want
-        assert all(r.n_shingles == len(shingles(docs[r.doc_id], 4)) for r in got)
+    monkeypatch.setattr(ngramjoin, "SPLIT", 20)
+    got = ngramjoin.similarity_classes(df, **options).collect()
+    assert {r.doc_id: r.component_id for r in got} == want
+    assert all(r.n_shingles == len(shingles(docs[r.doc_id], 4)) for r in got)
+
+
+def test_pairs_beyond_the_list_do_not_grow_with_its_runs(spark):
+    """Fifty groups that share a shingle off the list make rows of a bucket, not fifty times fifty pairs."""
+    groups = spark.createDataFrame([(i, 40, [5, 1000 + i]) for i in range(50)] + [(100, 40, [7]), (101, 40, [7])], "g long, n long, cold array<long>")
+    rows = ngramjoin._pairs_of_cold(groups, 4, 85, 8).collect()
+    assert sorted((r.g, r.h) for r in rows if r.h is not None) == [(100, 101)]
+    assert sorted((r.g, r.token, r.rest) for r in rows if r.h is None) == [(i, 5, 40) for i in range(50)]
 
 
 def test_join_links_inside_a_large_group_of_listless_shingles(spark):
@@ -99,7 +107,7 @@ def test_join_links_inside_a_large_group_of_listless_shingles(spark):
     same = [t for t, p in zip(texts, prefixes) if p == max(prefixes, key=prefixes.count)][:20]
     assert len(same) == 20  # they differ only after the prefix
     df = spark.createDataFrame(list(enumerate(same)), "doc_id long, text string")
-    for options in ({"most_common": 0}, {"most_common": 0, "rounds": 0}):
+    for options in ({"most_common": 1}, {"most_common": 0, "rounds": 0}):
         assert {r.component_id for r in ngramjoin.similarity_classes(df, **options).collect()} == {0}
 
 
