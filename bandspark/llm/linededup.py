@@ -25,6 +25,8 @@ from pyspark.sql import functions as F
 from bandspark.session import materialize
 
 MIN_WORDS = 50
+#: Values that may be broadcast in a join; rows of one part of a window.
+MOST_HEAVY, PART_ROWS = 10_000, 250_000
 WORD = r"[^\x20\x09-\x0D]+"
 _LAST = (1 << 63) - 1
 _DOC = ["d", "th"]
@@ -42,24 +44,41 @@ def line_table(docs: DataFrame) -> DataFrame:
 
 
 def rank_repeated(rows: DataFrame, by: list[str]) -> DataFrame:
-    """(by..., rank) for the values that occur twice or more; ranks follow the order of the values."""
-    found = rows.groupBy(*by).count().where("count > 1").select(*by)
+    """(by..., n, rank) for the values that occur twice or more, n times; ranks follow the order of the values."""
+    found = rows.groupBy(*by).agg(F.count("*").alias("n")).where("n > 1")
     ordered = found.repartitionByRange(*by).sortWithinPartitions(*by)
     return materialize(ordered.withColumn("rank", F.monotonically_increasing_id()), "line-ranks")
 
 
+def by_value(rows: DataFrame, table: DataFrame, by: list[str]) -> DataFrame:
+    """``rows`` joined with ``table`` (by..., n, more), n being the rows that each value has. Values with more than a MOST_HEAVY-th of all
+    rows, fewer than MOST_HEAVY, are broadcast: no task gets all rows of one of them."""
+    most = rows.count() // MOST_HEAVY
+    more = [c for c in table.columns if c not in (*by, "n")]
+    heavy = F.broadcast(table.where(F.col("n") > most).select(*by, *more, F.lit(True).alias("_heavy")))
+    marked = rows.join(heavy, by, "left")
+    rest = marked.where("_heavy is null").drop(*more, "_heavy").join(table.where(F.col("n") <= most).drop("n"), by)
+    return marked.where("_heavy").drop("_heavy").unionByName(rest)
+
+
+def spread(rows: DataFrame) -> DataFrame:
+    """``rows`` of a written table by document, in as many parts as their number asks for (small rows pack well, so their bytes tell too little)."""
+    parts = max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-rows.count() // PART_ROWS))
+    return rows.repartition(parts, *_DOC)
+
+
 def doubled(level: DataFrame, reach: int) -> DataFrame:
     """d, th, line, rank by twice as many lines: from the ranks by ``reach`` lines."""
     later = level.select("d", "th", (F.col("line") - reach).alias("line"), F.col("rank").alias("r2"))
     pairs = materialize(level.withColumnRenamed("rank", "r1").join(later, [*_DOC, "line"]), "line-pairs")
-    return materialize(pairs.join(rank_repeated(pairs, ["r1", "r2"]), ["r1", "r2"]).select("d", "th", "line", "rank"), "line-level")
+    return materialize(by_value(pairs, rank_repeated(pairs, ["r1", "r2"]), ["r1", "r2"]).select("d", "th", "line", "rank"), "line-level")
 
 
 def shortest_windows(lines: DataFrame, min_words: int) -> DataFrame:
     """(d, th, line, m): the shortest window that each line begins, and that it ends, inside a stretch of repeated lines."""
     stretch = F.col("line") - F.row_number().over(Window.partitionBy(*_DOC).orderBy("line"))
     part = [*_DOC, "s"]
-    rows = lines.select(*_DOC, "line", "w", stretch.alias("s"))
+    rows = spread(lines).select(*_DOC, "line", "w", stretch.alias("s"))
     upto = F.sum("w").over(Window.partitionBy(*part).orderBy("line").rowsBetween(Window.unboundedPreceding, 0))
     rows = rows.withColumn("after", upto).withColumn("x", F.col("after") - F.col("w"))
     # boundaries: before each line, and after the stretch's last. A window goes from boundary to boundary.
@@ -68,7 +87,7 @@ def shortest_windows(lines: DataFrame, min_words: int) -> DataFrame:
     asked = spots.select(*part, F.col("x").cast("long").alias("x"), F.lit(0).alias("kind"), F.col("line").alias("spot"), F.lit(None).cast("int").alias("q"))
     asked = asked.unionByName(spots.select(*part, (F.col("x") + min_words).cast("long").alias("x"), F.lit(1).alias("kind"), F.lit(None).cast("int").alias("spot"), F.col("line").alias("q")))
     asked = asked.unionByName(spots.select(*part, (F.col("x") - min_words).cast("long").alias("x"), F.lit(2).alias("kind"), F.lit(None).cast("int").alias("spot"), F.col("line").alias("q")))
-    asked = materialize(asked, "line-spots")
+    asked = spread(materialize(asked, "line-spots"))
     running = lambda *order: Window.partitionBy(*part).orderBy(*order).rowsBetween(Window.unboundedPreceding, 0)
     # the first boundary at or after x + min_words, in falling order; the last at or before x - min_words, in rising order
     ahead = asked.where("kind < 2").withColumn("to", F.last("spot", True).over(running(F.desc("x"), F.asc("kind"), F.desc("spot")))).where("kind = 1 and to is not null")
@@ -80,7 +99,7 @@ def shortest_windows(lines: DataFrame, min_words: int) -> DataFrame:
 def repeated_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """(d, th, line, w) of the lines to delete."""
     lines = materialize(line_table(docs), "lines")
-    level = lines.join(rank_repeated(lines, ["h", "h2"]), ["h", "h2"]).select(*_DOC, "line", "rank", "w").dropDuplicates([*_DOC, "line"])
+    level = by_value(lines, rank_repeated(lines, ["h", "h2"]), ["h", "h2"]).select(*_DOC, "line", "rank", "w").dropDuplicates([*_DOC, "line"])
     first = materialize(level, "line-level")
     windows = shortest_windows(first, min_words)
     longest = windows.agg(F.max("m")).first()[0] or 0
@@ -99,8 +118,8 @@ def repeated_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
         return first.where("false").select(*_DOC, "line", "w")
     named = materialize(named, "line-named")
     name = ["m", "r1", "r2"]
-    begins = materialize(named.groupBy(*name).agg(F.min(F.struct(*_DOC, "line")).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n"), "line-firsts")
-    later = named.join(begins, name).where(F.struct(*_DOC, "line") > F.col("first"))
+    begins = materialize(named.groupBy(*name).agg(F.min(F.struct(*_DOC, "line")).alias("first"), F.count("*").alias("n")).where("n > 1"), "line-firsts")
+    later = by_value(named, begins, name).where(F.struct(*_DOC, "line") > F.col("first"))
     gone = later.select(*_DOC, F.explode(F.sequence(F.col("line"), F.col("line") + F.col("m") - 1)).alias("line")).distinct()
     return gone.join(first.select(*_DOC, "line", "w"), [*_DOC, "line"])
 
