@@ -12,7 +12,7 @@ import re._constants as C
 import re._parser as parser
 
 #: Most strings of a set, and most characters of a class that is spelled out.
-MOST_STRINGS, MOST_CHARS = 64, 4
+MOST_STRINGS, MOST_CHARS = 64, 16
 
 Query = bool | str | tuple
 

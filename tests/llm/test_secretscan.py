@@ -77,3 +77,10 @@ def test_queries_never_miss_a_match():
 @pytest.mark.parametrize("pattern,query", [("abcd", ("and", ("abc", "bcd"))), ("ab|cde", True), ("x*", True), ("(foo|bar)+", ("or", ("bar", "foo"))), ("[ab]xy", ("or", ("axy", "bxy"))), ("abc.*def", ("and", ("abc", "def"))), ("ab", True)])
 def test_query_shapes(pattern, query):
     assert trigrams.query_of(pattern) == query
+
+
+def test_only_rules_without_trigrams_scan():
+    from bandspark.llm.trigrams import query_of
+
+    assert {k for k, p in secretscan.RULES.items() if query_of(p) is True} == {"hex"}
+    assert query_of(secretscan.RULES["hosting"]) == ("or", tuple(("and", (f"gh{c}", f"h{c}_")) for c in "oprsu"))
