@@ -23,7 +23,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from bandspark.llm.textkit import key_filter, small_batches, string_buffer, with_maybe
@@ -94,18 +94,19 @@ def _chunk_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
     for batch in batches:
         data, offsets = string_buffer(batch.column("piece"))
         n = batch.num_rows
-        cols = [np.empty(n, np.int64) for _ in BASES]
+        cols = [np.empty(n, np.int64) for _ in range(4)]
         for i in range(n):
-            for c, v in zip(cols, fingerprint(data[offsets[i] : offsets[i + 1]]), strict=True):
+            lo, hi = int(offsets[i]), int(offsets[i + 1])
+            for c, v in zip(cols, (*fingerprint(data[lo:hi]), *(pow(base, hi - lo, PRIME) for base in BASES)), strict=True):
                 c[i] = v
-        yield pa.RecordBatch.from_arrays([batch.column("_row"), batch.column("_no"), pa.array(np.diff(offsets)), *map(pa.array, cols)], names=["_row", "_no", "_len", "_a", "_b"])
+        yield pa.RecordBatch.from_arrays([batch.column("_row"), batch.column("_no"), pa.array(np.diff(offsets)), *map(pa.array, cols)], names=["_row", "_no", "_len", "_a", "_b", "_pa", "_pb"])
 
 
-def _combine_group(pieces: list) -> int:
-    whole = [(0, 0), (0, 0)]
-    for p in sorted(pieces, key=lambda p: p["_no"]):
-        whole = [combine(w, (p[k], p["_len"]), base) for w, k, base in zip(whole, ("_a", "_b"), BASES, strict=True)]
-    return whole[0][0] << 31 | whole[1][0]
+def _combined(pieces: Column) -> Column:
+    """Both fingerprints, in one long, of the chunks' (number, a, b, shifts for a and b): products of 31-bit numbers fit in 64 bits."""
+    step = lambda acc, p, k: (acc[k] * p[f"_p{k}"] + p[f"_{k}"]) % PRIME
+    zero = F.struct(F.lit(0).cast("long").alias("a"), F.lit(0).cast("long").alias("b"))
+    return F.aggregate(F.array_sort(pieces), zero, lambda acc, p: F.struct(step(acc, p, "a").alias("a"), step(acc, p, "b").alias("b")), lambda acc: F.shiftleft(acc["a"], 31).bitwiseOR(acc["b"]))
 
 
 def fingerprints(docs: DataFrame, with_text: bool = False, parallel_above: int = PARALLEL_ABOVE) -> DataFrame:
@@ -117,8 +118,8 @@ def fingerprints(docs: DataFrame, with_text: bool = False, parallel_above: int =
     huge = rows.where(large).withColumn("_row", F.monotonically_increasing_id())
     step = COMPARE_CHARS // 4
     chunks = huge.select("_row", "text", F.explode(F.sequence(F.lit(0), F.floor((F.length("text") - 1) / step).cast("int"))).alias("_no")).select("_row", "_no", F.expr(f"substring(text, _no * {step} + 1, {step})").alias("piece"))
-    hashed = chunks.repartition("_row", "_no").mapInArrow(_chunk_batches, "_row long, _no int, _len long, _a long, _b long")
-    joined = F.udf(_combine_group, "long", useArrow=False)(F.collect_list(F.struct("_no", "_len", "_a", "_b")))  # a chunk's hashes only: 1/1000 of its bytes
+    hashed = chunks.repartition("_row", "_no").mapInArrow(_chunk_batches, "_row long, _no int, _len long, _a long, _b long, _pa long, _pb long")
+    joined = _combined(F.collect_list(F.struct("_no", "_a", "_b", "_pa", "_pb")))  # a chunk's hashes only: 1/400 of its bytes
     whole = hashed.groupBy("_row").agg(F.sum("_len").alias("n_bytes"), joined.alias("fp"))
     huge = huge.join(whole, "_row").select("doc_id", "text", "n_bytes", "fp", F.sha2("text", 256).alias("text_sha256"))
     out = small.unionByName(huge)
