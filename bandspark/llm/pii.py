@@ -105,12 +105,21 @@ def find_personal_data(docs: DataFrame, min_score: float = MIN_SCORE) -> DataFra
     return rows.select("doc_id", F.concat(*per).alias("found"))
 
 
-def redact(docs: DataFrame, mask: str = "[{kind}]") -> DataFrame:
-    """doc_id, text with the base kinds' spans replaced (cards and addresses that fail their check stay)."""
-    out = F.coalesce("text", F.lit(""))
-    for kind in ("email", "phone", "card", "ip"):
-        out = F.regexp_replace(out, PATTERNS[kind] if kind != "ip" else rf"(?<![0-9.]){_BYTE}(?:\.{_BYTE}){{3}}(?![0-9.])", mask.format(kind=kind))
-    return docs.select("doc_id", out.alias("text"))
+def redact(docs: DataFrame, mask: str = "[{kind}]", min_score: float = MIN_SCORE) -> DataFrame:
+    """The rows with all their columns, each span found replaced in ``text`` (of overlapping spans the first, then the longest); null texts stay null.
+
+    The text is built from the spans that ``find_personal_data`` reports, so both agree on what is personal data."""
+    whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
+    rows = docs.select(whole.alias("doc_id"), "text")  # the finder carries one column
+    found = find_personal_data(rows, min_score).select(F.col("doc_id").alias("doc"), "found")
+    ordered = F.array_sort(F.transform("found", lambda s: F.struct(s["start"].alias("start"), (-s["end"]).alias("rev"), s["kind"].alias("kind"))))
+    text = F.col("doc.text")
+    label = lambda kind: F.concat(F.lit(mask.split("{kind}")[0]), kind, F.lit(mask.split("{kind}")[1])) if "{kind}" in mask else F.lit(mask)
+    between = lambda a, b: text.substr((a + 1).cast("int"), (b - a).cast("int"))
+    start = F.struct(F.lit("").alias("out"), F.lit(0).cast("long").alias("at"))
+    step = lambda acc, s: F.when(s["start"] < acc["at"], acc).otherwise(F.struct(F.concat(acc["out"], between(acc["at"], s["start"]), label(s["kind"])).alias("out"), (-s["rev"]).alias("at")))
+    built = F.aggregate(ordered, start, step, lambda acc: F.concat(acc["out"], between(acc["at"], F.length(text).cast("long"))))
+    return found.select(*[F.when(text.isNull(), text).otherwise(built).alias(c) if c == "text" else F.col(f"doc.`{c}`").alias(c) for c in docs.columns])
 
 
 def query(spark, sf_dir: str) -> DataFrame:

@@ -88,3 +88,14 @@ def test_context_reaches_over_neighbouring_matches(spark):
     row = add_spans(spark.createDataFrame([(text,)], "_text string"), "_text", {"n": ("[0-9]+", F.lit(True))}).first()
     want = [(m.start(), m[0], text[max(0, m.start() - CONTEXT) : m.start()], text[m.end() : m.end() + CONTEXT]) for m in re.finditer("[0-9]+", text)]
     assert [(s.start, s.value, s.before, s.after) for s in row["_n"]] == want
+
+
+def test_redact_masks_what_is_found_and_nothing_else(spark):
+    rows = [(1, "host at 10.0.0.1. and 999.1.1.1", "x"), (2, "card 4111 1111 1111 1111, not 4111 1111 1111 1112", "y"), (3, "a.b@c.example.com é +1 (212) 555-0147 or +1 22", None), (4, None, "z"), (5, "", "z"), (None, "nothing here", "z")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, found string")
+    got = pii.redact(docs)
+    assert got.columns == docs.columns
+    out = {r.doc_id: r.text for r in got.collect()}
+    assert out == {1: "host at [ip]. and 999.1.1.1", 2: "card [card], not 4111 1111 1111 1112", 3: "[email] é [phone] or +1 22", 4: None, 5: "", None: "nothing here"}
+    for r in pii.find_personal_data(got.where("text is not null")).collect():
+        assert not [s for s in r.found if s.kind in pii.BASE]
