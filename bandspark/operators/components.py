@@ -2,8 +2,8 @@
 
 Each round every vertex moves to the one of lowest priority among itself and its neighbours, where priorities are hashes
 seeded by the round; edges are redrawn between those, and loops and copies go. As priorities are random, the vertices that still have edges
-shrink by a constant factor a round on any graph, long chains included. The maps of all rounds are composed, and each
-component takes the smallest id of its vertices.
+shrink by a constant factor a round on any graph, long chains included. What is left at TAIL_EDGES edges or fewer is finished in one task. The maps of all
+rounds are composed, and each component takes the smallest id of its vertices.
 """
 
 from __future__ import annotations
@@ -16,14 +16,22 @@ from pyspark.sql import functions as F
 from bandspark.session import materialize
 
 
-def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst") -> DataFrame:
+#: Contracted edges that one task may finish (16 bytes each).
+TAIL_EDGES = 200_000
+
+
+def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst", tail_edges: int = TAIL_EDGES) -> DataFrame:
     """(v, comp) for every vertex that has an edge; comp is the smallest vertex id of its component.
 
     Edges may be given in one or both directions, with copies and loops; edges with a null end are ignored."""
     e = edges.select(F.col(src).cast("long").alias("a"), F.col(dst).cast("long").alias("b")).where("a is not null and b is not null and a <> b")
     e = materialize(e.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "cc-edges")
     maps: list[DataFrame] = []
-    while not e.isEmpty():
+    while n := e.count():
+        if n <= tail_edges:
+            rest = components_in_task(e.select(F.col("a").alias("src"), F.col("b").alias("dst")))
+            maps.append(materialize(rest.withColumnRenamed("comp", "p"), "cc-map"))
+            break
         seed = F.lit(len(maps))
         both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("a").agg(F.min(F.struct(F.xxhash64("b", seed).alias("h"), F.col("b").alias("v"))).alias("m"))

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bandspark.model import SymGraph
+from bandspark.operators.metrics import permute
 from bandspark.operators.ordering import random_order
 
 
@@ -19,6 +20,7 @@ def random_relabel(g: SymGraph, seed: int) -> tuple[SymGraph, DataFrame]:
 
 
 def distribute_1d(edges: DataFrame, parts: int) -> DataFrame:
+    """Entries dealt by source alone: a frontier goes nowhere, all partial results to their owners."""
     return edges.repartition(parts, "src")
 
 
@@ -27,9 +29,20 @@ def distribute_2d(edges: DataFrame, rows: int, cols: int) -> DataFrame:
     return edges.withColumn("br", F.pmod(F.xxhash64("dst"), F.lit(rows))).withColumn("bc", F.pmod(F.xxhash64("src"), F.lit(cols))).repartition(rows * cols, "br", "bc")
 
 
-def spmspv_2d(blocked: DataFrame, x: DataFrame) -> DataFrame:
-    """(select second, min) product block by block: partial minima inside each block, then over each block row."""
-    part = blocked.join(x.withColumnRenamed("v", "src"), "src").groupBy("br", "bc", F.col("dst").alias("v")).agg(F.min("x").alias("x"))
+def blocks_of_range(edges: DataFrame, labels: DataFrame, rows: int, cols: int, n: int) -> DataFrame:
+    """Entries dealt to blocks of consecutive positions, as a matrix is cut; (i, j, br, bc)."""
+    return permute(edges, labels).withColumn("br", F.floor(F.col("j") * rows / n)).withColumn("bc", F.floor(F.col("i") * cols / n))
+
+
+def spmspv_2d(blocked: DataFrame, x: DataFrame, cols: int | None = None) -> DataFrame:
+    """(select second, min) product block by block: partial minima inside each block, then over each block row.
+
+    With ``cols`` (of the grid) the frontier is first dealt to its block column, so that it meets only that column's blocks."""
+    x = x.select(F.col("v").alias("src"), "x")
+    on = ["src"]
+    if cols:
+        x, on = x.withColumn("bc", F.pmod(F.xxhash64("src"), F.lit(cols))), ["bc", "src"]
+    part = blocked.join(x, on).groupBy("br", "bc", F.col("dst").alias("v")).agg(F.min("x").alias("x"))
     return part.groupBy("v").agg(F.min("x").alias("x"))
 
 

@@ -37,6 +37,13 @@ def envelope_printed(edges: DataFrame, labels: DataFrame) -> DataFrame:
     return row_bandwidths(edges, labels).agg(F.coalesce(F.sum(F.least(F.col("beta"), F.lit(n - 1) - F.col("i"))), F.lit(0)).cast("long").alias("pairs"))
 
 
+def in_envelope(edges: DataFrame, labels: DataFrame, pairs: DataFrame) -> DataFrame:
+    """pairs (i, j) with ``inside``: whether 0 < i - j <= beta(i)."""
+    beta = row_bandwidths(edges, labels)
+    gap = F.col("i") - F.col("j")
+    return pairs.join(beta, "i", "left").select("i", "j", ((gap > 0) & (gap <= F.coalesce("beta", F.lit(0)))).alias("inside"))
+
+
 def spy(edges: DataFrame, labels: DataFrame, blocks: int, n: int) -> DataFrame:
     """(bi, bj, nnz): entries of each of blocks x blocks tiles."""
     p = permute(edges, labels)

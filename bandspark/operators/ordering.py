@@ -1,142 +1,211 @@
-"""Frontier orderings: reverse (the method) and forward, in one task a component group or as a distributed sweep.
+"""Frontier orderings: reverse (the method) and forward, in one task a lot of components or as distributed sweeps.
 
 Every plan gives the same labels: components by smallest member, vertices by level, then by (smallest parent label, degree, id).
 The reversal is global.
+
+sweep      levels first, then labels over edges laid out by level; small levels of deep graphs fused (:mod:`sweep`).
+algebraic  levels and labels in one sweep: product, filter, sort and scatter a level.
+task       whole components in tasks, packed into lots of bounded size.
+auto       components of at most ``task_edges`` directed edges in tasks, larger ones swept.
 """
 
 from __future__ import annotations
 
+import time
+from dataclasses import dataclass
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bandspark.model import SymGraph
-from bandspark.operators.components import components_in_task, connected_components
-from bandspark.operators.peripheral import pseudo_peripheral
-from bandspark.operators.ranking import sort_rank
+from bandspark.operators.components import connected_components
+from bandspark.operators.peripheral import SHRINKS, VARIANTS, search
+from bandspark.operators.ranking import STRATEGIES, sort_rank
 from bandspark.operators.serial import order_components
-from bandspark.operators.traverse import level_structure
+from bandspark.operators.sweep import FUSE_EDGES, SYNC_LEVELS, Sweeper, prefix_sums
 from bandspark.session import materialize
 
 #: Directed edges of a component up to which one task orders it (24 bytes each, a few copies).
 TASK_EDGES = 8_000_000
+PLANS, SORTS, TIES = ("auto", "task", "sweep", "algebraic"), ("degree", "parent", "level", "end"), ("original", "relabelled")
+#: Components that may be ordered one after another.
+MOST_SEQUENTIAL = 1000
+
+
+@dataclass(frozen=True)
+class Ordering:
+    """labels (v, label), roots (comp, root, depth, searches, width), levels (comp, v, level)."""
 
+    labels: DataFrame
+    roots: DataFrame
+    levels: DataFrame
 
-def with_components(g: SymGraph, task_edges: int = TASK_EDGES) -> DataFrame:
-    """(v, deg, comp); an isolated vertex is its own component. A graph of at most ``task_edges`` goes to one task."""
-    comps = components_in_task(g.edges) if g.edges.count() <= task_edges else connected_components(g.edges)
+
+def with_components(g: SymGraph) -> DataFrame:
+    """(v, deg, comp); an isolated vertex is its own component."""
+    comps = connected_components(g.edges)
     return materialize(g.vertices.join(comps, "v", "left").select("v", "deg", F.coalesce("comp", "v").alias("comp")), "vertices")
 
 
 def component_table(placed: DataFrame) -> DataFrame:
-    """comp, n, directed edges, base (vertices of components before). One row a component; bases are ranked in ranges of comp."""
+    """comp, n, edges (directed), base (vertices of components before). One row a component."""
     sizes = placed.groupBy("comp").agg(F.count("*").alias("n"), F.sum("deg").alias("edges"))
-    parts = materialize(sizes.repartitionByRange("comp").withColumn("_p", F.spark_partition_id()), "components")
-    inside = F.sum("n").over(Window.partitionBy("_p").orderBy("comp").rowsBetween(Window.unboundedPreceding, -1))
-    totals = parts.groupBy("_p").agg(F.sum("n").alias("t"))
-    before = totals.select("_p", F.coalesce(F.sum("t").over(Window.orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("b"))
-    out = parts.withColumn("i", F.coalesce(inside, F.lit(0))).join(before, "_p")
-    return out.select("comp", "n", "edges", (F.col("i") + F.col("b")).cast("long").alias("base"))
+    return materialize(prefix_sums(sizes, "comp", "n", "base"), "components")
 
 
 _HEAD = "kind int, comp long, v long, place long, level int, depth int, searches int, width long"
 
 
-def _in_tasks(edges: DataFrame, vertices: DataFrame, variant: str, shrink: str, sort: str, roots: DataFrame | None) -> DataFrame:
-    """Whole components in one task each group: rows of kind 0 (vertices) and 1 (one a component, v being the root)."""
-    groups = int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    spread = F.pmod(F.xxhash64("comp"), F.lit(groups))
+def _in_tasks(edges: DataFrame, vertices: DataFrame, table: DataFrame, lot_edges: int, variant: str, shrink: str, sort: str, given: dict | None) -> DataFrame:
+    """Whole components in one task a lot: rows of kind 0 (vertices) and 1 (one a component, v being the root).
+
+    A lot is a run of components with about ``lot_edges`` edges (a component is never cut), and of as many vertices at most."""
+    lots = prefix_sums(table.select("comp", (F.col("edges") + F.col("n")).alias("w")), "comp", "w")
+    lots = materialize(lots.select("comp", F.floor(F.col("before") / lot_edges).alias("k")), "lots")
 
     def run(e: pa.Table, v: pa.Table) -> pa.Table:
-        start = None
-        if "root" in v.column_names:
-            start = dict(zip(v.column("comp").to_pylist(), v.column("root").to_pylist(), strict=True))
-        cols, heads = order_components(e.column("src").to_numpy(), e.column("dst").to_numpy(), e.column("comp").to_numpy(), variant, shrink, sort, v.column("v").to_numpy(), v.column("comp").to_numpy(), start)
+        cols, heads = order_components(e.column("src").to_numpy(), e.column("dst").to_numpy(), e.column("comp").to_numpy(), variant, shrink, sort, v.column("v").to_numpy(), v.column("comp").to_numpy(), given)
         comp, ids, place, level = cols
         h = np.array(heads, np.int64).reshape(-1, 5)
         zero = np.zeros(len(comp), np.int64)
         both = lambda a, b: pa.array(np.concatenate([a, b]))
         return pa.table({
-            "kind": both(zero, zero[:0] if not len(h) else np.ones(len(h), np.int64)).cast(pa.int32()), "comp": both(comp, h[:, 0]), "v": both(ids, h[:, 1]), "place": both(place, np.full(len(h), -1)),
+            "kind": both(zero, np.ones(len(h), np.int64)).cast(pa.int32()), "comp": both(comp, h[:, 0]), "v": both(ids, h[:, 1]), "place": both(place, np.full(len(h), -1)),
             "level": both(level, np.full(len(h), -1)).cast(pa.int32()), "depth": both(zero, h[:, 2]).cast(pa.int32()), "searches": both(zero, h[:, 3]).cast(pa.int32()), "width": both(zero, h[:, 4]),
         })
 
-    v = vertices if roots is None else vertices.join(roots.select("comp", "root"), "comp")
-    fresh = lambda df, cols: df.select(*[F.col(c).alias(c) for c in cols], spread.alias("k"))  # noqa: E731  own column ids on both sides
-    keyed = fresh(edges, ["src", "dst", "comp"]).groupBy("k").cogroup(fresh(v, v.columns).groupBy("k"))
+    fresh = lambda df, cols: df.join(lots, "comp").select(*[F.col(c).alias(c) for c in cols], F.col("k").alias("k"))  # noqa: E731  own column ids on both sides
+    keyed = fresh(edges, ["src", "dst", "comp"]).groupBy("k").cogroup(fresh(vertices, ["comp", "v"]).groupBy("k"))
     return materialize(keyed.applyInArrow(run, _HEAD), "task-orders")
 
 
-def _sweep(edges: DataFrame, placed: DataFrame, levels: DataFrame, table: DataFrame, strategy: str, sort: str) -> DataFrame:
-    """(comp, v, place) level by level, from known levels: each edge is read once, at the level it leads to."""
-    n_levels = (levels.agg(F.max("level")).first()[0] or 0) + 1
-    at = levels.select("comp", "v", "level")
-    down = edges.select("src", "dst").join(at.select(F.col("v").alias("src"), F.col("level").alias("l0")), "src").join(at.select(F.col("v").alias("dst"), F.col("level").alias("l1"), "comp"), "dst")
-    down = down.where("l1 = l0 + 1").join(placed.select(F.col("v").alias("dst"), "deg"), "dst")
-    down = materialize(down.select("comp", "src", "dst", "deg", F.col("l1").alias("level")), "sweep-edges", ["level"])
-    sizes = levels.groupBy("comp", "level").agg(F.count("*").alias("n"))
-    first = F.coalesce(F.sum("n").over(Window.partitionBy("comp").orderBy("level").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    starts = materialize(sizes.withColumn("first", first).join(table.select("comp", "base"), "comp").select("comp", "level", (F.col("first") + F.col("base")).alias("start")), "sweep-starts")
-    last = materialize(levels.where("level = 0").join(table.select("comp", "base"), "comp").select("comp", "v", F.col("base").alias("label")), "sweep")
-    out = last
-    for k in range(1, n_levels):
-        kids = down.where(F.col("level") == k).join(last.select(F.col("v").alias("src"), "label"), "src")
-        kids = kids.groupBy("comp", F.col("dst").alias("v"), "deg").agg(F.min("label").alias("p"))  # labels grow with comp: the order of parents is that of components first
-        keys = {"degree": ["p", "deg", "v"], "parent": ["p", "v"], "level": ["comp", "v"]}[sort]
-        ranked = materialize(sort_rank(kids, keys, strategy), "sweep-rank")
-        lows = ranked.groupBy("comp").agg(F.min("rank").alias("low"))
-        now = ranked.join(lows, "comp").join(starts.where(F.col("level") == k).select("comp", "start"), "comp")
-        last = materialize(now.select("comp", "v", (F.col("rank") - F.col("low") + F.col("start")).cast("long").alias("label")), "sweep")
-        out = out.unionByName(last)
-    return out
-
-
-def frontier_order(g: SymGraph, root: str = "classic", plan: str = "auto", reverse: bool = True, strategy: str = "bucket", sort: str = "degree", shrink: str = "min_degree", task_edges: int = TASK_EDGES) -> "Ordering":
-    """Labels of all vertices. root: classic, algebraic or first; plan: auto, task or sweep; strategy: of the ranks in a sweep."""
-    placed = with_components(g, 0 if plan == "sweep" else task_edges)
-    table = component_table(placed)
-    small = table if plan == "task" else table.where("false") if plan == "sweep" else table.where(F.col("edges") <= task_edges)
-    large = table.join(small.select("comp"), "comp", "left_anti")
-    edges = g.edges.join(placed.select(F.col("v").alias("src"), "comp"), "src")
+def _swept(g: SymGraph, placed: DataFrame, table: DataFrame, plan: str, variant: str, shrink: str, given: dict | None, strategy: str, sort: str, sync_levels: int, fuse_edges: int):
+    """(labels (comp, v, label) forward, heads, levels) of the components in ``table``."""
+    sweeper = Sweeper(g, placed, sync_levels, fuse_edges)
+    spark = g.edges.sparkSession
+    fixed = spark.createDataFrame(list((given or {}).items()), "comp long, v long").join(table.select("comp"), "comp", "left_semi") if given else None
+    starts = table.select("comp", F.col("comp").alias("v"))
+    if fixed is not None:
+        starts = starts.join(fixed.select("comp"), "comp", "left_anti")
+    roots, found = search(sweeper.levels, g.vertices, starts, variant, shrink)
+    roots = roots.drop("hop")
+    if variant == "algebraic" and plan == "sweep":  # the last search was not from the root
+        found = sweeper.levels(roots.select("comp", F.col("root").alias("v")))
+    if fixed is not None:
+        own = sweeper.levels(fixed)
+        roots = roots.unionByName(fixed.select("comp", F.col("v").alias("root"), F.lit(0).alias("depth"), F.lit(0).alias("searches")))
+        found = materialize(found.unionByName(own), "levels")
+    if plan == "algebraic":
+        labels, found = sweeper.algebraic(roots.select("comp", F.col("root").alias("v")), table, strategy, sort)
+    else:
+        labels = sweeper.labels(found, table, strategy, sort)
+    width = found.groupBy("comp", "level").count().groupBy("comp").agg(F.max("count").alias("width"), F.max("level").alias("d"))
+    heads = roots.join(width, "comp").select("comp", "root", F.col("d").alias("depth"), "searches", "width")
+    return labels, heads, found.select("comp", "v", "level")
+
+
+def _one_of(name: str, value, allowed: tuple) -> None:
+    if value not in allowed:
+        raise ValueError(f"{name} is one of {allowed}, not {value!r}")
+
+
+def frontier_order(
+    g: SymGraph, root: str | int = "classic", plan: str = "auto", reverse: bool = True, strategy: str = "bucket", sort: str = "degree", shrink: str = "min_degree", task_edges: int = TASK_EDGES,
+    tie_break: str = "original", components: str = "lockstep", seed: int = 7, sync_levels: int = SYNC_LEVELS, fuse_edges: int = FUSE_EDGES,
+) -> Ordering:
+    """Labels of all vertices.
+
+    root: classic, algebraic, first, or the id of a vertex, which is then its component's root (the others' are searched by the classic rule).
+    strategy: of the ranks in a sweep. sort: by degree below the parent, by parent alone, by level alone, or once at the end by (level, degree).
+    tie_break: ids as given, or as randomly relabelled by ``seed`` (labels are those of the ids given). components: in lockstep, or one after another."""
+    _one_of("plan", plan, PLANS)
+    _one_of("strategy", strategy, STRATEGIES)
+    _one_of("sort", sort, SORTS)
+    _one_of("shrink", shrink, SHRINKS)
+    _one_of("tie_break", tie_break, TIES)
+    _one_of("components", components, ("lockstep", "sequential"))
+    if not isinstance(root, int):
+        _one_of("root", root, VARIANTS)
+    if plan == "algebraic" and sort not in ("degree", "parent"):
+        raise ValueError("one sweep without known levels sorts by degree or parent")
+    options = {"plan": plan, "reverse": reverse, "strategy": strategy, "sort": sort, "shrink": shrink, "task_edges": task_edges, "sync_levels": sync_levels, "fuse_edges": fuse_edges}
+    if tie_break == "relabelled":
+        return _relabelled(g, root, seed, components, options)
+    placed = with_components(g)
+    given = None
+    if isinstance(root, int):
+        at = placed.where(F.col("v") == root).first()
+        if at is None:
+            raise ValueError(f"root {root} is not a vertex")
+        given, root = {at["comp"]: root}, "classic"
+    if components == "sequential":
+        return _sequential(g, placed, given, root, options)
+    return _ordered(g, placed, component_table(placed), given, root, **options)
+
+
+def _ordered(g, placed, table, given, root, plan, reverse, strategy, sort, shrink, task_edges, sync_levels, fuse_edges) -> Ordering:
+    spark = g.edges.sparkSession
+    whole = {"task": F.lit(True), "auto": F.col("edges") <= task_edges}.get(plan, F.lit(False))
+    small, large = table.where(whole), table.where(~whole)
     parts, heads, levels = [], [], []
-    if plan == "auto" and large.isEmpty():
-        plan = "task"
-    if plan == "task":
-        small = table
-    elif plan == "sweep":
-        table = large = materialize(table, "components")
-    if plan != "sweep":
-        whole = plan == "task"
-        own = (placed if whole else placed.join(small.select("comp"), "comp", "left_semi")).select("comp", "v")
-        done = _in_tasks(edges if whole else edges.join(small.select("comp"), "comp", "left_semi"), own, root, shrink, sort, None)
+    if not small.isEmpty():
+        total = table.agg(F.sum("edges")).first()[0]
+        lot = min(task_edges, max(1000, total // (2 * int(spark.conf.get("spark.sql.shuffle.partitions")))))  # as many lots as keep all cores busy, none above the bound
+        own = placed.join(small.select("comp"), "comp", "left_semi").select("comp", "v")
+        edges = g.edges.join(own.select(F.col("v").alias("src"), "comp"), "src")
+        done = _in_tasks(edges, own, small, lot, root, shrink, sort, given)
         parts.append(done.where("kind = 0").join(small.select("comp", "base"), "comp").select("comp", "v", (F.col("place") + F.col("base")).alias("label")))
         heads.append(done.where("kind = 1").select("comp", F.col("v").alias("root"), "depth", "searches", "width"))
         levels.append(done.where("kind = 0").select("comp", "v", "level"))
-    if plan != "task" and not large.isEmpty():
-        starts = large.select("comp", F.col("comp").alias("v"))
-        roots = materialize(pseudo_peripheral(g, starts, root, shrink), "roots")
-        found = materialize(level_structure(g.edges, roots.select("comp", F.col("root").alias("v"))), "levels")
-        parts.append(_sweep(g.edges, placed, found, large, strategy, sort))
-        width = found.groupBy("comp", "level").count().groupBy("comp").agg(F.max("count").alias("width"), F.max("level").alias("d"))
-        heads.append(roots.join(width, "comp").select("comp", "root", F.col("d").alias("depth"), "searches", "width"))
-        levels.append(found.select("comp", "v", "level"))
-    union = lambda frames: frames[0] if len(frames) == 1 else frames[0].unionByName(frames[1])
+    if not large.isEmpty():
+        done = _swept(g, placed, large, "algebraic" if plan == "algebraic" else "sweep", root, shrink, given, strategy, sort, sync_levels, fuse_edges)
+        for all_of, one in zip((parts, heads, levels), done, strict=True):
+            all_of.append(one)
     if not parts:
-        spark = g.edges.sparkSession
         return Ordering(spark.createDataFrame([], "v long, label long"), spark.createDataFrame([], "comp long, root long, depth int, searches int, width long"), spark.createDataFrame([], "comp long, v long, level int"))
+    union = lambda frames: frames[0] if len(frames) == 1 else frames[0].unionByName(frames[1])
     labels = union(parts)
     if reverse:
-        n = placed.count()
-        labels = labels.withColumn("label", F.lit(n - 1) - F.col("label"))
+        labels = labels.withColumn("label", F.lit(placed.count() - 1) - F.col("label"))
     return Ordering(labels.select("v", F.col("label").cast("long").alias("label")), union(heads), union(levels))
 
 
-class Ordering:
-    """labels (v, label), roots (comp, root, depth, searches, width), levels (comp, v, level)."""
+def _relabelled(g: SymGraph, root, seed: int, components: str, options: dict) -> Ordering:
+    from bandspark.operators.distribution import random_relabel
 
-    def __init__(self, labels: DataFrame, roots: DataFrame, levels: DataFrame):
-        self.labels, self.roots, self.levels = labels, roots, levels
+    other, ids = random_relabel(g, seed)
+    ids = materialize(ids, "relabelled")
+    if isinstance(root, int):
+        at = ids.where(F.col("v") == root).first()
+        if at is None:
+            raise ValueError(f"root {root} is not a vertex")
+        root = at["label"]
+    o = frontier_order(other, root, components=components, **options)
+    back = ids.select(F.col("label").alias("_new"), F.col("v").alias("_old"))
+    first = back.join(o.levels, back["_new"] == o.levels["v"]).groupBy("comp").agg(F.min("_old").alias("_comp"))  # components are named by their smallest id
+    named = lambda df, c: df.join(back, df[c] == back["_new"]).drop(c, "_new").withColumnRenamed("_old", c)
+    renamed = lambda df: df.join(first, "comp").drop("comp").withColumnRenamed("_comp", "comp")
+    return Ordering(named(o.labels, "v").select("v", "label"), renamed(named(o.roots, "root")).select("comp", "root", "depth", "searches", "width"), renamed(named(o.levels, "v")).select("comp", "v", "level"))
+
+
+def _sequential(g: SymGraph, placed: DataFrame, given, root, options: dict) -> Ordering:
+    """Components one after another, each by a call of its own; at most MOST_SEQUENTIAL of them."""
+    table = component_table(placed)
+    comps = [r["comp"] for r in table.select("comp").orderBy("comp").limit(MOST_SEQUENTIAL + 1).collect()]
+    if len(comps) > MOST_SEQUENTIAL:
+        raise ValueError(f"more than {MOST_SEQUENTIAL} components: order them in lockstep")
+    out = None
+    for c in comps:
+        own = materialize(placed.where(F.col("comp") == c), "vertices")
+        edges = g.edges.join(own.select(F.col("v").alias("src")), "src", "left_semi")
+        one = _ordered(SymGraph(materialize(edges, "edges"), own.select("v", "deg")), own, table.where(F.col("comp") == c), given, root, **{**options, "reverse": False})
+        out = one if out is None else Ordering(*(a.unionByName(b) for a, b in zip((out.labels, out.roots, out.levels), (one.labels, one.roots, one.levels), strict=True)))
+    if out is None:
+        return _ordered(g, placed, table, given, root, **options)
+    labels = out.labels.withColumn("label", F.lit(placed.count() - 1) - F.col("label")) if options["reverse"] else out.labels
+    return Ordering(labels, out.roots, out.levels)
 
 
 def natural_order(g: SymGraph, strategy: str = "general") -> DataFrame:
@@ -150,19 +219,41 @@ def random_order(g: SymGraph, seed: int, strategy: str = "general") -> DataFrame
     return sort_rank(keyed, ["h", "v"], strategy).select("v", F.col("rank").alias("label"))
 
 
-def gather_order(g: SymGraph, limit_edges: int = TASK_EDGES, root: str = "classic") -> DataFrame:
-    """The gather-to-one-node baseline: all edges in one task; refused above ``limit_edges``."""
+def single_node_order(g: SymGraph, threads: int = 1, limit_edges: int = TASK_EDGES, root: str = "classic") -> DataFrame:
+    """The shared-memory baseline: all edges in one task, whose frontiers are expanded by ``threads`` threads; refused above ``limit_edges``."""
+    return gather_order(g, limit_edges, root, threads)
+
+
+def gather_order(g: SymGraph, limit_edges: int = TASK_EDGES, root: str = "classic", threads: int = 1) -> DataFrame:
+    """The gather-to-one-node baseline: all edges and vertices in one task; refused above ``limit_edges``."""
+    _one_of("root", root, VARIANTS)
     m = g.edges.count()
     if m > limit_edges:
         raise MemoryError(f"{m} directed edges are more than the {limit_edges} that one task may hold")
     placed = with_components(g)
     table = component_table(placed)
-    edges = g.edges.join(placed.select(F.col("v").alias("src"), "comp"), "src").coalesce(1).withColumn("k", F.lit(0))
+    edges = g.edges.join(placed.select(F.col("v").alias("src"), "comp"), "src").select("src", "dst", "comp", F.lit(0).alias("k"))
+    own = placed.select(F.col("comp").alias("comp"), F.col("v").alias("v"), F.lit(0).alias("k"))
 
-    def run(e: pa.Table) -> pa.Table:
-        (comp, ids, place, _), _ = order_components(e.column("src").to_numpy(), e.column("dst").to_numpy(), e.column("comp").to_numpy(), root)
+    def run(e: pa.Table, v: pa.Table) -> pa.Table:
+        (comp, ids, place, _), _ = order_components(e.column("src").to_numpy(), e.column("dst").to_numpy(), e.column("comp").to_numpy(), root, vertices=v.column("v").to_numpy(), comp_of_vertices=v.column("comp").to_numpy(), threads=threads)
         return pa.table({"comp": pa.array(comp), "v": pa.array(ids), "place": pa.array(place)})
 
-    done = edges.groupBy("k").applyInArrow(run, "comp long, v long, place long")
+    done = edges.groupBy("k").cogroup(own.groupBy("k")).applyInArrow(run, "comp long, v long, place long")
     n = placed.count()
     return done.join(table, "comp").select("v", (F.lit(n - 1) - F.col("place") - F.col("base")).cast("long").alias("label"))
+
+
+def gather_report(g: SymGraph, limit_edges: int = TASK_EDGES, threads: int = 1) -> dict:
+    """Seconds to gather the matrix in one task, to order it, and to deal the labels out again, with the outcome: ok or refused."""
+    m, seconds = g.edges.count(), {"gather": None, "order": None, "scatter": None}
+    if m > limit_edges:
+        return {"status": "refused", "edges": m, **seconds}
+    began = time.perf_counter()
+    one = materialize(g.edges.coalesce(1), "gathered")
+    seconds["gather"] = time.perf_counter() - began
+    labels = materialize(gather_order(SymGraph(one, g.vertices), limit_edges, threads=threads).coalesce(1), "ordered")
+    seconds["order"] = time.perf_counter() - began - seconds["gather"]
+    materialize(labels.repartition("v"), "dealt")
+    seconds["scatter"] = time.perf_counter() - began - seconds["gather"] - seconds["order"]
+    return {"status": "ok", "edges": m, **{k: round(v, 3) for k, v in seconds.items()}}

@@ -11,6 +11,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from bandspark.session import Steps
 
 @dataclass(frozen=True)
 class Semiring:
@@ -45,16 +46,21 @@ def scatter(y: DataFrame, x: DataFrame) -> DataFrame:
     return y.join(x, "v", "full").select("v", F.coalesce("x", "y").alias("y"))
 
 
+def scatter_new(y: Steps, x: DataFrame) -> DataFrame:
+    """y, kept in steps, with the values of x put in at indices that y has no value for: they are appended, y is not rewritten. Returns x as written."""
+    return y.put(x)
+
+
 def gather(x: DataFrame, y: DataFrame) -> DataFrame:
     """x with the values that y has at its indices."""
     return x.select("v").join(y, "v").select("v", F.col("y").alias("x"))
 
 
-def spmspv(edges: DataFrame, x: DataFrame, ring: Semiring = SELECT2ND_MIN) -> DataFrame:
-    """The product of the matrix with a sparse vector; partial sums are made before the shuffle."""
+def spmspv(edges: DataFrame, x: DataFrame, ring: Semiring = SELECT2ND_MIN, carry: tuple[str, ...] = ()) -> DataFrame:
+    """The product of the matrix with a sparse vector; partial sums are made before the shuffle. ``carry``: columns of the edges that depend on dst alone."""
     value = F.col("val") if "val" in edges.columns else F.lit(1)
-    met = edges.join(x.withColumnRenamed("v", "src"), "src")
-    return met.groupBy(F.col("dst").alias("v")).agg(ring.add(ring.mul(value, F.col("x"))).alias("x"))
+    met = edges.join(x.select(F.col("v").alias("src"), "x"), "src")
+    return met.groupBy(F.col("dst").alias("v"), *carry).agg(ring.add(ring.mul(value, F.col("x"))).alias("x"))
 
 
 def reduce_over(x: DataFrame, y: DataFrame, op: Callable[[Column], Column] = F.min) -> DataFrame:

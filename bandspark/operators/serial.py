@@ -5,6 +5,8 @@ Local vertex numbers follow the order of the ids, so ties by number are ties by
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+
 import numpy as np
 
 
@@ -58,25 +60,42 @@ class Columns:
                 return (hop if variant == "algebraic" else root), len(found) - 1, runs
             root = hop
 
-    def order(self, root: int, sort: str = "degree") -> np.ndarray:
-        """The vertices of root's component in forward frontier order. sort: ``degree`` (parent, degree, id), ``parent`` (parent, id), ``level`` (id)."""
+    def _children(self, f: np.ndarray, seen: np.ndarray, shift: int = 0) -> tuple[np.ndarray, np.ndarray]:
+        """Unseen neighbours of a frontier, each once, and the place of its smallest parent."""
+        near, parent = self.neighbours(f)
+        fresh = ~seen[near]
+        v, at = np.unique(near[fresh], return_index=True)  # the first place is that of the smallest parent
+        return v, parent[fresh][at] + shift
+
+    def order(self, root: int, sort: str = "degree", threads: int = 1) -> np.ndarray:
+        """The vertices of root's component in forward frontier order. sort: ``degree`` (parent, degree, id), ``parent`` (parent, id), ``level`` (id), ``end`` (degree, id).
+
+        With more threads, each expands a share of the frontier; the result is the same."""
         seen = np.zeros(len(self.ids), bool)
         seen[root] = True
         out = [np.array([root])]
+        pool = ThreadPoolExecutor(threads) if threads > 1 else None
         while True:
-            near, parent = self.neighbours(out[-1])
-            fresh = ~seen[near]
-            v, at = np.unique(near[fresh], return_index=True)  # the first place is that of the smallest parent
+            f = out[-1]
+            if pool and len(f) >= threads:
+                cut = np.linspace(0, len(f), threads + 1).astype(int).tolist()
+                shares = list(pool.map(lambda ab: self._children(f[ab[0] : ab[1]], seen, ab[0]), zip(cut, cut[1:])))  # noqa: B023
+                v, p = (np.concatenate(x) for x in zip(*shares))
+                v, at = np.unique(v, return_index=True)  # shares are in the order of parents
+                p = p[at]
+            else:
+                v, p = self._children(f, seen)
             if not len(v):
+                if pool:
+                    pool.shutdown()
                 return np.concatenate(out)
-            p = parent[fresh][at]
-            keys = {"degree": (v, self.degree[v], p), "parent": (v, p), "level": (v,)}[sort]
+            keys = {"degree": (v, self.degree[v], p), "parent": (v, p), "level": (v,), "end": (v, self.degree[v])}[sort]
             v = v[np.lexsort(keys)]
             seen[v] = True
             out.append(v)
 
 
-def order_components(src, dst, comp_of_src, variant: str, shrink: str = "min_degree", sort: str = "degree", vertices=None, comp_of_vertices=None, roots: dict | None = None):
+def order_components(src, dst, comp_of_src, variant: str, shrink: str = "min_degree", sort: str = "degree", vertices=None, comp_of_vertices=None, given: dict | None = None, threads: int = 1):
     """For every component: arrays comp, v, place (forward, from 0), level, and one row each of (comp, root, depth, searches, width)."""
     g = Columns(src, dst, vertices)
     comp = np.empty(len(g.ids), np.int64)
@@ -87,10 +106,12 @@ def order_components(src, dst, comp_of_src, variant: str, shrink: str = "min_deg
     names, firsts = np.unique(comp, return_index=True)  # the first vertex of each has the smallest id
     level = np.full(len(g.ids), -1)
     for c, first in zip(names.tolist(), firsts.tolist()):
-        start = first if roots is None else int(np.searchsorted(g.ids, roots[c]))
-        root, _, runs = g.find_root(start, variant, shrink)
+        if given and c in given:
+            root, runs = int(np.searchsorted(g.ids, given[c])), 0
+        else:
+            root, _, runs = g.find_root(first, variant, shrink)
         found = g.levels(root, level)
-        seq = g.order(root, sort)
+        seq = g.order(root, sort, threads)
         rows.append((np.full(len(seq), c), g.ids[seq], np.arange(len(seq)), level[seq]))
         heads.append((c, int(g.ids[root]), len(found) - 1, runs, max(map(len, found))))
     cols = [np.concatenate([r[i] for r in rows]) if rows else np.zeros(0, np.int64) for i in range(4)]

@@ -30,19 +30,19 @@ def off_block(matrix: DataFrame, block: int) -> int:
 
 def cg_block_jacobi(matrix: DataFrame, rhs: DataFrame, block: int = 32, tol: float = 1e-8, most: int = 500) -> dict:
     """rhs (i, b). Returns x (a DataFrame), iterations, residual (relative) and off_block."""
-    inside = materialize(matrix.withColumn("blk", F.floor(F.col("i") / block)).where(F.floor(F.col("j") / block) == F.col("blk")), "solver-blocks")
+    inside = matrix.withColumn("blk", F.floor(F.col("i") / block)).where(F.floor(F.col("j") / block) == F.col("blk"))
 
-    def solve(m: pa.Table, r: pa.Table) -> pa.Table:
-        i = r.column("i").to_numpy()
-        order = np.argsort(i)
-        ids = i[order]
+    def invert(m: pa.Table) -> pa.Table:
+        i, j = m.column("i").to_numpy(), m.column("j").to_numpy()
+        ids = np.unique(i)
         a = np.zeros((len(ids), len(ids)))
-        a[np.searchsorted(ids, m.column("i").to_numpy()), np.searchsorted(ids, m.column("j").to_numpy())] = m.column("a").to_numpy()
-        return pa.table({"i": pa.array(ids), "z": pa.array(np.linalg.solve(a, r.column("r").to_numpy()[order]))})
+        a[np.searchsorted(ids, i), np.searchsorted(ids, j)] = m.column("a").to_numpy()
+        return pa.table({"i": pa.array(np.repeat(ids, len(ids))), "j": pa.array(np.tile(ids, len(ids))), "w": pa.array(np.linalg.inv(a).ravel())})
+
+    inverse = materialize(inside.groupBy("blk").applyInArrow(invert, "i long, j long, w double"), "solver-blocks")  # block x block numbers a block, made once
 
     def precondition(r: DataFrame) -> DataFrame:
-        left = inside.select("i", "j", "a", F.col("blk").alias("blk"))
-        return left.groupBy("blk").cogroup(r.select("i", "r", F.floor(F.col("i") / block).alias("blk")).groupBy("blk")).applyInArrow(solve, "i long, z double")
+        return inverse.join(r.select(F.col("i").alias("j"), "r"), "j").groupBy("i").agg(F.sum(F.col("w") * F.col("r")).alias("z"))
 
     def dot(df: DataFrame, x: str, y: str) -> float:
         return df.agg(F.sum(F.col(x) * F.col(y))).first()[0] or 0.0
@@ -57,13 +57,12 @@ def cg_block_jacobi(matrix: DataFrame, rhs: DataFrame, block: int = 32, tol: flo
         ap = matrix.join(state.select(F.col("i").alias("j"), "p"), "j").groupBy("i").agg(F.sum(F.col("a") * F.col("p")).alias("ap"))
         with_ap = materialize(state.join(ap, "i"), "solver")
         alpha = rz / dot(with_ap, "p", "ap")
-        moved = materialize(with_ap.select("i", (F.col("x") + alpha * F.col("p")).alias("x"), (F.col("r") - alpha * F.col("ap")).alias("r"), "p"), "solver")
-        residual = dot(moved, "r", "r") ** 0.5 / norm
+        moved = with_ap.select("i", (F.col("x") + alpha * F.col("p")).alias("x"), (F.col("r") - alpha * F.col("ap")).alias("r"), "p")
+        both = materialize(moved.join(precondition(moved), "i"), "solver")
+        sums = both.agg(F.sum(F.col("r") * F.col("r")).alias("rr"), F.sum(F.col("r") * F.col("z")).alias("rz")).first()
+        residual = (sums["rr"] or 0.0) ** 0.5 / norm
+        state = both.select("i", "x", "r", (F.col("z") + ((sums["rz"] or 0.0) / rz) * F.col("p")).alias("p"))
+        rz = sums["rz"]
         if residual <= tol:
-            state = moved
             break
-        both = materialize(moved.join(precondition(moved), "i"), "solver")
-        new = dot(both, "r", "z")
-        state = materialize(both.select("i", "x", "r", (F.col("z") + (new / rz) * F.col("p")).alias("p")), "solver")
-        rz = new
     return {"x": state.select("i", "x"), "iterations": k, "residual": residual, "off_block": off_block(matrix, block)}

@@ -24,14 +24,16 @@ def _graph(w: str) -> list[str]:
     ]
 
 
-def _search(root: str = "classic", searches: int = SEARCHES) -> list[str]:
+def _search(root: str | int = "classic", searches: int = SEARCHES, shrink: str = "deg, ") -> list[str]:
     out = ["r1 AS (SELECT DISTINCT c, c AS root FROM cc)"]
+    if isinstance(root, int):
+        return [f"rt AS (SELECT c, {root} AS root FROM cc WHERE v = {root})", _levels("lv", "rt")]
     if root == "first":
         return [*out, _levels("lv", "r1"), "rt AS (SELECT c, root FROM r1)"]
     for j in range(1, searches + 1):
         out.append(_levels(f"l{j}", f"r{j}"))
         out.append(f"x{j} AS (SELECT c, max(l) AS ecc FROM l{j} GROUP BY c)")
-        out.append(f"h{j} AS (SELECT c, v AS hop FROM (SELECT l{j}.c, l{j}.v, row_number() OVER (PARTITION BY l{j}.c ORDER BY deg, l{j}.v) AS n FROM l{j} JOIN x{j} ON x{j}.c = l{j}.c AND x{j}.ecc = l{j}.l JOIN deg ON deg.v = l{j}.v) AS q WHERE n = 1)")
+        out.append(f"h{j} AS (SELECT c, v AS hop FROM (SELECT l{j}.c, l{j}.v, row_number() OVER (PARTITION BY l{j}.c ORDER BY {shrink}l{j}.v) AS n FROM l{j} JOIN x{j} ON x{j}.c = l{j}.c AND x{j}.ecc = l{j}.l JOIN deg ON deg.v = l{j}.v) AS q WHERE n = 1)")
         before = "true AS grew, 1 AS runs" if j == 1 else f"(s{j - 1}.grew AND x{j}.ecc > s{j - 1}.ecc) AS grew, s{j - 1}.runs + s{j - 1}.grew::INT AS runs"
         join = "" if j == 1 else f" JOIN s{j - 1} ON s{j - 1}.c = r{j}.c"
         out.append(f"s{j} AS (SELECT r{j}.c, r{j}.root, x{j}.ecc, h{j}.hop, {before} FROM r{j} JOIN x{j} ON x{j}.c = r{j}.c JOIN h{j} ON h{j}.c = r{j}.c{join})")
@@ -42,7 +44,7 @@ def _search(root: str = "classic", searches: int = SEARCHES) -> list[str]:
 
 
 def _labels(sort: str = "degree", reverse: bool = True) -> list[str]:
-    keys = {"degree": "p, deg, v", "parent": "p, v", "level": "v"}[sort]
+    keys = {"degree": "p, deg, v", "parent": "p, v", "level": "v", "end": "deg, v"}[sort]
     sign = "(SELECT count(*) FROM cc) - 1 - (b + x)" if reverse else "b + x"
     return [
         "sz AS (SELECT c, l, count(*) AS n FROM lv GROUP BY c, l)",
@@ -80,8 +82,20 @@ def levels(w: str, root: str = "classic") -> str:
     return _with(_graph(w) + _search(root, _n(w)), "SELECT c AS comp, v, l AS level FROM lv")
 
 
-def order(w: str, root: str = "classic", sort: str = "degree", reverse: bool = True, tail: str = "SELECT v, label FROM o") -> str:
-    return _with(_graph(w) + _search(root, _n(w)) + _labels(sort, reverse), tail)
+def order(w: str, root: str | int = "classic", sort: str = "degree", reverse: bool = True, tail: str = "SELECT v, label FROM o", shrink: str = "deg, ") -> str:
+    return _with(_graph(w) + _search(root, _n(w), shrink) + _labels(sort, reverse), tail)
+
+
+def structure(names) -> str:
+    return " UNION ALL ".join(f"SELECT * FROM ({metrics(w)}) AS {w}" for w in names)
+
+
+def off_blocks(w: str, scramble: str, blocks: tuple[int, ...]) -> str:
+    """Entries across blocks in natural, scrambled and frontier order; ``scramble``: a label from v and c.n."""
+    parts = _graph(w) + _search("classic", _n(w)) + _labels()
+    parts += [f"k AS (SELECT 'natural' AS ordering, v, row_number() OVER (ORDER BY v) - 1 AS label FROM deg UNION ALL SELECT 'scrambled', v, {scramble} FROM deg, (SELECT count(*) AS n FROM deg) c UNION ALL SELECT 'frontier', v, label FROM o)"]
+    tail = " UNION ALL ".join(f"SELECT x.ordering, {b} AS block, count(*) AS off_block FROM e JOIN k x ON x.v = e.src JOIN k y ON y.v = e.dst AND y.ordering = x.ordering WHERE x.label // {b} <> y.label // {b} GROUP BY 1" for b in blocks)
+    return _with(parts, tail)
 
 
 def metrics(w: str) -> str:

@@ -11,19 +11,32 @@ from pyspark.sql import DataFrame, SparkSession
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
+#: Folders written by this process, in order.
+_WRITTEN: list[str] = []
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder every executor can read: ``spark.checkpoint.dir``; set here only if the session has none."""
+    """The folder every executor can read: ``spark.checkpoint.dir``. Only a local session without one gets a temporary folder."""
     at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not at:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir is unset: name a folder that all executors share")
         at = "file://" + tempfile.mkdtemp(prefix="bandspark-shared-")
         spark.sparkContext.setCheckpointDir(at)
     return at
 
 
-def materialize(df: DataFrame, name: str = "stage", partition_by: list[str] | None = None) -> DataFrame:
-    """Write ``df`` as Parquet in the shared folder and read it back: lineage is cut and survives lost executors."""
-    spark = df.sparkSession
+def new_folder(spark: SparkSession, name: str) -> str:
+    """A path of its own in the shared folder."""
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    _WRITTEN.append(path)
+    return path
+
+
+def materialize(df: DataFrame, name: str = "stage", partition_by: list[str] | None = None, path: str | None = None) -> DataFrame:
+    """Write ``df`` as Parquet in the shared folder (or at ``path``) and read it back: lineage is cut and survives lost executors."""
+    spark = df.sparkSession
+    path = path or new_folder(spark, name)
     writer = df.write.mode("overwrite")
     if partition_by:
         writer = writer.partitionBy(*partition_by)
@@ -36,16 +49,34 @@ def materialize(df: DataFrame, name: str = "stage", partition_by: list[str] | No
     return spark.read.schema(df.schema).parquet(path)
 
 
-def forget(spark: SparkSession, df: DataFrame) -> None:
-    """Delete what :func:`materialize` wrote for ``df`` once nothing reads it any more."""
-    jvm = spark.sparkContext._jvm
+class Steps:
+    """One table appended to step by step: each step is written once, and all are read as one table, not as a union that grows."""
+
+    def __init__(self, spark: SparkSession, name: str):
+        self.spark, self.path, self.schema, self.n = spark, new_folder(spark, name), None, 0
+
+    def put(self, df: DataFrame) -> DataFrame:
+        self.schema = self.schema or df.schema
+        out = materialize(df, path=f"{self.path}/step={self.n}")
+        self.n += 1
+        return out
+
+    def all(self) -> DataFrame:
+        return self.spark.read.schema(self.schema).option("recursiveFileLookup", "true").parquet(self.path)
+
+
+def written() -> int:
+    """A mark for :func:`forget`: what is written from here on."""
+    return len(_WRITTEN)
+
+
+def forget(spark: SparkSession, since: int = 0) -> None:
+    """Delete the stages written since a mark, once nothing reads them any more."""
     conf = spark.sparkContext._jsc.hadoopConfiguration()
-    parents = {f.rsplit("/", 1)[0] for f in df.inputFiles()}
-    home = shared_dir(spark).removeprefix("file://").rstrip("/")
-    for p in parents:
-        if home in p:
-            path = jvm.org.apache.hadoop.fs.Path(p)
-            path.getFileSystem(conf).delete(path, True)
+    for p in _WRITTEN[since:]:
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(p)
+        path.getFileSystem(conf).delete(path, True)
+    del _WRITTEN[since:]
 
 
 def local_session(cores: int = 8, app: str = "bandspark") -> SparkSession:

@@ -104,7 +104,7 @@ _STREAMS = {
     "op_stream_sliding": (sliding, "SELECT start, count(*) AS n FROM (SELECT time_bucket(INTERVAL 15 MINUTE, ts) - INTERVAL (15 * k) MINUTE AS start FROM events, range(4) r(k)) GROUP BY 1"),
     "op_stream_session": (sessions, """SELECT user_id, min(ts) AS start, count(*) AS n FROM (SELECT *, sum(g) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM
  (SELECT *, CASE WHEN ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 30 MINUTE THEN 1 ELSE 0 END AS g FROM events)) GROUP BY user_id, s"""),
-    "op_stream_watermark_late": (watermark_late, None),
+    "op_stream_watermark_late": (watermark_late, "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, count(*) AS n FROM events GROUP BY 1 HAVING time_bucket(INTERVAL 1 HOUR, ts) + INTERVAL 2 HOUR <= (SELECT max(ts) FROM events)"),
     "op_stream_dedupe": (dedupe, "SELECT event_id FROM events"),
     "op_stream_stateful": (chains, "SELECT a, b FROM (SELECT lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS a, event_id AS b FROM events) WHERE a IS NOT NULL"),
     "op_stream_join": (join_within_hour, "SELECT v.event_id AS a, p.event_id AS b FROM events v JOIN events p ON v.user_id = p.user_id AND v.event_type = 'view' AND p.event_type = 'purchase' AND p.ts BETWEEN v.ts AND v.ts + INTERVAL 1 HOUR"),
