@@ -9,6 +9,7 @@
 4. The recurrent model starts as the unigram model and learns in ROUNDS rounds: in each, one block of ROUNDS trains from the same
    parameters, so that every training document is learnt from once (truncated backpropagation), and the parameters are averaged by their numbers of tokens, in two steps so that no
    task meets them all. What is gathered grows with the corpus.
+   Before that each block and the counts of its words meet once, and its tokens are written as ids of the model: rounds and scores read that table, and shuffle nothing but parameters.
 5. Every block is scored with the state carried across windows, so a score is that of the whole document.
 
 Tokens: words (A-Z lowered) and one end per text. Training rows: crc32 of the id as text modulo 7 is not 2.
@@ -210,14 +211,31 @@ def gather_vocabulary(counted: DataFrame, head: int = HEAD) -> Vocabulary:
     return Vocabulary(top.column("word").to_numpy().view(np.uint64), top.column("n").to_numpy(), mass, types)
 
 
-def _block(payload: pa.Table, pieces: pa.Table):
-    """ids, training flags, lengths, token indexes and, per distinct word, its hash and its count."""
-    row = payload.slice(0, 1).to_pylist()[0]
-    order = np.argsort(pieces.column("bucket").to_numpy(), kind="stable")
-    hashes, counts = pieces.column("h").to_pylist(), pieces.column("n").to_pylist()
-    words = np.concatenate([np.frombuffer(hashes[i], np.uint64) for i in order])
-    total = np.concatenate([np.frombuffer(counts[i], np.int64) for i in order])
-    return np.frombuffer(row["a"], np.int64), np.frombuffer(row["b"], np.uint8), np.frombuffer(row["c"], np.int32).astype(np.int64), _from_planes(row["d"]), words, total
+#: A resolved block: ids, training flags, lengths, base scores, known tokens and log10 shares of its documents, and its tokens as ids of the model.
+_RESOLVED = "block long, doc binary, train binary, lengths binary, base binary, known binary, part binary, tokens binary"
+
+
+def resolve_blocks(read: DataFrame, counted: DataFrame, vocabulary: Vocabulary) -> DataFrame:
+    def run(payload: pa.Table, pieces: pa.Table) -> pa.Table:
+        if not payload.num_rows:
+            return pa.table({"block": pa.array([], pa.int64()), **{k: pa.array([], pa.binary()) for k in ("doc", "train", "lengths", "base", "known", "part", "tokens")}})
+        row = payload.slice(0, 1).to_pylist()[0]
+        order = np.argsort(pieces.column("bucket").to_numpy(), kind="stable").tolist()
+        hashes, counts = pieces.column("h").to_pylist(), pieces.column("n").to_pylist()
+        words = np.concatenate([np.frombuffer(hashes[i], np.uint64) for i in order if hashes[i] is not None])
+        total = np.concatenate([np.frombuffer(counts[i], np.int64) for i in order if counts[i] is not None])
+        lengths, index = np.frombuffer(row["c"], np.int32).astype(np.int64), _from_planes(row["d"])
+        owner = np.repeat(np.arange(len(lengths)), lengths)
+        ids, part = vocabulary.ids_of(words, total)
+        per = lambda x: np.bincount(owner, weights=x[index], minlength=len(lengths))
+        cells = {"doc": row["a"], "train": row["b"], "lengths": lengths.tobytes(), "base": per(vocabulary.base(total)).tobytes(), "known": per(total > 0).astype(np.int64).tobytes(), "part": per(part).tobytes(), "tokens": _index_planes(ids[index])}
+        return pa.table({"block": pa.array([row["block"]], pa.int64()), **{k: pa.array([v], pa.binary()) for k, v in cells.items()}})
+
+    payload = read.where("bucket = -1").select("block", "a", "b", "c", "d")
+    none = F.lit(None).cast("binary")
+    pieces = read.where("bucket >= 0").select("block", "bucket", F.col("a").alias("h"), none.alias("n"))
+    pieces = pieces.unionByName(counted.where("block >= 0").select("block", "bucket", none.alias("h"), F.col("a").alias("n")))
+    return payload.groupBy("block").cogroup(pieces.groupBy("block")).applyInArrow(run, _RESOLVED)
 
 
 def _average(rows: DataFrame, fan: int = 64) -> np.ndarray | None:
@@ -244,58 +262,49 @@ def score_documents(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, rounds: i
     read = materialize(read_blocks(docs, buckets, block_tokens), "lm-read")
     counted = materialize(count_pieces(read, buckets, head), "lm-counts")
     vocabulary = gather_vocabulary(counted, head)
-    payload = read.where("bucket = -1").select("block", "a", "b", "c", "d")
-    pieces = read.where("bucket >= 0").select("block", "bucket", F.col("a").alias("h")).join(counted.where("block >= 0").select("block", "bucket", F.col("a").alias("n")), ["block", "bucket"])
-    pieces = materialize(pieces, "lm-pieces")
+    resolved = materialize(resolve_blocks(read, counted, vocabulary), "lm-blocks")
     model = Gru(vocabulary.head, vocabulary.tails, PER_CLASS, HIDDEN, vocabulary.counts) if vocabulary.n else None
-    fan = max(64, math.isqrt(payload.count()))
+    shape, n_train = (vocabulary.head, vocabulary.tails, PER_CLASS, HIDDEN, vocabulary.counts), vocabulary.n
+    fan = max(64, math.isqrt(resolved.count()))
     for r in range(rounds if model else 0):
         flat = model.pack()
-        turn = F.pmod(F.xxhash64("block", F.lit(3)), F.lit(rounds)) == r
 
-        def learn(a: pa.Table, b: pa.Table) -> pa.Table:
-            if not a.num_rows:
-                return pa.table({"key": pa.array([], pa.int64()), "w": pa.array([], pa.float64()), "p": pa.array([], pa.binary())})
-            _, train, lengths, index, words, total = _block(a, b)
-            ids, _ = vocabulary.ids_of(words, total)
-            keep = train.astype(bool)
-            tokens = ids[index[np.repeat(keep, lengths)]]
-            offsets = np.concatenate([[0], np.cumsum(lengths[keep])])
-            own = Gru(vocabulary.head, vocabulary.tails, PER_CLASS, HIDDEN, vocabulary.counts).unpack(flat)
-            own.train(tokens, offsets, rate=0.03 / (1 + r))
-            return pa.table({"key": pa.array([a.column("block")[0].as_py()], pa.int64()), "w": pa.array([float(len(tokens))]), "p": pa.array([own.pack().astype(np.float64).tobytes()], pa.binary())})
-
-        trained = payload.where(turn).groupBy("block").cogroup(pieces.where(turn).groupBy("block")).applyInArrow(learn, "key long, w double, p binary")
-        found = _average(trained, fan)
+        def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for row in _rows(batches):
+                keep, lengths = np.frombuffer(row["train"], np.uint8).astype(bool), np.frombuffer(row["lengths"], np.int64)
+                tokens = _from_planes(row["tokens"])[np.repeat(keep, lengths)].astype(np.int32)
+                own = Gru(*shape).unpack(flat)
+                own.train(tokens, np.concatenate([[0], np.cumsum(lengths[keep])]), rate=0.03 / (1 + r))
+                yield pa.RecordBatch.from_arrays([pa.array([row["block"]], pa.int64()), pa.array([float(len(tokens))]), pa.array([own.pack().astype(np.float64).tobytes()], pa.binary())], names=["key", "w", "p"])
+
+        turn = F.pmod(F.xxhash64("block", F.lit(3)), F.lit(rounds)) == r
+        found = _average(resolved.where(turn).mapInArrow(learn, "key long, w double, p binary"), fan)
         if found is not None:
             model.unpack(found.astype(np.float32))
     flat = model.pack() if model else None
 
-    def score(a: pa.Table, b: pa.Table) -> pa.Table:
-        if not a.num_rows:
-            return _no_rows()
-        doc, train, lengths, index, words, total = _block(a, b)
-        offsets = np.concatenate([[0], np.cumsum(lengths)])
-        owner = np.repeat(np.arange(len(doc)), lengths)
-        base = np.bincount(owner, weights=vocabulary.base(total)[index], minlength=len(doc))
-        known = np.bincount(owner, weights=(total > 0)[index], minlength=len(doc)).astype(np.int64)
-        scores = base
-        if flat is not None:
-            ids, part = vocabulary.ids_of(words, total)
-            net = Gru(vocabulary.head, vocabulary.tails, PER_CLASS, HIDDEN, vocabulary.counts).unpack(flat)
-            scores = net.score(ids[index], offsets) + np.bincount(owner, weights=part[index], minlength=len(doc))
-        none = doc == NO_ID
-        return pa.table({"doc_id": pa.array(doc, mask=none), "held_out": pa.array(train == 0), "n_tokens": pa.array(lengths), "n_known": pa.array(known), "train_tokens": pa.array(np.full(len(doc), vocabulary.n)), "base_score": pa.array(base), "score": pa.array(scores)})
-
-    return payload.groupBy("block").cogroup(pieces.groupBy("block")).applyInArrow(score, _OUT)
+    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for row in _rows(batches):
+            doc, train, lengths = np.frombuffer(row["doc"], np.int64), np.frombuffer(row["train"], np.uint8), np.frombuffer(row["lengths"], np.int64)
+            base, known = np.frombuffer(row["base"], np.float64), np.frombuffer(row["known"], np.int64)
+            scores = base
+            if flat is not None:
+                net = Gru(*shape).unpack(flat)
+                scores = net.score(_from_planes(row["tokens"]).astype(np.int32), np.concatenate([[0], np.cumsum(lengths)])) + np.frombuffer(row["part"], np.float64)
+            cols = [pa.array(doc, mask=doc == NO_ID), pa.array(train == 0), pa.array(lengths), pa.array(known), pa.array(np.full(len(doc), n_train)), pa.array(base), pa.array(scores)]
+            yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
+    return resolved.mapInArrow(score, _OUT)
 
-_OUT = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
+def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
+    """Rows one at a time: a block's tokens are large."""
+    for batch in batches:
+        for i in range(batch.num_rows):
+            yield batch.slice(i, 1).to_pylist()[0]
 
-def _no_rows() -> pa.Table:
-    kinds = {"doc_id": pa.int64(), "held_out": pa.bool_(), "n_tokens": pa.int64(), "n_known": pa.int64(), "train_tokens": pa.int64(), "base_score": pa.float64(), "score": pa.float64()}
-    return pa.table({k: pa.array([], v) for k, v in kinds.items()})
+
+_OUT = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
 def query(spark, sf_dir: str) -> DataFrame:
