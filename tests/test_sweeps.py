@@ -93,3 +93,11 @@ def test_experiments(spark, name, options):
         assert all(r["same_labels"] for r in rows)
     if name == "layouts":
         assert len({r["checksum"] for r in rows}) == 1
+
+
+def test_more_edges_than_a_task_holds_are_gathered_in_lots(spark):
+    pairs = [(100 * c + i, 100 * c + i + 1) for c in range(6) for i in range(4)] + [(900, i) for i in range(901, 930)]
+    g = graph(spark, pairs)
+    want = labels_of(ordering.frontier_order(g, plan="task").labels)
+    assert labels_of(ordering.gather_order(g, 8, above="lots")) == want  # components of 8 directed edges, and one of 58 that is swept
+    assert labels_of(ordering.single_node_order(g, 3, 60, above="lots")) == want
