@@ -95,10 +95,11 @@ def join_theta(t: Read) -> DataFrame:
 
 @op(_BOX)
 def join_offsets(t: Read) -> DataFrame:
+    """Each row at the 27 places its neighbours may have, an equi-join. A hint keeps it off the driver: the file of a table that fits a broadcast can hold millions of rows."""
     moves = F.array(*[F.struct(*[F.lit(d).alias(n) for n, d in zip("ijk", (x, y, z))]) for x in (-1, 0, 1) for y in (-1, 0, 1) for z in (-1, 0, 1)])
     m = _mesh(t)
     a = m.withColumn("o", F.explode(moves)).select(F.col("k").alias("a"), (F.col("x") + F.col("o.i")).alias("x"), (F.col("y") + F.col("o.j")).alias("y"), (F.col("z") + F.col("o.k")).alias("z"))
-    return a.join(m.withColumnRenamed("k", "b"), ["x", "y", "z"]).where("a < b").select("a", "b")
+    return a.join(m.withColumnRenamed("k", "b").hint("merge"), ["x", "y", "z"]).where("a < b").select("a", "b")
 
 
 @op("SELECT x.event_id AS a, y.event_id AS b FROM events x JOIN events y ON x.user_id = y.user_id AND x.event_id < y.event_id AND y.ts BETWEEN x.ts AND x.ts + INTERVAL 10 MINUTE")
