@@ -88,9 +88,16 @@ def _mesh(t: Read) -> DataFrame:
 
 @op(_BOX)
 def join_theta(t: Read) -> DataFrame:
-    a, b = _mesh(t).alias("a"), _mesh(t).alias("b")
+    """Cells of two by two by two: a row's box of three touches two cells a side, so it meets what lies in eight, and the condition decides."""
+    cell = lambda c: F.floor(F.col(c) / 2)
+    touched = [F.explode(F.array(F.floor((F.col(c) - 1) / 2), F.floor((F.col(c) + 1) / 2))).alias(f"c{c}") for c in "xyz"]
+    a = _mesh(t)
+    for column in touched:  # one generator a step
+        a = a.select("*", column)
+    a, b = a.alias("a"), _mesh(t).select("*", *[cell(c).alias(f"c{c}") for c in "xyz"]).alias("b")
     near = (F.abs(F.col("a.x") - F.col("b.x")) <= 1) & (F.abs(F.col("a.y") - F.col("b.y")) <= 1) & (F.abs(F.col("a.z") - F.col("b.z")) <= 1)
-    return a.join(b, near & (F.col("a.k") < F.col("b.k"))).select(F.col("a.k").alias("a"), F.col("b.k").alias("b"))
+    same = [F.col(f"a.c{c}") == F.col(f"b.c{c}") for c in "xyz"]
+    return a.join(b.hint("merge"), same[0] & same[1] & same[2] & near & (F.col("a.k") < F.col("b.k"))).select(F.col("a.k").alias("a"), F.col("b.k").alias("b"))
 
 
 @op(_BOX)

@@ -21,3 +21,9 @@ def test_offsets_are_joined_without_a_broadcast(spark):
     got = catalogue.queries()["op_join_offsets"](spark, SF)
     assert "Broadcast" not in plan_of(got)
     assert sorted(str(tuple(r)) for r in got.collect()) == by_sql("op_join_offsets")
+
+
+def test_theta_join_meets_cells_not_all_rows(spark):
+    got = catalogue.queries()["op_join_theta"](spark, SF)
+    assert "NestedLoop" not in plan_of(got) and "Cartesian" not in plan_of(got) and "Broadcast" not in plan_of(got)
+    assert sorted(str(tuple(r)) for r in got.collect()) == by_sql("op_join_theta")
