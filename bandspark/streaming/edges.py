@@ -12,6 +12,10 @@ from pyspark.sql import functions as F
 from bandspark.session import shared_dir
 
 
+#: Later than any event.
+END = "9000-01-01 00:00:00"
+
+
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = f"{sf_dir}/events.parquet"
     schema = spark.read.parquet(path).schema
@@ -53,9 +57,12 @@ def sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sessions of a user: gaps of 30 minutes end them."""
-    counts = event_stream(spark, sf_dir).groupBy("user_id", F.session_window("ts", "30 minutes").alias("w")).agg(F.count("*").alias("n"))
-    return run_to_end(counts.select("user_id", F.col("w.start").alias("start"), "n"), "complete")
+    """Sessions of a user: gaps of 30 minutes end them. They are as many as the events may be, so they are appended to files, not kept in the driver's memory:
+    every event brings a mark of the end of time, which moves the watermark past all sessions once the one batch of what there is has been read, and goes before they are counted."""
+    ends = F.lit(END).cast("timestamp")
+    marked = event_stream(spark, sf_dir).select("user_id", "ts").withColumn("ts", F.explode(F.array("ts", ends))).withWatermark("ts", "0 seconds").where(F.col("ts") < ends)
+    counts = marked.groupBy("user_id", F.session_window("ts", "30 minutes").alias("w")).agg(F.count("*").alias("n"))
+    return run_to_end(counts.select("user_id", F.col("w.start").alias("start"), "n"))
 
 
 def watermark_late(spark: SparkSession, sf_dir: str) -> DataFrame:
