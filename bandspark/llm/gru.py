@@ -12,6 +12,7 @@ import heapq
 import numpy as np
 
 F = np.float32
+clip = getattr(np, "_core", None) and np._core.umath.clip or np.clip  # np.clip without its wrappers, which cost as much as a small array
 #: Steps that one pass should have, and lanes it has at least.
 STEPS, LEAST_LANES = 250, 16
 
@@ -38,7 +39,7 @@ class Gru:
             "bw": np.where(padded > 0, np.log(np.maximum(padded, 1e-9)), -30).reshape(-1, per_class).astype(F),
         }
         self.p["bw"] -= np.log(np.exp(self.p["bw"].astype(float)).sum(axis=1, keepdims=True)).astype(F)
-        self.start = n
+        self.start, self._one = n, np.ones(1, F)
 
     # -- flat parameters ------------------------------------------------------------------------------
     def pack(self) -> np.ndarray:
@@ -59,9 +60,8 @@ class Gru:
         """States after each of the (T, B) inputs, from h (B, H); where ``fresh`` the state is cleared first."""
         t_max, b = inputs.shape
         k, u = self.hidden, self.p["u"]
-        gates = self.p["g"][inputs]
         # 1 / (1 + exp(-x)) for the gates, 2 / (1 + exp(-2 x)) - 1 for the candidate's tanh(x)
-        gates *= np.repeat(np.array([-1, -2], F), [2 * k, k])
+        gates = (self.p["g"] * np.repeat(np.array([-1, -2], F), [2 * k, k]))[inputs]
         u = u * np.repeat(np.array([-1, 1], F), [2 * k, k])
         out = np.empty((t_max, b, k), F)
         kept = [np.empty((t_max, b, n), F) for n in (k, 2 * k, k, k)] if keep else None  # state before, gates, candidate, its recurrent part
@@ -101,27 +101,33 @@ class Gru:
         states, targets, cls = states[order], targets[order], cls[order]
         cut = np.searchsorted(cls, np.arange(self.head_classes + 1))
         rows = np.arange(len(targets))
-        logits, e, total = self._softmax(states, self.p["wc"], self.p["bc"])
-        out = logits[rows, cls] - np.log(total)
+        at = rows * self.classes + cls
+        out, e, total = self._softmax(states, self.p["wc"], self.p["bc"], at)
+        totals = np.ones_like(total)  # of the words in their classes; their logarithms are taken once
+        out -= np.log(total)
         back = None
         if grads is not None:
             e /= total[:, None]
-            e[rows, cls] -= 1
-            grads["wc"], grads["bc"] = states.T @ e, np.ones(len(e), e.dtype) @ e
+            e.reshape(-1)[at] -= 1
+            grads["wc"], grads["bc"] = states.T @ e, self._ones(len(e)) @ e
             back = e @ self.p["wc"].T
             grads["ww"], grads["bw"] = np.zeros_like(self.p["ww"]), np.zeros_like(self.p["bw"])
-        word = targets[: cut[-1]] % self.per
+        known = cut[-1]
+        at = (rows[:known] - cut[cls[:known]]) * self.per + targets[:known] % self.per  # places in the logits of each class
+        ww, bw = self.p["ww"], self.p["bw"]
         for c in np.flatnonzero(cut[1:] > cut[:-1]).tolist():
             a, b = int(cut[c]), int(cut[c + 1])
-            w, own = word[a:b], rows[: b - a]
-            logits, e, total = self._softmax(states[a:b], self.p["ww"][c], self.p["bw"][c])
-            out[a:b] += logits[own, w] - np.log(total)
+            h, own = states[a:b], at[a:b]
+            word, e, total = self._softmax(h, ww[c], bw[c], own)
+            out[a:b] += word
+            totals[a:b] = total
             if grads is not None:
                 e /= total[:, None]
-                e[own, w] -= 1
-                np.matmul(states[a:b].T, e, out=grads["ww"][c])
-                np.matmul(np.ones(b - a, e.dtype), e, out=grads["bw"][c])
-                back[a:b] += e @ self.p["ww"][c].T
+                e.reshape(-1)[own] -= 1
+                np.matmul(h.T, e, out=grads["ww"][c])
+                np.matmul(self._ones(b - a), e, out=grads["bw"][c])
+                back[a:b] += e @ ww[c].T
+        out -= np.log(totals)
         found = np.empty_like(out)
         found[order] = out
         if back is not None:
@@ -130,14 +136,19 @@ class Gru:
             back = plain
         return found, back
 
-    @staticmethod
-    def _softmax(states: np.ndarray, w: np.ndarray, bias: np.ndarray):
-        """Logits (kept where their exponentials are finite), exponentials and their row sums."""
-        logits = states @ w
-        logits += bias
-        np.clip(logits, -60, 60, out=logits)
-        e = np.exp(logits)
-        return logits, e, e @ np.ones(e.shape[1], e.dtype)
+    def _ones(self, n: int) -> np.ndarray:
+        if len(self._one) < n:
+            self._one = np.ones(n, F)
+        return self._one[:n]
+
+    def _softmax(self, states: np.ndarray, w: np.ndarray, bias: np.ndarray, at: np.ndarray):
+        """Of the logits (kept where their exponentials are finite): those at flat places ``at``, exponentials and their row sums."""
+        e = states @ w
+        e += bias
+        clip(e, F(-60), F(60), out=e)
+        picked = e.reshape(-1)[at]
+        np.exp(e, out=e)
+        return picked, e, e @ self._ones(e.shape[1])
 
     def gradients(self, inputs: np.ndarray, targets: np.ndarray, mask: np.ndarray, fresh: np.ndarray, h: np.ndarray):
         """Mean loss, gradients by truncated backpropagation through the window, and the state after it."""

@@ -136,3 +136,17 @@ print((resource.getrusage(resource.RUSAGE_SELF).ru_maxrss - before) // 1024)
 """
     done = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, check=True, cwd=pathlib.Path(__file__).resolve().parents[2])
     assert int(done.stdout) < 200
+
+
+def test_logarithms_are_taken_once_for_all_classes(monkeypatch):
+    g = Gru(40, 3, 4, 5, np.arange(1, 44).astype(float), 3)
+    rng = np.random.default_rng(2)
+    states, targets = rng.normal(size=(200, 5)).astype(np.float32), rng.integers(0, 43, 200)
+    real, calls = np.log, []
+    monkeypatch.setattr(np, "log", lambda *a, **k: calls.append(1) or real(*a, **k))
+    got, _ = g.log_probs(states, targets)
+    assert len(calls) == 2
+    p = {k: v.astype(np.float64) for k, v in g.p.items()}
+    soft = lambda x: x - real(np.exp(x).sum())
+    want = [soft(h @ p["wc"] + p["bc"])[t // 4] + soft(h @ p["ww"][t // 4] + p["bw"][t // 4])[t % 4] if t < 40 else soft(h @ p["wc"] + p["bc"])[10 + t - 40] for h, t in zip(states.astype(np.float64), targets.tolist(), strict=True)]
+    assert np.allclose(got, want, atol=1e-4)
