@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 
 from bandspark.operators.components import connected_components
 from bandspark.llm.textkit import blocks, key_filter, mix, shingle_hashes, small_batches, string_buffer, word_hashes, word_spans, with_maybe
-from bandspark.session import materialize
+from bandspark.session import arrow_rows, materialize
 
 K, PERCENT = 4, 85
 #: A shingle in more documents than this is common; the bound of their list; rounds of pivots, pivots a round.
@@ -43,6 +43,8 @@ ROUNDS, PIVOTS = 3, 3
 ID_BITS = 1 << 26
 #: Shingles a task counts at once.
 FLUSH = 1_000_000
+#: Texts sent to a task's Python at once.
+TEXTS = 500
 #: Tasks that a bucket's rows are dealt to, and rows of it that one task meets with all others in the last round.
 SALTS, SPLIT = 16, 1000
 
@@ -282,8 +284,9 @@ def similarity_classes(docs: DataFrame, k: int = K, percent: int = PERCENT, comm
     """One row per document: doc_id, n_shingles, component_id (smallest id reachable by links)."""
     spark = docs.sparkSession
     buckets = 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
-    keys, ranks = common_shingles(docs, k, buckets, common, most_common)
-    prints = materialize(set_prints(docs, k, percent, buckets, keys, ranks), "join-prints")
+    with arrow_rows(spark, TEXTS):
+        keys, ranks = common_shingles(docs, k, buckets, common, most_common)
+        prints = materialize(set_prints(docs, k, percent, buckets, keys, ranks), "join-prints")
     sig = ["sig_a", "sig_b", "n"]
     some = prints.where("n > 0 and doc_id is not null")
     leads = some.groupBy(*sig).agg(F.min("doc_id").alias("v"), F.first("pkey").alias("pkey"), F.first("cold").alias("cold"), F.first("hot").alias("hot"))
@@ -309,7 +312,8 @@ def similarity_classes(docs: DataFrame, k: int = K, percent: int = PERCENT, comm
     inside = small.withColumnRenamed("v", "a").join(small.withColumnRenamed("v", "b"), "g").where("a < b").select("a", "b")
     pairs = materialize(pairs.unionByName(inside).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "join-pairs")
     active = pairs.select(F.col("a").alias("v")).unionByName(pairs.select(F.col("b").alias("v"))).unionByName(hot.select("v"))
-    sets = materialize(whole_sets(docs, active, k), "join-sets")
+    with arrow_rows(spark, TEXTS):
+        sets = materialize(whole_sets(docs, active, k), "join-sets")
     seen, classes = pairs, None
     links = materialize(verify(pairs, sets, percent).unionByName(_links_by_id(some, leads, sig)), "join-links")
     if not links.isEmpty():

@@ -180,3 +180,14 @@ def test_mix_meets_its_targets_with_equal_and_null_ids(spark, edge_rows):
     again = mixing.mix_sources(docs, edge_rows=3).select("doc.source", "size", "source_size", "target", "taken").collect()
     assert sorted(map(str, rows)) == sorted(map(str, again))
     assert mixing.mixed_documents(docs, edge_rows=edge_rows).columns == docs.columns
+
+
+def test_the_join_reads_texts_in_small_batches(spark, monkeypatch):
+    sizes = []
+    before = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    real = ngramjoin.materialize
+    monkeypatch.setattr(ngramjoin, "materialize", lambda df, name, *a: sizes.append((name, int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")))) or real(df, name, *a))
+    docs = spark.createDataFrame([(i, f"a b c d e f g h i {i % 3}") for i in range(9)], "doc_id long, text string")
+    assert {r.component_id for r in ngramjoin.similarity_classes(docs).collect()} == {0, 1, 2}
+    assert all(n <= 1000 for name, n in sizes if name in ("join-prints", "join-sets"))
+    assert spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == before
