@@ -23,12 +23,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from bandspark.llm.textkit import blocks, small_batches, string_buffer
+from bandspark.llm.textkit import blocks, give_back, small_batches, string_buffer
 
 #: Bytes of a chunk from which it counts as long, characters of a leaf, chunks kept in a task's memo, bytes read at once of a document.
 LONG = 1024
 LEAF = 512
-MEMO = 300_000
+MEMO = 150_000
 PIECE = 1 << 20
 #: A word of Latin letters that are single code points in any normal form, and a short tail of marks: two pre-tokens, neither special.
 _WORD = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,;:!?|*#%&$]{0,8})")
@@ -38,12 +38,18 @@ _codecs: dict[str, "Codec"] = {}
 
 
 def codec(path: str) -> "Codec":
-    """The codec of a file, one in each worker process."""
+    """The codec of a file, one in each worker process, until it is dropped."""
     if path not in _codecs:
         _codecs[path] = Codec(path)
     return _codecs[path]
 
 
+def drop_codecs() -> None:
+    """A task's end: its worker may serve other operators next, which have no use for vocabularies and memos."""
+    _codecs.clear()
+    give_back()
+
+
 _GAP = re.compile(rb"[\x20\x09-\x0D]")
 
 
@@ -263,6 +269,8 @@ def round_trip(docs: DataFrame, path: str | None = None) -> DataFrame:
                     ids_sha.append(x[1])
                     text_sha.append(x[2])
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+        del coder
+        drop_codecs()
 
     rows = docs.select("doc_id", "text")
     return rows.mapInArrow(run, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, n_tokens long, ids_sha256 string, decoded_sha256 string")

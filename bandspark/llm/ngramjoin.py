@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bandspark.operators.components import connected_components
-from bandspark.llm.textkit import blocks, key_filter, mix, shingle_hashes, small_batches, string_buffer, word_hashes, word_spans, with_maybe
+from bandspark.llm.textkit import blocks, give_back, key_filter, mix, shingle_hashes, small_batches, string_buffer, word_hashes, word_spans, with_maybe
 from bandspark.session import arrow_rows, materialize
 
 K, PERCENT = 4, 85
@@ -43,8 +43,8 @@ ROUNDS, PIVOTS = 3, 3
 ID_BITS = 1 << 26
 #: Shingles a task counts at once.
 FLUSH = 1_000_000
-#: Texts sent to a task's Python at once.
-TEXTS = 500
+#: Texts, or prefixes, sent to a task's Python at once; shingles of prefixes it packs at once.
+TEXTS, PACK = 500, 250_000
 #: Tasks that a bucket's rows are dealt to, and rows of it that one task meets with all others in the last round.
 SALTS, SPLIT = 16, 1000
 
@@ -163,6 +163,39 @@ def set_prints(docs: DataFrame, k: int, percent: int, buckets: int, keys: np.nda
     return rows.mapInArrow(run, "doc_id long, n long, sig_a long, sig_b long, pkey long, cold array<long>, hot array<long>")
 
 
+def _packed_cold(groups: DataFrame, buckets: int) -> DataFrame:
+    """The prefixes' shingles that are not common, with group, size and rest, packed by hash range in pieces of about PACK shingles."""
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[np.ndarray, ...]] = []
+        size = 0
+
+        def flush() -> pa.RecordBatch:
+            tokens, g, n, left = (np.concatenate(x) for x in zip(*held, strict=True))
+            order = np.argsort(tokens)
+            tokens, g, n, left = tokens[order], g[order], n[order], left[order]
+            rows = [(key, tokens[a:b].tobytes(), g[a:b].tobytes(), n[a:b].tobytes(), left[a:b].tobytes()) for key, a, b in _ranges(_bucket(tokens, buckets))]
+            return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), *[pa.array([r[i] for r in rows], pa.binary()) for i in (1, 2, 3, 4)]], names=["bucket", "tokens", "gs", "ns", "lefts"])
+
+        for batch in batches:
+            lists = batch.column("cold")
+            tokens = np.array(lists.flatten().to_numpy(zero_copy_only=False)).view(np.uint64)
+            counts = np.diff(lists.offsets.to_numpy())
+            g, n = np.repeat(batch.column("g").to_numpy(), counts), np.repeat(batch.column("n").to_numpy().astype(np.int32), counts)
+            left = n - (np.arange(len(tokens)) - np.repeat(np.cumsum(counts) - counts, counts)).astype(np.int32)  # shingles from this one on, in the global order
+            held.append((tokens, g, n, left))
+            size += len(tokens)
+            if size > PACK:
+                yield flush()
+                held.clear()
+                size = 0
+        if size:
+            yield flush()
+        give_back()
+
+    return groups.select("g", "n", "cold").where("size(cold) > 0").mapInArrow(pack, "bucket int, tokens binary, gs binary, ns binary, lefts binary")
+
+
 def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int, common: int) -> DataFrame:
     """(g, h) with g < h: groups that share a shingle which is not common, at places that allow a link; and, of shingles that more than
     ``common`` groups share, rows of token, g and rest (h is null).
@@ -170,18 +203,6 @@ def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int, common: int) -
     If a pair's first shared shingle is this one, it shares at most what either has from here on; a pair whose first shared
     shingle is another is found, or ruled out, there."""
 
-    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            lists = batch.column("cold")
-            tokens = lists.flatten().to_numpy(zero_copy_only=False).view(np.uint64)
-            counts = np.diff(lists.offsets.to_numpy())
-            g, n = np.repeat(batch.column("g").to_numpy(), counts), np.repeat(batch.column("n").to_numpy(), counts)
-            left = n - (np.arange(len(tokens)) - np.repeat(np.cumsum(counts) - counts, counts))  # shingles from this one on, in the global order
-            order = np.argsort(tokens)
-            tokens, g, n, left = tokens[order], g[order], n[order], left[order]
-            rows = [(key, tokens[a:b].tobytes(), g[a:b].tobytes(), n[a:b].astype(np.int32).tobytes(), left[a:b].astype(np.int32).tobytes()) for key, a, b in _ranges(_bucket(tokens, buckets))]
-            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), *[pa.array([r[i] for r in rows], pa.binary()) for i in (1, 2, 3, 4)]], names=["bucket", "tokens", "gs", "ns", "lefts"])
-
     def meet(table: pa.Table) -> pa.Table:
         kinds = (("tokens", np.uint64), ("gs", np.int64), ("ns", np.int32), ("lefts", np.int32))
         tokens, g, n, left = (np.concatenate([np.frombuffer(x, kind) for x in table.column(name).to_pylist()]) for name, kind in kinds)
@@ -209,8 +230,7 @@ def _pairs_of_cold(groups: DataFrame, buckets: int, percent: int, common: int) -
         cols = joined(pairs[:, 0], g[crowded]), joined(pairs[:, 1], g[crowded]), joined(pairs[:, 0], tokens[crowded].view(np.int64)), joined(pairs[:, 0], left[crowded])
         return pa.table({"g": pa.array(cols[0]), "h": pa.array(cols[1], mask=none), "token": pa.array(cols[2], mask=~none), "rest": pa.array(cols[3], mask=~none)})
 
-    packed = groups.select("g", "n", "cold").where("size(cold) > 0").mapInArrow(pack, "bucket int, tokens binary, gs binary, ns binary, lefts binary")
-    return packed.groupBy("bucket").applyInArrow(meet, "g long, h long, token long, rest long")
+    return _packed_cold(groups, buckets).groupBy("bucket").applyInArrow(meet, "g long, h long, token long, rest long")
 
 
 def id_filter(ids: DataFrame, column: str = "v") -> np.ndarray:
@@ -302,7 +322,8 @@ def similarity_classes(docs: DataFrame, k: int = K, percent: int = PERCENT, comm
     # large groups whose first shared shingle is not common: nothing else pairs their members
     large = members.where(f"m > {common} and unlisted").select("v", "n", F.col("n").alias("rest"), F.col("g").alias("token"), size_class.alias("s"))
     groups_of = members.select("g", "v")
-    met = materialize(_pairs_of_cold(groups, buckets, percent, common), "join-met")
+    with arrow_rows(spark, TEXTS):
+        met = materialize(_pairs_of_cold(groups, buckets, percent, common), "join-met")
     beyond = met.where("h is null").join(members.select("g", "v", "n", size_class.alias("s")), "g").select("v", "n", "rest", "token", F.explode(F.array(F.col("s"), F.col("s") + 1)).alias("s"))
     hot = materialize(hot.unionByName(large).unionByName(beyond).withColumn("salt", F.pmod(F.xxhash64("v"), F.lit(SALTS)).cast("int")), "join-hot")
     # candidates by other shingles, and inside small groups

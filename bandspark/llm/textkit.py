@@ -6,6 +6,7 @@ character lies outside that set, this equals ``[^\\x20\\x09-\\x0D]+`` over code
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -15,6 +16,8 @@ from pyspark.sql import functions as F
 
 #: Bytes handled by one kernel call; whole documents, so a longer document makes a longer call.
 BLOCK_BYTES = 1 << 20
+#: Bytes that are hashed at once (a longer word is one piece): tables of powers of that length stay in a worker.
+HASH_BYTES = 1 << 17
 
 WHITE = np.zeros(256, bool)
 WHITE[[0x20, *range(0x09, 0x0E)]] = True
@@ -104,6 +107,15 @@ def small_batches(batches: Iterator[pa.RecordBatch], column: str | int = "text",
         for a, b in blocks(offsets, size):
             yield batch.slice(a, b - a)
         pa.default_memory_pool().release_unused()
+    give_back()
+
+
+def give_back() -> None:
+    """Freed memory goes back to the system: a worker that waits for its next task would keep it."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc has it
+    if trim:
+        trim(0)
 
 
 def word_spans(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -132,9 +144,9 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, lower: b
     table = _TABLE_LOWER if lower else _TABLE
     at = 0
     while at < len(starts):  # pieces end between words, so memory stays bounded in a long document
-        to = max(at + 1, int(np.searchsorted(ends, starts[at] + 2 * BLOCK_BYTES, side="right")))
+        to = max(at + 1, int(np.searchsorted(ends, starts[at] + HASH_BYTES, side="right")))
         lo, hi = int(starts[at]), int(ends[to - 1])
-        up, down = _powers(hi - lo + 1)
+        up, down = _powers(hi - lo)
         sums = np.zeros(hi - lo + 1, np.uint64)
         np.cumsum(table[data[lo:hi]] * up[: hi - lo], out=sums[1:])
         s, e = starts[at:to] - lo, ends[at:to] - lo

@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from bandspark.llm import bpe, exactdup, mixing, ngramjoin, quality
-from bandspark.session import materialize
+from bandspark.session import arrow_rows, materialize
 
 SHINGLE_WORDS, SIMILAR_PERCENT = 5, 80
 
@@ -36,8 +36,9 @@ def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def encoding_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every row encoded, and its ids decoded."""
-    return bpe.round_trip(docs)
+    """Every row encoded, and its ids decoded. Texts are sent to Python few at a time; the digests are small."""
+    with arrow_rows(spark, ngramjoin.TEXTS):
+        return materialize(bpe.round_trip(docs), "pipeline-encoded")
 
 
 STAGES = [

@@ -68,3 +68,20 @@ def test_documents_round_trip(spark, library):
     back = {r.doc_id: r.text for r in bpe.decode_documents(bpe.encode_documents(docs.where("doc_id = 4"))).collect()}
     assert back == {4: library.decode(library.encode(ODD[4], add_special_tokens=False).ids, skip_special_tokens=False)}
     assert bpe.round_trip(docs.where("false")).count() == 0
+
+
+def test_a_task_leaves_no_codec_behind(spark):
+    """A worker that has encoded texts holds no vocabulary afterwards: it may serve other operators next."""
+    docs = spark.createDataFrame([(i, f"some words number {i}") for i in range(20)], "doc_id long, text string").coalesce(1)
+    assert bpe.round_trip(docs).count() == 20
+
+    def held(batches):
+        import pyarrow as pa
+
+        from bandspark.llm import bpe as here
+
+        for _ in batches:
+            pass
+        yield pa.RecordBatch.from_arrays([pa.array([len(here._codecs)])], names=["n"])
+
+    assert [r.n for r in spark.range(4, numPartitions=4).mapInArrow(held, "n long").collect()] == [0] * 4

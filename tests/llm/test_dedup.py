@@ -191,3 +191,35 @@ def test_the_join_reads_texts_in_small_batches(spark, monkeypatch):
     assert {r.component_id for r in ngramjoin.similarity_classes(docs).collect()} == {0, 1, 2}
     assert all(n <= 1000 for name, n in sizes if name in ("join-prints", "join-sets"))
     assert spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == before
+
+
+def test_prefixes_are_packed_in_pieces_of_bounded_size(spark, monkeypatch):
+    """However many prefixes a task gets, it sorts and sends a bounded number of shingles at once, and finds the same pairs."""
+    groups = spark.createDataFrame([(i, 40, [i // 2 * 100 + j for j in range(7)]) for i in range(400)], "g long, n long, cold array<long>").coalesce(1)
+    monkeypatch.setattr(ngramjoin, "PACK", 70)
+    at_once = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    spark.conf.set(at_once, "10")
+    try:
+        rows = ngramjoin._pairs_of_cold(groups, 4, 85, 8).collect()
+        packed = [len(r.tokens) // 8 for r in ngramjoin._packed_cold(groups, 4).collect()]
+    finally:
+        spark.conf.unset(at_once)
+    assert sorted((r.g, r.h) for r in rows if r.h is not None) == [(i, i + 1) for i in range(0, 400, 2)]
+    assert sum(packed) == 2800 and max(packed) <= 140
+    assert all(r.h is not None for r in rows)
+
+
+def test_hash_pieces_leave_small_tables(monkeypatch):
+    """Hashes do not depend on where a text is cut into pieces, and the tables that stay in a worker follow the piece, not the text."""
+    import numpy as np
+
+    from bandspark.llm import textkit
+
+    data = np.frombuffer((" ".join(f"Word{i * 7919 % 100_003}" for i in range(120_000))).encode(), np.uint8)
+    starts, ends, _ = textkit.word_spans(data, np.array([0, len(data)]))
+    for name in ("up", "down"):
+        monkeypatch.setitem(textkit._power, name, np.ones(1, np.uint64))
+    got = textkit.word_hashes(data, starts, ends)
+    assert len(data) > 1 << 20 and len(textkit._power["up"]) <= 1 << 17
+    monkeypatch.setattr(textkit, "HASH_BYTES", 1 << 22)
+    assert (got == textkit.word_hashes(data, starts, ends)).all()
