@@ -15,6 +15,8 @@ F = np.float32
 clip = getattr(np, "_core", None) and np._core.umath.clip or np.clip  # np.clip without its wrappers, which cost as much as a small array
 #: Steps that one pass should have, and lanes it has at least.
 STEPS, LEAST_LANES = 250, 16
+#: Rows of logits made at once; bound of a logit.
+ROWS, LOGITS = 2048, 60
 
 
 class Gru:
@@ -59,37 +61,37 @@ class Gru:
     def states(self, inputs: np.ndarray, fresh: np.ndarray, h: np.ndarray, keep: bool = False):
         """States after each of the (T, B) inputs, from h (B, H); where ``fresh`` the state is cleared first."""
         t_max, b = inputs.shape
-        k, u = self.hidden, self.p["u"]
-        # 1 / (1 + exp(-x)) for the gates, 2 / (1 + exp(-2 x)) - 1 for the candidate's tanh(x)
-        gates = (self.p["g"] * np.repeat(np.array([-1, -2], F), [2 * k, k]))[inputs]
-        u = u * np.repeat(np.array([-1, 1], F), [2 * k, k])
+        k = self.hidden
+        # 1 / (1 + exp(-x)) for the gates, 2 / (1 + exp(-2 x)) - 1 for the candidate's tanh(x); gates and candidate apart, so that each is contiguous
+        apart = lambda x, scale: np.ascontiguousarray((x * np.repeat(np.array(scale, F), [2 * k, k])).reshape(-1, 3, k).swapaxes(0, 1))
+        gates, u = np.take(apart(self.p["g"], [-1, -2]), inputs, axis=1), apart(self.p["u"], [-1, 1])
         out = np.empty((t_max, b, k), F)
-        kept = [np.empty((t_max, b, n), F) for n in (k, 2 * k, k, k)] if keep else None  # state before, gates, candidate, its recurrent part
+        kept = [np.empty((t_max, *n, b, k), F) for n in ((), (2,), (), ())] if keep else None  # state before, gates, candidate, its recurrent part
         cleared = fresh.any(axis=1)
-        own = np.empty((b, 2 * k), F), np.empty((b, k), F)
+        own = np.empty((2, b, k), F), np.empty((b, k), F)
         for t in range(t_max):
             if cleared[t]:
                 h = np.where(fresh[t][:, None], F(0), h)
-            hu = h @ u
+            hu = np.matmul(h, u)
             zr, n = (kept[1][t], kept[2][t]) if keep else own
-            np.add(gates[t, :, : 2 * k], hu[:, : 2 * k], out=zr)
+            np.add(gates[:2, t], hu[:2], out=zr)
             np.minimum(zr, F(80), out=zr)
             np.exp(zr, out=zr)
             zr += F(1)
             np.reciprocal(zr, out=zr)
-            np.multiply(zr[:, k:], hu[:, 2 * k :], out=n)
+            np.multiply(zr[1], hu[2], out=n)
             n *= F(-2)
-            n += gates[t, :, 2 * k :]
+            n += gates[2, t]
             np.minimum(n, F(80), out=n)
             np.exp(n, out=n)
             n += F(1)
             np.divide(F(2), n, out=n)
             n -= F(1)
             if keep:
-                kept[0][t], kept[3][t] = h, hu[:, 2 * k :]
+                kept[0][t], kept[3][t] = h, hu[2]
             new = out[t]
             np.subtract(h, n, out=new)
-            new *= zr[:, :k]
+            new *= zr[0]
             new += n
             h = new
         return out, h, kept
@@ -97,36 +99,45 @@ class Gru:
     def log_probs(self, states: np.ndarray, targets: np.ndarray, grads: dict | None = None):
         """Natural log P of each target (N) from its state (N, H); with ``grads``, also the gradient to the states."""
         cls = self.class_of(targets)
-        order = np.argsort(cls, kind="stable")  # all further work is in the order of classes, so that a class is a slice
+        order = _order(cls, self.classes)  # all further work is in the order of classes, so that a class is a slice
         states, targets, cls = states[order], targets[order], cls[order]
         cut = np.searchsorted(cls, np.arange(self.head_classes + 1))
-        rows = np.arange(len(targets))
-        at = rows * self.classes + cls
-        out, e, total = self._softmax(states, self.p["wc"], self.p["bc"], at)
+        n, rows, reach = len(targets), np.arange(len(targets)), max(float(states.max(initial=0)), -float(states.min(initial=0)))
+        out, total = np.empty(n, states.dtype), np.empty(n, states.dtype)
         totals = np.ones_like(total)  # of the words in their classes; their logarithms are taken once
-        out -= np.log(total)
+        wc, bc, ww, bw = (self.p[k] for k in ("wc", "bc", "ww", "bw"))
         back = None
         if grads is not None:
-            e /= total[:, None]
-            e.reshape(-1)[at] -= 1
-            grads["wc"], grads["bc"] = states.T @ e, self._ones(len(e)) @ e
-            back = e @ self.p["wc"].T
-            grads["ww"], grads["bw"] = np.zeros_like(self.p["ww"]), np.zeros_like(self.p["bw"])
-        known = cut[-1]
-        at = (rows[:known] - cut[cls[:known]]) * self.per + targets[:known] % self.per  # places in the logits of each class
-        ww, bw = self.p["ww"], self.p["bw"]
-        for c in np.flatnonzero(cut[1:] > cut[:-1]).tolist():
-            a, b = int(cut[c]), int(cut[c + 1])
-            h, own = states[a:b], at[a:b]
-            word, e, total = self._softmax(h, ww[c], bw[c], own)
-            out[a:b] += word
-            totals[a:b] = total
+            back = np.empty_like(states)
+            grads["wc"], grads["bc"] = np.zeros_like(wc), np.zeros_like(bc)
+            grads["ww"], grads["bw"] = np.zeros_like(ww), np.zeros_like(bw)
+        finite = _finite(reach, wc, bc)
+        for a in range(0, n, ROWS):  # a piece of logits stays in the cache
+            h, own = states[a : a + ROWS], rows[: min(ROWS, n - a)] * self.classes + cls[a : a + ROWS]
+            out[a : a + ROWS], e, total[a : a + ROWS] = self._softmax(h @ wc, bc, own, finite)
             if grads is not None:
-                e /= total[:, None]
+                e /= total[a : a + ROWS, None]
                 e.reshape(-1)[own] -= 1
-                np.matmul(h.T, e, out=grads["ww"][c])
-                np.matmul(self._ones(b - a), e, out=grads["bw"][c])
-                back[a:b] += e @ ww[c].T
+                grads["wc"] += h.T @ e
+                grads["bc"] += self._ones(len(e)) @ e
+                np.matmul(e, wc.T, out=back[a : a + ROWS])
+        out -= np.log(total)
+        known = int(cut[-1])
+        used = np.flatnonzero(cut[1:] > cut[:-1])
+        slices = [(c, int(cut[c]), int(cut[c + 1])) for c in used.tolist()]
+        e = np.empty((known, self.per), states.dtype)
+        for c, a, b in slices:  # only the products go class by class
+            np.matmul(states[a:b], ww[c], out=e[a:b])
+        own = rows[:known] * self.per + targets[:known] % self.per
+        word, e, totals[:known] = self._softmax(e, bw[cls[:known]], own, _finite(reach, ww, bw))
+        out[:known] += word
+        if grads is not None and known:
+            e /= totals[:known, None]
+            e.reshape(-1)[own] -= 1
+            grads["bw"][used] = np.add.reduceat(e, cut[used], axis=0)
+            for c, a, b in slices:
+                np.matmul(states[a:b].T, e[a:b], out=grads["ww"][c])
+                back[a:b] += e[a:b] @ ww[c].T
         out -= np.log(totals)
         found = np.empty_like(out)
         found[order] = out
@@ -141,11 +152,11 @@ class Gru:
             self._one = np.ones(n, F)
         return self._one[:n]
 
-    def _softmax(self, states: np.ndarray, w: np.ndarray, bias: np.ndarray, at: np.ndarray):
-        """Of the logits (kept where their exponentials are finite): those at flat places ``at``, exponentials and their row sums."""
-        e = states @ w
+    def _softmax(self, e: np.ndarray, bias: np.ndarray, at: np.ndarray, finite: bool):
+        """Of the logits ``e + bias`` (kept where their exponentials are finite, unless they are known to be): those at flat places ``at``, exponentials and their row sums."""
         e += bias
-        clip(e, F(-60), F(60), out=e)
+        if not finite:
+            clip(e, F(-LOGITS), F(LOGITS), out=e)
         picked = e.reshape(-1)[at]
         np.exp(e, out=e)
         return picked, e, e @ self._ones(e.shape[1])
@@ -162,7 +173,7 @@ class Gru:
         dh_out[live] = back
         dh_out = dh_out.reshape(t_max, b, k)
         before, zr, n, hn = kept
-        z, r = zr[:, :, :k], zr[:, :, k:]
+        z, r = zr[:, 0], zr[:, 1]
         # all factors that do not depend on the gradient, for the whole window at once
         to_n, to_z, to_r = (1 - z) * (1 - n * n), (before - n) * z * (1 - z), hn * r * (1 - r)
         da = np.empty((t_max, b, 3 * k), states.dtype)
@@ -182,25 +193,29 @@ class Gru:
                 dh[fresh[t]] = 0
         grads["u"] = before.reshape(-1, k).T @ dhu.reshape(-1, 3 * k)
         flat, da = inputs.ravel(), da.reshape(-1, 3 * k)
-        order = np.argsort(flat, kind="stable")
-        ids, first = np.unique(flat[order], return_index=True)
+        order = _order(flat, self.start + 1)
+        ids = flat[order]
+        first = np.flatnonzero(np.concatenate([[True], ids[1:] != ids[:-1]]))
+        ids = ids[first]
         grads["g"] = np.zeros_like(self.p["g"])
         grads["g"][ids] = np.add.reduceat(da[order], first, axis=0)
         count = max(1, len(live))
-        return -float(logp.sum()) / count, {key: g / count for key, g in grads.items()}, last
+        for g in grads.values():
+            g *= 1 / count
+        return -float(logp.sum()) / count, grads, last
 
     # -- whole documents ------------------------------------------------------------------------------
     def score(self, ids: np.ndarray, offsets: np.ndarray, lanes: int = 256, window: int = 64) -> np.ndarray:
         """log10 P of every document, its state carried over all windows."""
         out = np.zeros(len(offsets) - 1)
-        dealt = Lanes(offsets, lanes)
+        dealt, owner = Lanes(offsets, lanes), np.repeat(np.arange(len(out), dtype=np.int32), np.diff(offsets))
         h = np.zeros((dealt.n, self.hidden), F)
         for at, mask, fresh in dealt.windows(window):
             states, h, _ = self.states(self._inputs(ids, at, dealt.begins[at]), fresh, h[: at.shape[1]])
             live = np.flatnonzero(mask.ravel())
             at = at.ravel()[live]
             logp, _ = self.log_probs(states.reshape(-1, self.hidden)[live], ids[at])
-            out += np.bincount(np.searchsorted(offsets, at, side="right") - 1, weights=logp, minlength=len(out))
+            out += np.bincount(owner[at], weights=logp, minlength=len(out))
         return out / np.log(10)
 
     def _inputs(self, ids: np.ndarray, at: np.ndarray, begins: np.ndarray) -> np.ndarray:
@@ -222,21 +237,40 @@ class Gru:
             clip = min(1.0, 5.0 / (size + 1e-9))
             now = rate * (1 - 0.9 * i / steps) * np.sqrt(1 - 0.999 ** (i + 1)) / (1 - 0.9 ** (i + 1))
             for k, g in grads.items():
-                g *= F(clip)
-                m[k] *= F(0.9)
-                m[k] += F(0.1) * g
-                g *= g
-                v2[k] *= F(0.999)
-                g *= F(0.001)
-                v2[k] += g
-                np.sqrt(v2[k], out=g)
-                g += F(1e-8)
-                np.divide(m[k], g, out=g)
-                g *= F(now)
-                self.p[k] -= g
+                for p, g, m1, m2 in _pieces(self.p[k], g, m[k], v2[k]):
+                    g *= F(clip)
+                    m1 *= F(0.9)
+                    m1 += F(0.1) * g
+                    g *= g
+                    m2 *= F(0.999)
+                    g *= F(0.001)
+                    m2 += g
+                    np.sqrt(m2, out=g)
+                    g += F(1e-8)
+                    np.divide(m1, g, out=g)
+                    g *= F(now)
+                    p -= g
         return self
 
 
+def _order(keys: np.ndarray, count: int) -> np.ndarray:
+    """The stable order of whole numbers from 0 to below ``count``; 16 bits are sorted by radix."""
+    return np.argsort(keys.astype(np.uint16) if count <= 1 << 16 else keys, kind="stable")
+
+
+def _finite(reach: float, w: np.ndarray, bias: np.ndarray) -> bool:
+    """Whether no logit of states within ``reach`` can leave the bound, whatever the signs."""
+    largest = lambda x: max(float(x.max(initial=0)), -float(x.min(initial=0)))
+    return reach * w.shape[-2] * largest(w) + largest(bias) < LOGITS
+
+
+def _pieces(*arrays: np.ndarray, size: int = 1 << 14):
+    """The same flat pieces of arrays of one shape, as views that stay in the cache."""
+    flat = [x.reshape(-1) for x in arrays]
+    for a in range(0, len(flat[0]), size):
+        yield [x[a : a + size] for x in flat]
+
+
 class Lanes:
     """Documents (or segments of them) dealt to at most ``lanes`` lanes of about equal length, read window by window.
 
@@ -264,9 +298,12 @@ class Lanes:
         self.n, self.sizes = len(order), np.array([sizes[i] for i in order])
         self.longest = int(self.sizes[0])
         pieces = np.array([d for i in order for d in dealt[i]], np.int64)
-        #: one lane after another: where each piece begins there, and what to add for its place in the tokens
-        self.cut = np.concatenate([[0], np.cumsum(lengths[pieces])]) if len(pieces) else np.zeros(1, np.int64)
-        self.shift = starts[pieces] - self.cut[:-1] if len(pieces) else np.zeros(0, np.int64)
+        #: one lane after another: the place of each token, and whether a piece begins there
+        cut = np.concatenate([[0], np.cumsum(lengths[pieces])]) if len(pieces) else np.zeros(1, np.int64)
+        self.places = np.arange(cut[-1], dtype=np.int32 if offsets[-1] < 1 << 31 else np.int64)
+        self.places += np.repeat(starts[pieces] - cut[:-1], lengths[pieces]).astype(self.places.dtype)
+        self.heads = np.zeros(len(self.places), bool)
+        self.heads[cut[:-1][lengths[pieces] > 0]] = True
         self.base = np.concatenate([[0], np.cumsum(self.sizes)])[:-1]
 
     def windows(self, window: int):
@@ -276,5 +313,4 @@ class Lanes:
             at = self.base[:b] + np.arange(t, min(t + window, self.longest))[:, None]
             mask = np.arange(t, min(t + window, self.longest))[:, None] < self.sizes[:b]
             at = np.where(mask, at, self.base[:b] + t)  # padding repeats the first place
-            piece = np.searchsorted(self.cut, at.ravel(), side="right").reshape(at.shape) - 1
-            yield at + self.shift[piece], mask, mask & (at == self.cut[piece])
+            yield self.places[at], mask, mask & self.heads[at]

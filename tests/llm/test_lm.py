@@ -150,3 +150,24 @@ def test_logarithms_are_taken_once_for_all_classes(monkeypatch):
     soft = lambda x: x - real(np.exp(x).sum())
     want = [soft(h @ p["wc"] + p["bc"])[t // 4] + soft(h @ p["ww"][t // 4] + p["bw"][t // 4])[t % 4] if t < 40 else soft(h @ p["wc"] + p["bc"])[10 + t - 40] for h, t in zip(states.astype(np.float64), targets.tolist(), strict=True)]
     assert np.allclose(got, want, atol=1e-4)
+
+
+def test_logits_in_bounds_are_not_clipped_and_others_are(monkeypatch):
+    """The bound is only looked for where a logit can leave it; pieces of rows give what all rows at once give."""
+    from bandspark.llm import gru
+
+    g = Gru(40, 3, 4, 5, np.arange(1, 44).astype(float), 3)
+    rng = np.random.default_rng(2)
+    states, targets = rng.uniform(-1, 1, (200, 5)).astype(np.float32), rng.integers(0, 43, 200)
+    real, calls = gru.clip, []
+    monkeypatch.setattr(gru, "clip", lambda *a, **k: calls.append(1) or real(*a, **k))
+    grads, pieces = {}, {}
+    got, back = g.log_probs(states, targets, grads)
+    assert not calls
+    monkeypatch.setattr(gru, "ROWS", 7)
+    again, back_again = g.log_probs(states, targets, pieces)
+    assert np.allclose(got, again, atol=1e-5) and np.allclose(back, back_again, atol=1e-5)
+    assert all(np.allclose(grads[k], pieces[k], atol=1e-4) for k in grads)
+    g.p["wc"] *= 2000
+    far, _ = g.log_probs(states, targets)
+    assert calls and np.isfinite(far).all()
