@@ -20,6 +20,43 @@ def test_levels_of_a_deep_graph_by_clusters(spark):
     assert len(sizes) > 3 and max(r.w for r in sizes) <= 3 * 40
 
 
+def test_what_a_sweep_leaves_is_searched_in_tasks(spark, monkeypatch):
+    """Four stars of paths, heavier than a task's run of edges: a few vertices are left past a small frontier, and no clusters are made of all edges for them."""
+    pairs = [p for c in range(4) for i in range(30) for p in ((1000 * c, 1000 * c + 10 + i), (1000 * c + 10 + i, 1000 * c + 50 + i))]
+    pairs += [(1000 * c + 50 + i, 1000 * c + 100 + i) for c in range(4) for i in range(c)] + [(1000 * c + 100, 1000 * c + 200) for c in range(1, 4)]
+    g = graph(spark, pairs)
+    placed = ordering.with_components(g)
+    want = {(0, 0)} | {(r.v, r.level) for r in traverse.level_structure(g.edges, placed.selectExpr("comp", "comp AS v").distinct()).collect()}
+    monkeypatch.setattr(sweep, "clusters", None)
+    monkeypatch.setattr(sweep, "SMALL", 0)
+    for sync in (1, 2, 3):
+        s = sweep.Sweeper(g, placed, sync_levels=sync, fuse_edges=40, task_edges=40 if sync > 1 else 200)
+        got = s.levels(placed.selectExpr("comp", "comp AS v").distinct()).collect()
+        assert {(r.v, r.level) for r in got} == want and len(got) == len(want) and all(r.comp == r.v // 1000 * 1000 for r in got)
+
+
+def test_what_is_deep_is_packed_once(spark, monkeypatch):
+    """A chain and a ring, heavier than a run of edges but not than what a task holds: all searches read the same packs, and no clusters are made."""
+    g = graph(spark, [(i, i + 1) for i in range(60)] + [(i, i + 7) for i in range(0, 50, 3)] + [(100 + i, 100 + (i + 1) % 40) for i in range(40)])
+    want = labels_of(ordering.frontier_order(g, plan="task").labels)
+    monkeypatch.setattr(sweep, "clusters", None)
+    packed, real = [], sweep.Sweeper._packed
+    monkeypatch.setattr(sweep.Sweeper, "_packed", lambda self, *a: packed.append(1) or real(self, *a))
+    monkeypatch.setattr(sweep, "SMALL", 0)
+    o = ordering.frontier_order(g, plan="sweep", sync_levels=2, fuse_edges=30)
+    assert labels_of(o.labels) == want and max(r.searches for r in o.roots.collect()) > 1
+    assert len(packed) == 1
+
+
+def test_a_sweep_ends_with_the_last_vertex(spark, monkeypatch):
+    g = graph(spark, [(0, 1), (1, 2), (10, 11), (20, 21), (21, 22)])
+    placed, products = ordering.with_components(g), []
+    monkeypatch.setattr(sweep, "spmspv", lambda *a, **o: products.append(1) or traverse.spmspv(*a, **o))
+    got = sweep.Sweeper(g, placed).levels(spark.createDataFrame([(0, 0), (10, 11)], "comp long, v long"))
+    assert sorted(map(tuple, got.collect())) == [(0, 0, 0), (0, 1, 1), (0, 2, 2), (10, 10, 1), (10, 11, 0)]
+    assert len(products) == 2  # none for what lies past the last level, nor for components that take no part
+
+
 def test_a_hub_is_split(spark):
     """10,000 children of one parent and a few of others: no part above the bound, and the order of one window."""
     rows = spark.range(10_000).select(F.lit(5).cast("long").alias("p"), (F.col("id") % 3).alias("deg"), F.col("id").alias("v"))
