@@ -16,5 +16,5 @@ def test_places_gathered_in_one_task_are_of_the_declared_type(spark):
 
 def test_gathered_orders_are_those_of_the_plans(spark):
     want = labels_of(ordering.frontier_order(workloads.graph(spark, SF, "w1"), plan="task").labels)
-    for name in ("gather_w1",):
+    for name in ("gather_w1", "order_threads_w1"):
         assert labels_of(catalogue.queries()[name](spark, SF)) == want
